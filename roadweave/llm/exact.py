@@ -68,7 +68,8 @@ def exact_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     keyed = _keyed(docs, id_col, text_col, hashed)
     narrow = keyed.select("doc_id", "n_points", "h", F.unhex(F.sha2("norm", 256)).alias("sha")).withColumn("row_id", F.monotonically_increasing_id())
     narrow = materialise(narrow, "exact-keys")
-    groups = _winners(narrow, ["h"])
+    # Written, so that the join below deals both sides anew and a hot group can be split.
+    groups = materialise(_winners(narrow, ["h"]), "exact-groups")
     doubled = materialise(groups.where("group_size > 1").select("h"), "exact-doubled")
     members = key_join(keyed.select("h", "norm"), doubled, ["h"], "left_semi")
     collided = materialise(members.groupBy("h").agg(F.min("norm").alias("a"), F.max("norm").alias("b")).where("a <> b").select("h"), "exact-collided")
