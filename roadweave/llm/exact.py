@@ -21,6 +21,7 @@ from pyspark.sql import Column, DataFrame, functions as F
 
 from ..joins import key_join, small
 from ..scratch import materialise
+from . import losers
 
 #: White space that equality ignores: space and 0x09 to 0x0D.
 WHITE = " \t\n\x0b\x0c\r"
@@ -33,7 +34,7 @@ def content_hash(normalised: Column) -> Column:
 
 def _keyed(docs: DataFrame, id_col: str, text_col: str, hashed: Callable[[Column], Column]) -> DataFrame:
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    own = docs.select(F.col(id_col).alias("doc_id"), F.length(text).cast("long").alias("n_points"), F.translate(text, WHITE, "").alias("norm"))
+    own = docs.select(F.col(id_col).alias("doc_id"), F.length(text).cast("long").alias("n_points"), losers.content_key(text_col).alias("key"), F.translate(text, WHITE, "").alias("norm"))
     return own.withColumn("h", hashed(F.col("norm")))
 
 
@@ -43,7 +44,7 @@ def _winners(rows: DataFrame, by: list[str]) -> DataFrame:
     return rows.groupBy(*by).agg(F.count(F.lit(1)).alias("group_size"), best.alias("best"))
 
 
-_RESULT = ("doc_id", "keep_id", "group_size", "kept", "text_sha256", "n_points", "h")
+_RESULT = ("doc_id", "keep_id", "group_size", "kept", "text_sha256", "key")
 
 
 def _marked(rows: DataFrame, groups: DataFrame, by: list[str]) -> DataFrame:
@@ -54,8 +55,7 @@ def _marked(rows: DataFrame, groups: DataFrame, by: list[str]) -> DataFrame:
         "group_size",
         (F.col("row_id") == F.col("best.row_id")).alias("kept"),
         F.lower(F.hex("sha")).alias("text_sha256"),
-        "n_points",
-        "h",
+        "key",
     )
 
 
@@ -66,7 +66,7 @@ def exact_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     move for the byte check alone, and only those whose hash occurs twice.
     """
     keyed = _keyed(docs, id_col, text_col, hashed)
-    narrow = keyed.select("doc_id", "n_points", "h", F.unhex(F.sha2("norm", 256)).alias("sha")).withColumn("row_id", F.monotonically_increasing_id())
+    narrow = keyed.select("doc_id", "n_points", "key", "h", F.unhex(F.sha2("norm", 256)).alias("sha")).withColumn("row_id", F.monotonically_increasing_id())
     narrow = materialise(narrow, "exact-keys")
     # Written, so that the join below deals both sides anew and a hot group can be split.
     groups = materialise(_winners(narrow, ["h"]), "exact-groups")
@@ -83,19 +83,5 @@ def exact_groups(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
 
 def drop_copies(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """The documents without those of which another copy stays; all columns are kept."""
-    verdicts = materialise(exact_groups(docs, id_col=id_col, text_col=text_col).where("group_size > 1").select("doc_id", "h", "n_points", "kept"), "exact-verdicts")
-    of_key = verdicts.groupBy("doc_id", "h", "n_points").agg(F.max("kept").alias("any_kept"), F.count(F.lit(1)).alias("times"))
-    losers = materialise(of_key.where("not any_kept or times > 1"), "exact-losers")
-    text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    names = docs.columns
-    tagged = docs.withColumns({"__points": F.length(text).cast("long"), "__h": content_hash(F.translate(text, WHITE, ""))})
-
-    def same(keys: DataFrame):
-        return tagged[id_col].eqNullSafe(keys["doc_id"]) & (tagged["__h"] == keys["h"]) & (tagged["__points"] == keys["n_points"])
-
-    rest = key_join(tagged, losers, same(losers), "left_anti").select(*names)
-    repeated = losers.where("any_kept and times > 1")
-    if small(repeated, 0):
-        return rest
-    again = key_join(tagged, repeated, same(repeated), "left_semi").dropDuplicates([id_col, "__h", "__points"]).select(*names)
-    return rest.unionByName(again)
+    verdicts = exact_groups(docs, id_col=id_col, text_col=text_col).where("group_size > 1").select("doc_id", "key", "kept")
+    return losers.drop(docs, verdicts, id_col=id_col, text_col=text_col)
