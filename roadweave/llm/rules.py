@@ -27,7 +27,7 @@ from pyspark.sql import Column, DataFrame, functions as F, types as T
 from ..scratch import materialise
 from . import arrow, kernel
 
-#: Labelled documents that the list is fitted on at most, taken in the order of a hash of their ids.
+#: Labelled documents that the list is fitted on at most: those whose hashed id lies below the share that this is of all labels.
 SAMPLE = 30_000
 #: Least precision of a rule on the pruning part, conditions of a rule, rules of a list, and documents a rule covers at least.
 PRECISION, CONDITIONS, RULES, LEAST = 0.95, 4, 12, 4
@@ -234,7 +234,10 @@ def expression(rules: list[Rule]) -> Column:
 def fit(measured: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", label_col: str = "quality", sample: int = SAMPLE) -> list[Rule]:
     """Learn from the labelled documents among ``measured``; label 0 is bad."""
     known = labels.where(F.col(label_col).isNotNull()).groupBy(F.col(id_col).alias("doc_id")).agg(F.min(label_col).alias("__label"))
-    rows = measured.select("doc_id", *FEATURES).join(known, "doc_id").orderBy(F.xxhash64(F.col("doc_id")), *FEATURES).limit(sample).toPandas()
+    place = F.xxhash64(F.col("doc_id")).bitwiseAND(2**40 - 1) / 2**40
+    rows = measured.select("doc_id", *FEATURES).join(known, "doc_id").withColumn("__place", place)
+    share = sample / max(1, known.count())
+    rows = rows.where(F.col("__place") < share).toPandas().sort_values(["__place", *FEATURES]).head(sample)
     bad = (rows["__label"] == 0).to_numpy(dtype=bool)
     if not bad.any() or bad.all():
         return []
