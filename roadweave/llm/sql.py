@@ -16,3 +16,22 @@ WITH keyed AS (
 SELECT doc_id, keep_id, group_size, place = 1 AS kept, sha256(norm) AS text_sha256
 FROM ranked
 """
+
+WARC = r"""
+WITH keyed AS (
+  SELECT page_id, coalesce(html, '') AS html, encode(coalesce(html, '')) AS payload
+  FROM pages
+), topped AS (
+  SELECT page_id, octet_length(payload)::BIGINT AS payload_bytes, sha1(html) AS hex,
+         max(page_id) OVER (PARTITION BY html) AS top, count(*) OVER (PARTITION BY html) AS times
+  FROM keyed
+)
+SELECT page_id, payload_bytes,
+       list_aggregate(list_transform(range(0, 32), lambda i: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+         1 + (list_aggregate(list_transform(range(0, 5), lambda b:
+             (((instr('0123456789abcdef', substr(hex, 1 + ((5 * i + b) // 4)::INT, 1)) - 1) >> (3 - (5 * i + b) % 4)::INT) & 1) * (16 >> b::INT)), 'sum'))::INT, 1)),
+         'string_agg', '') AS payload_digest,
+       CASE WHEN times > 1 AND top IS NOT NULL AND page_id IS DISTINCT FROM top THEN 'revisit' ELSE 'response' END AS record_type,
+       CASE WHEN times > 1 AND page_id IS DISTINCT FROM top THEN top END AS refers_to
+FROM topped
+"""
