@@ -18,9 +18,9 @@ Candidates: improved consistent weighted sampling draws ``BANDS * ROWS`` samples
 of each text; a bucket is a band with equal samples. Texts with the same words
 are one text here. In a bucket the text that shares most buckets with others is
 compared with every other text, so work is linear in the bucket; the links so
-found give components, and while buckets hold several components, the most
-central text outside the leader's component leads the next round, until a round
-finds no link. Classes are the components of all links.
+found give components, and while buckets hold several components, those who
+are left meet by two bands at once, led by the most central text again, until a
+round finds no link. Classes are the components of all links.
 
 Defined results: null counts as empty; a text without words is a class of its
 own; a class's id is its least document id, of equal ids one row stays; a null
@@ -209,17 +209,22 @@ def classes(
     bodies = materialise(bodies.select("v", "text"), "near-bodies")
     if not small(wanted.where("doc_id is null"), 0) or bodies.count() > wanted.count():
         bodies = materialise(bodies.dropDuplicates(["v"]), "near-bodies")
-    links = _links(shared, bodies, idf, similarity=similarity, width=width)
+    links = _links(shared, texts, bodies, idf, similarity=similarity, width=width)
     return _result(signed, texts, components(links))
 
 
-def _links(shared: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity: float, width: int) -> DataFrame:
-    """All links, by rounds of leaders over the buckets that hold more than one component."""
-    least = F.max(F.struct("central", (-F.col("v")).alias("back")))
+def _links(shared: DataFrame, texts: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity: float, width: int) -> DataFrame:
+    """All links, by rounds of leaders over the buckets that hold more than one component.
+
+    The first round is over the bands' buckets. Whoever is left in a bucket of
+    several components then goes by two bands at once, so that texts which only
+    share a common passage part at once and no large bucket is gone over again.
+    """
+    most = F.max(F.struct("central", (-F.col("v")).alias("back")))
     links = tried = None
     buckets = shared.withColumn("c", F.col("v"))
     while True:
-        heads = buckets.groupBy("band", "bucket").agg(least.alias("head"), F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high")
+        heads = buckets.groupBy("band", "bucket").agg(most.alias("head"), F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high")
         heads = materialise(heads.select("band", "bucket", (-F.col("head.back")).alias("a")), "near-heads")
         head_of = buckets.select(F.col("v").alias("a"), F.col("c").alias("ca")).distinct()
         met = buckets.join(heads.join(head_of, "a"), ["band", "bucket"]).where("c <> ca")
@@ -227,22 +232,33 @@ def _links(shared: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity:
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "near-pairs")
-        tried = pairs if tried is None else tried.unionByName(pairs)
         found = materialise(verified(pairs, bodies, idf, similarity=similarity, width=width), "near-links")
-        if links is not None and found.isEmpty():
-            return links
-        links = found if links is None else links.unionByName(found)
+        first = links is None
+        links = found if first else links.unionByName(found)
         if found.isEmpty():
             return links
-        # Next, whoever is not in the leader's component; a leader has met its whole bucket.
+        tried = pairs if first else tried.unionByName(pairs)
         known = components(links)
-        joined = shared.join(known, "v", "left").withColumn("c", F.coalesce("c", "v"))
-        led = heads.select("band", "bucket", F.col("a").alias("led"))
-        buckets = joined.join(led, ["band", "bucket"]).where("v <> led").drop("led")
-        shared = shared.join(led, ["band", "bucket"]).where("v <> led").drop("led")
+        # A leader has met its whole bucket and is done with it.
+        left = buckets.drop("c").join(heads.withColumnRenamed("a", "led"), ["band", "bucket"]).where("v <> led").drop("led")
+        buckets = left.join(known, "v", "left").withColumn("c", F.coalesce("c", "v"))
+        if first:
+            buckets = _by_two_bands(materialise(buckets, "near-left"), texts)
         buckets = materialise(buckets, "near-open")
 
 
+def _by_two_bands(left: DataFrame, texts: DataFrame) -> DataFrame:
+    """Entries of buckets with several components, each with every other band's bucket added to its own."""
+    of = left.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
+    both = left.join(of, ["band", "bucket"]).join(texts.select("v", "bands"), "v")
+    n = F.size("bands")
+    other = F.transform(F.sequence(F.lit(1), n - 1), lambda i: F.struct((F.col("band") * 1000 + i).alias("band"), F.get("bands", (F.col("band") + i) % n).alias("more")))
+    finer = both.select("v", "central", "c", "bucket", F.explode(other).alias("o"))
+    finer = finer.select("v", "central", "c", F.col("o.band").alias("band"), F.xxhash64("bucket", "o.more").alias("bucket"))
+    several = finer.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
+    return finer.join(several, ["band", "bucket"])
+
+
 def _result(signed: DataFrame, texts: DataFrame, known: DataFrame) -> DataFrame:
     of_text = texts.select("f1", "f2", "v", "doc_id").join(known, "v", "left").withColumn("c", F.coalesce("c", "v"))
     heads = of_text.groupBy("c").agg(F.min(F.struct("doc_id", "v")).alias("head"))
