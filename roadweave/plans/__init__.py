@@ -1 +1,5 @@
+"""Registered queries by kind."""
 
+from . import relational, scalars
+
+CATALOGS = (relational.catalog, scalars.catalog)
