@@ -49,6 +49,10 @@ SIMILARITY = 0.8
 BANDS, ROWS = 10, 3
 DF_BUCKETS = 1 << 18
 DAMPING = 0.25
+#: Bands that each band is joined with after the first round.
+OTHERS = 3
+#: Leaders of a bucket after the first round.
+LEADERS = 4
 
 
 def _weights_of(hashes: np.ndarray, times: np.ndarray, idf: np.ndarray) -> np.ndarray:
@@ -224,7 +228,11 @@ def _links(shared: DataFrame, texts: DataFrame, bodies: DataFrame, idf: Broadcas
     links = tried = None
     buckets = shared.withColumn("c", F.col("v"))
     while True:
-        heads = buckets.groupBy("band", "bucket").agg(most.alias("head"), F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high")
+        first = links is None
+        several = buckets.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
+        # Later rounds have one leader for each part of a bucket, so that there are fewer rounds.
+        part = F.lit(0) if first else F.pmod(F.xxhash64("v"), F.lit(LEADERS))
+        heads = buckets.groupBy("band", "bucket", part.alias("part")).agg(most.alias("head")).join(several, ["band", "bucket"])
         heads = materialise(heads.select("band", "bucket", (-F.col("head.back")).alias("a")), "near-heads")
         head_of = buckets.select(F.col("v").alias("a"), F.col("c").alias("ca")).distinct()
         met = buckets.join(heads.join(head_of, "a"), ["band", "bucket"]).where("c <> ca")
@@ -233,14 +241,14 @@ def _links(shared: DataFrame, texts: DataFrame, bodies: DataFrame, idf: Broadcas
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "near-pairs")
         found = materialise(verified(pairs, bodies, idf, similarity=similarity, width=width), "near-links")
-        first = links is None
         links = found if first else links.unionByName(found)
         if found.isEmpty():
             return links
         tried = pairs if first else tried.unionByName(pairs)
         known = components(links)
-        # A leader has met its whole bucket and is done with it.
-        left = buckets.drop("c").join(heads.withColumnRenamed("a", "led"), ["band", "bucket"]).where("v <> led").drop("led")
+        # Leaders have met their whole bucket and are done with it; buckets of one component are done.
+        left = buckets.drop("c").join(heads.select("band", "bucket").distinct(), ["band", "bucket"], "left_semi")
+        left = left.join(heads.withColumnRenamed("a", "v"), ["band", "bucket", "v"], "left_anti")
         buckets = left.join(known, "v", "left").withColumn("c", F.coalesce("c", "v"))
         if first:
             buckets = _by_two_bands(materialise(buckets, "near-left"), texts)
@@ -248,11 +256,11 @@ def _links(shared: DataFrame, texts: DataFrame, bodies: DataFrame, idf: Broadcas
 
 
 def _by_two_bands(left: DataFrame, texts: DataFrame) -> DataFrame:
-    """Entries of buckets with several components, each with every other band's bucket added to its own."""
+    """Entries of buckets with several components, each with the buckets of the next ``OTHERS`` bands added to its own."""
     of = left.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
     both = left.join(of, ["band", "bucket"]).join(texts.select("v", "bands"), "v")
     n = F.size("bands")
-    other = F.transform(F.sequence(F.lit(1), n - 1), lambda i: F.struct((F.col("band") * 1000 + i).alias("band"), F.get("bands", (F.col("band") + i) % n).alias("more")))
+    other = F.transform(F.sequence(F.lit(1), F.least(F.lit(OTHERS), n - 1)), lambda i: F.struct((F.col("band") * 1000 + i).alias("band"), F.get("bands", (F.col("band") + i) % n).alias("more")))
     finer = both.select("v", "central", "c", "bucket", F.explode(other).alias("o"))
     finer = finer.select("v", "central", "c", F.col("o.band").alias("band"), F.xxhash64("bucket", "o.more").alias("bucket"))
     several = finer.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
