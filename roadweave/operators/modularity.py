@@ -147,8 +147,8 @@ def contract(edges: DataFrame, part: DataFrame) -> DataFrame:
     return met.groupBy(F.least("ca", "cb").alias("a"), F.greatest("ca", "cb").alias("b")).agg(F.sum("omega").alias("omega"))
 
 
-def _sweep(ends: DataFrame, strength: DataFrame, part: DataFrame, total: float, half: int, resolution: float) -> DataFrame:
-    """One half of the vertices at their best community; ``ends`` has both directions and no loops."""
+def _sweep(ends: DataFrame, strength: DataFrame, part: DataFrame, total: float, half: int, sweep: int, resolution: float) -> DataFrame:
+    """One half of the vertices, another in each sweep, at their best community; ``ends`` has both directions and no loops."""
     sums = strength.join(part, "v").groupBy("c").agg(F.sum("k").alias("kc"))
     toward = ends.join(part.select(F.col("v").alias("b"), "c"), "b").groupBy(F.col("a").alias("v"), "c").agg(F.sum("omega").alias("w"))
     stay = part.select("v", "c").withColumn("w", F.lit(0.0))
@@ -156,7 +156,7 @@ def _sweep(ends: DataFrame, strength: DataFrame, part: DataFrame, total: float,
     rest = F.col("kc") - F.when(F.col("c") == F.col("own"), F.col("k")).otherwise(0.0)
     gain = F.round(F.col("w") - resolution * F.col("k") * rest / (2 * total), 12)
     best = options.groupBy("v").agg(F.max(F.struct(gain.alias("gain"), (F.col("c") == F.col("own")).alias("stays"), (-F.col("c")).alias("back"))).alias("best"))
-    may = F.pmod(F.xxhash64("v"), F.lit(2)) == half
+    may = F.pmod(F.xxhash64("v", F.lit(sweep)), F.lit(2)) == half
     return part.join(best, "v", "left").select("v", F.when(may & F.col("best").isNotNull(), -F.col("best.back")).otherwise(F.col("c")).alias("c"))
 
 
@@ -169,14 +169,14 @@ def spread(edges: DataFrame, *, resolution: float = 1.0, max_sweeps: int = 8, to
     total = edges.agg(F.sum("omega")).first()[0] or 0.0
     part = strength.select("v", F.col("v").alias("c"))
     now = score(edges, part, resolution=resolution).first()[0] if total else 0.0
-    for step in range(2 * max_sweeps if total else 0):
-        new = materialise(_sweep(ends, strength, part, total, step % 2, resolution), "modularity-part")
-        then = score(edges, new, resolution=resolution).first()[0]
-        if then > now:
-            still, part, now = then - now < tol and step % 2 == 1, new, then
-            if still:
-                break
-        elif step % 2:
+    for sweep in range(max_sweeps if total else 0):
+        before = now
+        for half in (0, 1):
+            new = materialise(_sweep(ends, strength, part, total, half, sweep, resolution), "modularity-part")
+            then = score(edges, new, resolution=resolution).first()[0]
+            if then > now:
+                part, now = new, then
+        if now - before < tol:
             break
     return part, now
 

@@ -69,7 +69,7 @@ def cosine_pairs(weights: DataFrame, *, min_sim: float = 0.0, top_k: int | None
         met = feature_pairs(vectors, tile=tile)
     edges = met.groupBy("a", "b").agg(F.least(F.sum(F.col("wa") * F.col("wb")), F.lit(1.0)).alias("omega"), F.count(F.lit(1)).alias("common"))
     if min_sim > 0:
-        edges = edges.where(F.col("omega") >= min_sim)
+        edges = edges.where(F.col("omega") >= F.lit(min_sim - 1e-12))
     elif not keep_zero:
         edges = edges.where("omega > 0")
     return edges if top_k is None else strongest(edges, top_k)

@@ -1,5 +1,5 @@
 """Registered queries by kind."""
 
-from . import relational, scalars
+from . import extensions, methods, relational, scalars, streams
 
-CATALOGS = (relational.catalog, scalars.catalog)
+CATALOGS = (methods.catalog, relational.catalog, scalars.catalog, extensions.catalog, streams.catalog)
