@@ -50,7 +50,7 @@ class ZoneVertices:
         width = side // zones
         for i in range(width):
             for j in range(width):
-                yield ((zone // zones) * width + i) * side + (zone % zones) * width + j
+                yield (((zone // zones) * width + i) * side + (zone % zones) * width + j,)
 
 
 def register(spark: SparkSession) -> None:

@@ -85,11 +85,6 @@ def cosine_s_g4_orders_sample(spark, d):
     return _rounded(similarity.project(tables.shipments(spark, d, every=50), side="s").drop("common"), "omega", to=5)
 
 
-@add(_cosine_sql(_raw(_visit_sql(_G8.replace("count(*) AS n", "count(*) AS n, 1.0::DOUBLE AS length"))), 0.0))
-def cosine_s_g8(spark, d):
-    return _rounded(similarity.project(tables.flows(spark, d), side="s").drop("common"), "omega", to=5)
-
-
 @add(
     _cosine_sql(
         _raw(_visit_sql(r"""SELECT page_id AS t, href AS s, count(*) AS n FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages) GROUP BY 1, 2"""))

@@ -22,7 +22,11 @@ SCHEMA = "event_id long, ts timestamp_ntz, user_id long, event_type string, valu
 
 def events(spark: SparkSession, sf_dir: str, *, files: int = 1) -> DataFrame:
     """Events as a stream, with a zoned time and the cell ``k``."""
-    own = spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", files).option("pathGlobFilter", "*.parquet").parquet(f"{sf_dir}/events.parquet")
+    path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(f"{sf_dir}/events.parquet")
+    system = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
+    # A table of one file is found by its name in the folder, as streams read folders.
+    folder, names = (sf_dir, "events.parquet") if system.getFileStatus(path).isFile() else (f"{sf_dir}/events.parquet", "*.parquet")
+    own = spark.readStream.schema(SCHEMA).option("maxFilesPerTrigger", files).option("pathGlobFilter", names).parquet(folder)
     return own.withColumn("ts", F.col("ts").cast("timestamp")).withColumn("k", F.get_json_object("props", "$.k").cast("int"))
 
 
