@@ -225,7 +225,7 @@ def _links(shared: DataFrame, texts: DataFrame, bodies: DataFrame, idf: Broadcas
     share a common passage part at once and no large bucket is gone over again.
     """
     most = F.max(F.struct("central", (-F.col("v")).alias("back")))
-    links = tried = None
+    links = tried = known = None
     buckets = shared.withColumn("c", F.col("v"))
     while True:
         first = links is None
@@ -245,7 +245,8 @@ def _links(shared: DataFrame, texts: DataFrame, bodies: DataFrame, idf: Broadcas
         if found.isEmpty():
             return links
         tried = pairs if first else tried.unionByName(pairs)
-        known = components(links)
+        # Labels only spare comparisons, so later rounds bring them up to date for the new links alone.
+        known = components(found) if first else _relabelled(known, found)
         # Leaders have met their whole bucket and are done with it; buckets of one component are done.
         left = buckets.drop("c").join(heads.select("band", "bucket").distinct(), ["band", "bucket"], "left_semi")
         left = left.join(heads.withColumnRenamed("a", "v"), ["band", "bucket", "v"], "left_anti")
@@ -255,6 +256,18 @@ def _links(shared: DataFrame, texts: DataFrame, bodies: DataFrame, idf: Broadcas
         buckets = materialise(buckets, "near-open")
 
 
+def _relabelled(known: DataFrame, found: DataFrame) -> DataFrame:
+    """Labels after two steps along new links, which is all of a leader's star; chains of stars come out in the end."""
+    ends = found.select(F.col("a").alias("u"), F.col("b").alias("v"))
+    both = ends.unionByName(ends.select(F.col("v").alias("u"), F.col("u").alias("v")))
+    new = both.select("v").distinct().join(known.select("v"), "v", "left_anti").withColumn("c", F.col("v"))
+    labels = known.unionByName(new)
+    for _ in range(2):
+        near = both.join(labels.select(F.col("v").alias("u"), F.col("c").alias("near")), "u").groupBy("v").agg(F.min("near").alias("near"))
+        labels = labels.join(near, "v", "left").select("v", F.least("c", F.coalesce("near", "c")).alias("c"))
+    return materialise(labels, "near-labels")
+
+
 def _by_two_bands(left: DataFrame, texts: DataFrame) -> DataFrame:
     """Entries of buckets with several components, each with the buckets of the next ``OTHERS`` bands added to its own."""
     of = left.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
