@@ -6,13 +6,14 @@ worker's memory follows the slice and its longest text, never the batch.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
 
 #: Bytes of text that one slice holds at most, unless a single text is longer.
-SLICE_BYTES = 2_000_000
+SLICE_BYTES = 1_000_000
 
 
 def text_buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -52,3 +53,13 @@ def text_chunks(batches: Iterable[pa.RecordBatch], text: str, limit: int = SLICE
     for batch in batches:
         for part in slices(batch, text, limit):
             yield part, _string(part.column(text))
+    give_back()
+
+
+def give_back() -> None:
+    """Return freed memory to the system: Spark keeps idle workers, and their heaps would stay as large as they ever were."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        return
