@@ -250,6 +250,13 @@ def assign(model: CoClustering, new: BipartiteGraph) -> DataFrame:
     return best.select("t", (-F.col("best.back")).alias("ct"))
 
 
+def fit_sampled(graph: BipartiteGraph, *, share: float, seed: int = 42, **options) -> DataFrame:
+    """``(t, ct)`` of all trajectories from a model of a hashed share of them: the way for graphs that fitting can't take whole."""
+    chosen = F.pmod(F.xxhash64("t", F.lit(seed)), F.lit(1_000_000)) < int(share * 1_000_000)
+    model = fit(BipartiteGraph(graph.traversal.where(chosen)), seed=seed, **options)
+    return model.row_part.unionByName(assign(model, BipartiteGraph(graph.traversal.where(~chosen))))
+
+
 def search(spark: SparkSession, graph: BipartiteGraph, *, restarts: int = 8, seed: int = 42, stop: str = "to_null") -> DataFrame:
     """Independent restarts in parallel, a task each: ``(restart, rows, columns, cost)``; the graph must fit a task."""
     if graph.traversal.limit(LOCAL_EDGES + 1).count() > LOCAL_EDGES:

@@ -5,8 +5,8 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from ..model import BipartiteGraph
-from ..operators import agreement, cocluster, criterion, hierarchy, ingest, modularity, mutual, network, rivals, routing, similarity, weights
-from ..scratch import materialise
+from ..operators import agreement, cocluster, criterion, greedy, hierarchy, ingest, modularity, mutual, network, rivals, routing, similarity, weights
+from ..scratch import materialise, new_path
 from ..sources import tables
 from ..sources.tables import table
 from .registry import Catalog
@@ -17,7 +17,8 @@ add = catalog.add
 _G3 = """SELECT o_custkey AS t, l_partkey AS s, count(*) AS n, max(p_size)::DOUBLE AS length
 FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey GROUP BY 1, 2"""
 _G4 = "SELECT l_orderkey AS t, l_suppkey AS s, count(*) AS n, 1.0::DOUBLE AS length FROM lineitem GROUP BY 1, 2"
-_G4_SAMPLE = "SELECT l_orderkey AS t, l_suppkey AS s, count(*) AS n, 1.0::DOUBLE AS length FROM lineitem WHERE l_orderkey % 50 = 0 GROUP BY 1, 2"
+_TRIPS = """WITH g AS (SELECT user_id, event_id, ts, json_extract(props, '$.k')::INT AS k, CASE WHEN ts - lag(ts) OVER w > INTERVAL 24 HOUR OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), x AS (SELECT *, (sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1)::BIGINT AS trip FROM g)"""
+_G5 = _TRIPS + " SELECT user_id * 1000000 + trip AS t, k::BIGINT AS s, count(*) AS n, 1.0::DOUBLE AS length FROM x GROUP BY 1, 2"
 _G8 = """SELECT c_nationkey::BIGINT AS t, s_nationkey::BIGINT AS s, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey
 JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1, 2"""
 
@@ -74,15 +75,22 @@ def _raw(sql: str) -> str:
     return sql.replace("round(", "(").replace(", 6) AS w", ") AS w")
 
 
-@add(_cosine_sql(_raw(_spatial_sql(_G4_SAMPLE))))
-def cosine_t_g4_orders_sample(spark, d):
-    """Similarity of orders by their suppliers, over each fiftieth order."""
-    return _rounded(similarity.project(tables.shipments(spark, d, every=50), side="t").drop("common"), "omega", to=5)
+@add(_cosine_sql(_raw(_spatial_sql(_G5))))
+def cosine_t_g5(spark, d):
+    """Similarity of trips by the cells they passed."""
+    return _rounded(similarity.project(tables.session_cells(spark, d), side="t").drop("common"), "omega", to=5)
 
 
-@add(_cosine_sql(_raw(_visit_sql(_G4_SAMPLE))))
-def cosine_s_g4_orders_sample(spark, d):
-    return _rounded(similarity.project(tables.shipments(spark, d, every=50), side="s").drop("common"), "omega", to=5)
+@add(_cosine_sql(_raw(_visit_sql(_G5))))
+def cosine_s_g5(spark, d):
+    """Similarity of cells by the trips that passed them."""
+    return _rounded(similarity.project(tables.session_cells(spark, d), side="s").drop("common"), "omega", to=5)
+
+
+@add(_cosine_sql(_raw(_visit_sql(_G4))))
+def cosine_s_g4(spark, d):
+    """Similarity of suppliers by their orders."""
+    return _rounded(similarity.project(tables.shipments(spark, d), side="s").drop("common"), "omega", to=5)
 
 
 @add(
@@ -97,27 +105,42 @@ def cosine_s_g6(spark, d):
     return edges.agg(F.count(F.lit(1)).alias("edges"), F.round(F.sum("omega"), 3).alias("total"))
 
 
-@add(_cosine_sql(_raw(_spatial_sql(_G4_SAMPLE)), 0.6).replace("omega > 0.6", "round(omega, 5) >= 0.6"))
-def cosine_pruned_g4(spark, d):
+@add(_cosine_sql(_raw(_spatial_sql(_G5)), 0.6).replace("omega > 0.6", "round(omega, 5) >= 0.6"))
+def cosine_pruned_g5(spark, d):
     """The same with a least similarity: only prefixes of the vectors are joined, and no pair is lost."""
-    weighted = weights.spatial_tfidf(tables.shipments(spark, d, every=50), normalise=False)
+    weighted = weights.spatial_tfidf(tables.session_cells(spark, d), normalise=False)
     return _rounded(similarity.cosine_pairs(weighted, min_sim=0.599995).drop("common"), "omega", to=5)
 
 
-@add(f"WITH e AS ({_G4_SAMPLE}) SELECT x.s AS a, y.s AS b, count(*) AS common FROM e x JOIN e y ON x.t = y.t AND x.s < y.s GROUP BY 1, 2")
+@add(f"WITH e AS ({_G4}) SELECT x.s AS a, y.s AS b, count(*) AS common FROM e x JOIN e y ON x.t = y.t AND x.s < y.s GROUP BY 1, 2")
 def common_count_g4(spark, d):
-    return similarity.project(tables.shipments(spark, d, every=50), side="s", weight="common").select("a", "b", "common")
+    return similarity.project(tables.shipments(spark, d), side="s", weight="common").select("a", "b", "common")
+
+
+@add(f"WITH e AS ({_G5}) SELECT x.t AS a, y.t AS b, count(*) AS common FROM e x JOIN e y ON x.s = y.s AND x.t < y.t GROUP BY 1, 2")
+def common_count_g5(spark, d):
+    return similarity.project(tables.session_cells(spark, d), side="t", weight="common").select("a", "b", "common")
 
 
 @add()
 def topk_similar_pairs(spark, d):
-    """Flagship: each order's most similar orders, over each twentieth order."""
-    return similarity.strongest(similarity.project(tables.shipments(spark, d, every=20), side="t"), 3)
+    """Flagship: the most similar customers of each by the parts they ordered."""
+    return similarity.strongest(similarity.project(tables.baskets(spark, d), side="t"), 3)
+
+
+@add()
+def minhash_candidates_g3(spark, d):
+    """Share of the pairs of similar baskets that sampled minima find as candidates."""
+    graph = tables.baskets(spark, d)
+    exact = materialise(similarity.cosine_pairs(weights.spatial_tfidf(graph), min_sim=0.15), "similar")
+    candidates = similarity.minhash_candidates(graph, bands=48, rows=1)
+    found = exact.join(candidates, ["a", "b"], "left_semi")
+    return exact.agg(F.count(F.lit(1)).alias("pairs")).crossJoin(found.agg(F.count(F.lit(1)).alias("found"))).crossJoin(candidates.agg(F.count(F.lit(1)).alias("candidates")))
 
 
 @add()
 def projection_density_g4(spark, d):
-    own = tables.shipments(spark, d, every=50)
+    own = tables.shipments(spark, d)
     return similarity.density(similarity.project(own, side="s"), own.traversal.select("s").distinct().count())
 
 
@@ -430,9 +453,7 @@ def distributed_fit_g1(spark, d):
 @add()
 def cocluster_g2(spark, d):
     """Documents by their words against their language, through the route for large graphs."""
-    words = tables.word_rows(spark, d)
-    kept = words.join(words.groupBy("word").agg(F.count(F.lit(1)).alias("df")).where("df >= 3"), "word")
-    graph = BipartiteGraph.of(kept, t="doc_id", s=F.xxhash64("word"), length=None)
+    graph = BipartiteGraph.of(tables.word_rows(spark, d), t="doc_id", s=F.xxhash64("word"), length=None)
     model = cocluster.fit(graph, restarts=0, passes=1, start=60, refine=False)
     labels = table(spark, d, "documents").select(F.col("doc_id").alias("v"), F.col("lang").alias("klass"))
     return _report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c"))).crossJoin(model.compression())
@@ -447,9 +468,8 @@ def cocluster_g8(spark, d):
 
 @add()
 def null_control_g3(spark, d):
-    """Baskets without structure, over each tenth customer and part."""
-    own = tables.baskets(spark, d).traversal.where("t % 10 = 0 and s % 10 = 0")
-    model = cocluster.fit(BipartiteGraph(own), restarts=0, refine=False)
+    """Baskets without structure: one block."""
+    model = cocluster.fit(tables.baskets(spark, d), restarts=0, refine=False)
     return model.row_part.agg(F.count_distinct("ct").alias("rows")).crossJoin(model.col_part.agg(F.count_distinct("cs").alias("columns")))
 
 
@@ -463,7 +483,7 @@ def alternate_g8(spark, d):
 @add()
 def matched_start_g4(spark, d):
     """Vertices with equal neighbours begin in one cluster."""
-    rows, columns = cocluster.matched_start(tables.shipments(spark, d, every=20))
+    rows, columns = cocluster.matched_start(tables.shipments(spark, d))
     return rows.agg(F.count(F.lit(1)).alias("orders"), F.count_distinct("ct").alias("row_clusters")).crossJoin(columns.agg(F.count_distinct("cs").alias("column_clusters")))
 
 
@@ -640,7 +660,7 @@ def trips_by_gap(spark, d):
     return tables.sessions(spark, d).select("event_id", "trip")
 
 
-@add("WITH g AS (SELECT user_id, event_id, ts, json_extract(props, '$.k')::INT AS k, CASE WHEN ts - lag(ts) OVER w > INTERVAL 24 HOUR OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), x AS (SELECT *, (sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1)::BIGINT AS trip FROM g) SELECT user_id * 1000000 + trip AS t, k::BIGINT AS s, count(*) AS n, 1.0::DOUBLE AS length FROM x GROUP BY 1, 2")
+@add(_G5)
 def edges_g5_cells(spark, d):
     return tables.session_cells(spark, d).traversal
 
@@ -689,8 +709,48 @@ def scaling_rounds(spark, d):
     return graph.stats().crossJoin(edges.agg(F.count(F.lit(1)).alias("projection_pairs"))).crossJoin(trace)
 
 
-@add()
+@add(_cost_sql("SELECT o_orderkey AS t, (o_custkey * 7919 + 13) % 6400 AS src, (o_orderkey * 104729 + 7) % 6400 AS dst FROM orders") + " HAVING cost > 0")
 def routes_all_orders(spark, d):
-    """Larger data: a trajectory for each tenth order, with its travel time."""
-    pairs = network.all_pairs(table(spark, d, "orders").where("o_orderkey % 10 = 0"))
-    return routing.costs(network.segments(spark), routing.shortest(network.segments(spark), pairs))
+    """Larger data: a trajectory for each order, with its travel time."""
+    pairs = network.all_pairs(table(spark, d, "orders"))
+    return routing.costs(network.segments(spark), routing.shortest(network.segments(spark), pairs)).select("t", "cost")
+
+
+@add()
+def matched_merges_g1(spark, d):
+    """Greedy merges by joins: all pairs of clusters that are each other's best, a round at a time."""
+    graph, labels, _ = _planted(spark, d)
+    rows, _, _ = greedy.merge(graph, criterion.finest(graph), batch="matched", max_rounds=12)
+    return _report(labels, rows.select(F.col("t").alias("v"), F.col("ct").alias("c")))
+
+
+@add()
+def single_merges_g9(spark, d):
+    """The faithful variant by joins: the best merge of a round alone, on the flows between regions."""
+    graph = BipartiteGraph(mutual.crossed(*_regions(spark, d)).select(F.col("ct").alias("t"), F.col("cs").alias("s"), F.col("m").alias("n"), F.lit(1.0).alias("length")))
+    return greedy.merge(graph, criterion.finest(graph), batch="single")[2]
+
+
+@add()
+def sampled_fit_g1(spark, d):
+    """Fitted on a hashed half of the trajectories, the others assigned."""
+    graph, labels, _ = _planted(spark, d)
+    given = cocluster.fit_sampled(graph, share=0.5, restarts=0)
+    return _report(labels, given.select(F.col("t").alias("v"), F.col("ct").alias("c")))
+
+
+@add()
+def roles_g4(spark, d):
+    """Suppliers by regions of customers: roles of the suppliers' nations."""
+    graph, rows, _ = _regions(spark, d)
+    nations = graph.traversal.select("s").distinct().withColumn("cs", F.col("s"))
+    return mutual.roles(mutual.crossed(graph, rows, nations))
+
+
+@add()
+def sink_checkpoint_levels(spark, d):
+    """Levels of a hierarchy written by level and read back with pruning."""
+    _, _, edges = _side(spark, d)
+    path = new_path(spark, "levels")
+    hierarchy.nested(edges, max_depth=2).write.partitionBy("level").parquet(path)
+    return spark.read.parquet(path).where("level = 2").select("v", "cluster", "parent")

@@ -149,12 +149,10 @@ def join_lineitem_orders_shuffle_hash(spark, d):
     return _lines(spark, d, "shuffle_hash")
 
 
-@add("WITH e AS (SELECT DISTINCT l_orderkey AS t, l_suppkey AS s FROM lineitem WHERE l_orderkey % 50 = 0) SELECT x.t AS a, y.t AS b, count(*) AS common FROM e x JOIN e y ON x.s = y.s AND x.t < y.t GROUP BY 1, 2")
+@add("WITH e AS (SELECT DISTINCT l_orderkey AS t, l_suppkey AS s FROM lineitem) SELECT x.s AS a, y.s AS b, count(*) AS common FROM e x JOIN e y ON x.t = y.t AND x.s < y.s GROUP BY 1, 2")
 def join_self_projection(spark, d):
-    from ..operators.similarity import common_pairs
-    from ..sources.tables import shipments
-
-    return common_pairs(shipments(spark, d, every=50)).select("a", "b", "common")
+    e = table(spark, d, "lineitem").select(F.col("l_orderkey").alias("t"), F.col("l_suppkey").alias("s")).distinct()
+    return e.select("t", F.col("s").alias("a")).join(e.select("t", F.col("s").alias("b")), "t").where("a < b").groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"))
 
 
 @add("SELECT p_partkey, count(l_orderkey) AS visits FROM part LEFT JOIN lineitem ON p_partkey = l_partkey GROUP BY p_partkey")
@@ -167,11 +165,11 @@ def join_right_suppliers(spark, d):
     return table(spark, d, "nation").join(table(spark, d, "supplier"), F.col("n_nationkey") == F.col("s_nationkey"), "right").select("n_name", "s_suppkey")
 
 
-@add("WITH a AS (SELECT DISTINCT l_suppkey AS s FROM lineitem WHERE l_orderkey % 97 = 0), b AS (SELECT DISTINCT l_suppkey AS s FROM lineitem WHERE l_orderkey % 89 = 0) SELECT coalesce(a.s, b.s) AS s, a.s IS NOT NULL AS in_a, b.s IS NOT NULL AS in_b FROM a FULL JOIN b ON a.s = b.s")
+@add("WITH a AS (SELECT DISTINCT l_suppkey AS s FROM lineitem WHERE l_quantity = 50 AND l_discount >= 0.1), b AS (SELECT DISTINCT l_suppkey AS s FROM lineitem WHERE l_quantity = 1 AND l_tax >= 0.08) SELECT coalesce(a.s, b.s) AS s, a.s IS NOT NULL AS in_a, b.s IS NOT NULL AS in_b FROM a FULL JOIN b ON a.s = b.s")
 def join_full_unvisited_segments(spark, d):
-    e = table(spark, d, "lineitem").select("l_orderkey", F.col("l_suppkey").alias("s"))
-    side = lambda m, c: e.where(F.col("l_orderkey") % m == 0).select("s").distinct().withColumn(c, F.lit(True))
-    return side(97, "in_a").join(side(89, "in_b"), "s", "full").select("s", F.col("in_a").isNotNull().alias("in_a"), F.col("in_b").isNotNull().alias("in_b"))
+    e = table(spark, d, "lineitem").select("l_quantity", "l_discount", "l_tax", F.col("l_suppkey").alias("s"))
+    side = lambda which, c: e.where(which).select("s").distinct().withColumn(c, F.lit(True))
+    return side("l_quantity = 50 and l_discount >= 0.1", "in_a").join(side("l_quantity = 1 and l_tax >= 0.08", "in_b"), "s", "full").select("s", F.col("in_a").isNotNull().alias("in_a"), F.col("in_b").isNotNull().alias("in_b"))
 
 
 @add("SELECT c_custkey FROM customer WHERE EXISTS (SELECT 1 FROM orders WHERE o_custkey = c_custkey AND o_totalprice > 200000)")
@@ -380,12 +378,15 @@ def limit_offset(spark, d):
 # sets
 
 
-def _keys(spark, d, m: int) -> DataFrame:
-    return table(spark, d, "lineitem").where(F.col("l_orderkey") % m == 0).select(F.col("l_suppkey").alias("s"))
+_FIRST, _SECOND = "l_quantity = 50 AND l_returnflag = 'R'", "l_quantity = 1 AND l_returnflag = 'N'"
+
+
+def _keys(spark, d, which: str) -> DataFrame:
+    return table(spark, d, "lineitem").where(which).select(F.col("l_suppkey").alias("s"))
 
 
 def _key_sql(operator: str) -> str:
-    return f"SELECT l_suppkey AS s FROM lineitem WHERE l_orderkey % 70 = 0 {operator} SELECT l_suppkey AS s FROM lineitem WHERE l_orderkey % 90 = 0"
+    return f"SELECT l_suppkey AS s FROM lineitem WHERE {_FIRST} {operator} SELECT l_suppkey AS s FROM lineitem WHERE {_SECOND}"
 
 
 for _name, _operator, _run in (
@@ -396,7 +397,7 @@ for _name, _operator, _run in (
     ("set_intersect_all", "INTERSECT ALL", lambda a, b: a.intersectAll(b)),
     ("set_except_all", "EXCEPT ALL", lambda a, b: a.exceptAll(b)),
 ):
-    add(_key_sql(_operator), name=_name)(lambda spark, d, run=_run: run(_keys(spark, d, 70), _keys(spark, d, 90)))
+    add(_key_sql(_operator), name=_name)(lambda spark, d, run=_run: run(_keys(spark, d, _FIRST), _keys(spark, d, _SECOND)))
 
 
 @add("SELECT c_custkey AS key, c_name AS name, NULL::DOUBLE AS balance FROM customer UNION ALL SELECT s_suppkey, s_name, s_acctbal FROM supplier")

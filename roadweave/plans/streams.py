@@ -82,7 +82,6 @@ def stream_assign(spark, d):
     from ..operators import cocluster
     from ..sources.tables import session_cells
 
-    past = session_cells(spark, d).traversal
-    model = cocluster.fit(BipartiteGraph(past.where("t % 10 = 0")), restarts=0, refine=False)
+    model = cocluster.fit(session_cells(spark, d), restarts=0, refine=False)
     counts = flows.latest(flows.run(flows.edge_counts(flows.events(spark, d)), "assign", mode="complete"))
     return cocluster.assign(model, BipartiteGraph(counts.withColumn("length", F.lit(1.0))))

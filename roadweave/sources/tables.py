@@ -51,11 +51,9 @@ def baskets(spark: SparkSession, sf_dir: str) -> BipartiteGraph:
     return BipartiteGraph.of(joined, t="o_custkey", s="l_partkey", n=None, length="p_size")
 
 
-def shipments(spark: SparkSession, sf_dir: str, *, every: int = 1) -> BipartiteGraph:
-    """Orders and their suppliers; ``every`` keeps each order whose key it divides."""
+def shipments(spark: SparkSession, sf_dir: str) -> BipartiteGraph:
+    """Orders and their suppliers."""
     lines = table(spark, sf_dir, "lineitem").select("l_orderkey", "l_suppkey")
-    if every > 1:
-        lines = lines.where(F.col("l_orderkey") % every == 0)
     return BipartiteGraph.of(lines, t="l_orderkey", s="l_suppkey", n=None, length=None)
 
 
