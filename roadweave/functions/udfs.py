@@ -7,24 +7,24 @@ from difflib import SequenceMatcher
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import SparkSession
+from pyspark.sql import SparkSession, types as T
 from pyspark.sql.functions import pandas_udf, udf, udtf
 
 
-@udf("double", useArrow=True)
+@udf(T.DoubleType(), useArrow=True)
 def edit_similarity(a: str, b: str) -> float:
     """Share of two strings that matches in order; null with a null."""
     return None if a is None or b is None else SequenceMatcher(None, a, b).ratio()
 
 
-@pandas_udf("long")
+@pandas_udf(T.LongType())
 def weighted_mode(value: pd.Series, weight: pd.Series) -> int:
     """The value of most weight in a group; ties go to the smallest."""
     total = weight.groupby(value).sum()
     return int(total[total == total.max()].index.min()) if len(total) else None
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def log_gamma(n: Iterator[pd.Series]) -> Iterator[pd.Series]:
     """ln of the gamma function, by batches."""
     from math import lgamma
@@ -33,7 +33,7 @@ def log_gamma(n: Iterator[pd.Series]) -> Iterator[pd.Series]:
         yield pd.Series(np.array([lgamma(v) for v in x.to_numpy(dtype=float)]))
 
 
-@udtf(returnType="pos int, a long, b long")
+@udtf(returnType=T.StructType([T.StructField("pos", T.IntegerType()), T.StructField("a", T.LongType()), T.StructField("b", T.LongType())]))
 class PathSteps:
     """Consecutive pairs of a path."""
 
@@ -42,7 +42,7 @@ class PathSteps:
             yield i, a, b
 
 
-@udtf(returnType="v long")
+@udtf(returnType=T.StructType([T.StructField("v", T.LongType())]))
 class ZoneVertices:
     """Vertices of a zone of the lattice."""
 
