@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, functions as F
 
 from . import bpe, exact, labeller, langid, neardup, packing, rules, secrets, sql, urls, warc
 
@@ -47,7 +47,8 @@ def op8_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return urls.judge(_table(spark, sf_dir, "pages"))
+    found = urls.judge(_table(spark, sf_dir, "pages"))
+    return found.select("page_id", "host", "path", "rule", "verdict", F.round("lm_score", 6).alias("lm_score"))
 
 
 def op10_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -71,4 +72,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_warc": sql.WARC, "op10_exact_dedup": sql.EXACT_DEDUP}
+    return {"op3_secret_scans": sql.SECRET_SCANS, "op4_warc": sql.WARC, "op9_url_filter": sql.URL_FILTER, "op10_exact_dedup": sql.EXACT_DEDUP}
