@@ -4,7 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession, functions as F
 
-from ..model import BipartiteGraph
+from ..model import BipartiteGraph, to_traversals
 from ..operators import agreement, cocluster, criterion, greedy, hierarchy, ingest, modularity, mutual, network, rivals, routing, similarity, weights
 from ..scratch import materialise, new_path
 from ..sources import tables
@@ -754,3 +754,41 @@ def sink_checkpoint_levels(spark, d):
     path = new_path(spark, "levels")
     hierarchy.nested(edges, max_depth=2).write.partitionBy("level").parquet(path)
     return spark.read.parquet(path).where("level = 2").select("v", "cluster", "parent")
+
+
+@add(f"WITH e AS ({_G8}) SELECT x.s AS a, y.s AS b, count(*) AS common, 0.0::DOUBLE AS omega FROM e x JOIN e y ON x.t = y.t AND x.s < y.s GROUP BY 1, 2")
+def keep_zero_edges_g8(spark, d):
+    """Edges by shared neighbours alone: no nation is rare enough to weigh anything, and the edges are kept all the same."""
+    graph = BipartiteGraph(tables.flows(spark, d).traversal.withColumn("length", F.lit(1.0)))
+    flat = weights.visit_tfidf(graph).withColumn("w", F.lit(0.0))
+    pairs = similarity.feature_pairs(flat).groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"), F.sum(F.col("wa") * F.col("wb")).alias("omega"))
+    return pairs.select("a", "b", "common", "omega")
+
+
+@add()
+def planted_random_classes(spark, d):
+    """The generator with random zones and sizes: six classes and how well communities tell them apart."""
+    _, labels, edges = _side(spark, d, classes=network.zone_pairs(spark, 6), span=4)
+    return _report(labels, modularity.communities(edges))
+
+
+@add()
+def reference_costs_g1(spark, d):
+    """Code length of the planted classes with the fitted columns, beside the fitted model, one block and single vertices."""
+    graph, labels, _ = _planted(spark, d)
+    model = cocluster.fit(graph, restarts=1)
+    planted = labels.select(F.col("v").alias("t"), F.col("klass").cast("long").alias("ct"))
+    choices = {"fitted": (model.row_part, model.col_part), "planted rows": (planted, model.col_part), "one block": criterion.null_model(graph), "finest": criterion.finest(graph)}
+    out = None
+    for name, parts in choices.items():
+        one = criterion.cost(graph, *parts).withColumn("model", F.lit(name))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+@add()
+def dropped_segments_g1(spark, d):
+    """A fifth of the visited segments is missing from the paths: agreement of the first level."""
+    _, labels, paths = tables.planted(spark, d)
+    graph = BipartiteGraph.of(to_traversals(network.noisy_paths(paths, 20), network.segments(spark)))
+    return _report(labels, modularity.communities(similarity.project(graph, side="t")))
