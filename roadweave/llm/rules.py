@@ -34,7 +34,7 @@ PRECISION, CONDITIONS, RULES, LEAST = 0.95, 4, 12, 4
 #: Fixed values of the base rules: words at least, and percent of repeated words at most.
 LEAST_WORDS, REPEATED_PERCENT = 50, 50
 
-COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper", "n_letters", "n_digits", "n_marks", "n_top_word", "n_capped_words", "n_distinct_words")
+COUNTS = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "n_lines", "n_upper", "n_letters", "n_digits", "n_marks", "n_top_word", "n_capped_words", "n_distinct_words", "n_run_words")
 RATIOS = {
     "symbol_share": ("n_symbols", "word_chars"),
     "symbols_per_word": ("n_symbols", "n_words"),
@@ -45,7 +45,8 @@ RATIOS = {
     "digit_share": ("n_digits", "word_chars"),
     "mark_share": ("n_marks", "word_chars"),
     "top_word_share": ("n_top_word", "n_words"),
-    "distinct_share": ("n_distinct_words", "n_words"),
+    # Runs of one word tell the same at every length, as the share of distinct words does not.
+    "run_share": ("n_run_words", "n_words"),
 }
 FEATURES = ("n_words", *RATIOS)
 
@@ -81,6 +82,9 @@ def statistics(data: np.ndarray, offsets: np.ndarray) -> dict[str, np.ndarray]:
     out["n_words"] = words
     row = np.repeat(np.arange(n), words)
     out["n_capped_words"] = np.bincount(row[_UPPER[data[starts]]], minlength=n)
+    again = np.zeros(len(hashes), dtype=bool)
+    again[1:] = (hashes[1:] == hashes[:-1]) & (row[1:] == row[:-1])
+    out["n_run_words"] = np.bincount(row[again], minlength=n)
     _, times, kinds = kernel.distinct(hashes, words)
     out["n_distinct_words"] = kinds
     out["n_top_word"] = _row_max(times, kinds)

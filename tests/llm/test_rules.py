@@ -16,7 +16,8 @@ def brute(text):
     grams = [tuple(words[i : i + 3]) for i in range(len(words) - 2)]
     often = Counter(grams)
     covered = {i + j for i, g in enumerate(grams) if often[g] > 1 for j in range(3)}
-    return len(words), sum(map(len, words)), sum(c in "#*$%&|<>" for c in text), len(lines) - len(set(lines)), len(covered)
+    runs = sum(a == b for a, b in zip(words, words[1:]))
+    return runs, len(words), sum(map(len, words)), sum(c in "#*$%&|<>" for c in text), len(lines) - len(set(lines)), len(covered)
 
 
 def check(docs):
@@ -24,7 +25,7 @@ def check(docs):
     rows = rules.measure(docs).collect()
     assert len(rows) == docs.count()
     for r in rows:
-        assert tuple(r[c] for c in rules.COUNTS[:5]) == brute(r["doc_id"]), r["doc_id"]
+        assert tuple(r[c] for c in ("n_run_words", *rules.COUNTS[:5])) == brute(r["doc_id"]), r["doc_id"]
 
 
 def test_counts_against_brute_force(spark, odd_docs, sample):
