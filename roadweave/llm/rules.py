@@ -48,7 +48,9 @@ RATIOS = {
     # Runs of one word tell the same at every length, as the share of distinct words does not.
     "run_share": ("n_run_words", "n_words"),
 }
-FEATURES = ("n_words", *RATIOS)
+#: What rules may ask for: shares that mean the same at every length and in every language. Length, mean word length and
+#: the commonest word's share are measured but left out, as they differ between clean documents too.
+FEATURES = tuple(r for r in RATIOS if r not in ("mean_word", "top_word_share"))
 
 
 def _flags(chars: bytes) -> np.ndarray:
