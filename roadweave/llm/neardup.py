@@ -18,9 +18,12 @@ Candidates: improved consistent weighted sampling draws ``BANDS * ROWS`` samples
 of each text; a bucket is a band with equal samples. Texts with the same words
 are one text here. In a bucket the text that shares most buckets with others is
 compared with every other text, so work is linear in the bucket; the links so
-found give components, and while buckets hold several components, those who
-are left meet by two bands at once, led by the most central text again, until a
-round finds no link. Classes are the components of all links.
+found give components. Texts that are left in a bucket of several components
+then meet by the rarest shingles of each, up to the share of its weight that two
+near-duplicates can not both lack; no pair is lost by that, and texts that only
+share a frequent passage part. Rounds with more and more leaders go on until no
+pair of different components is left that was not compared. Classes are the
+components of all links.
 
 Defined results: null counts as empty; a text without words is a class of its
 own; a class's id is its least document id, of equal ids one row stays; a null
@@ -49,9 +52,9 @@ SIMILARITY = 0.8
 BANDS, ROWS = 10, 3
 DF_BUCKETS = 1 << 18
 DAMPING = 0.25
-#: Bands that each band is joined with after the first round.
-OTHERS = 3
-#: Leaders of a bucket after the first round.
+#: Allowed for sums of weights in another order.
+SLACK = 1e-9
+#: Leaders of a bucket after the first round, and by how much their number grows with each round.
 LEADERS = 4
 
 
@@ -213,46 +216,54 @@ def classes(
     bodies = materialise(bodies.select("v", "text"), "near-bodies")
     if not small(wanted.where("doc_id is null"), 0) or bodies.count() > wanted.count():
         bodies = materialise(bodies.dropDuplicates(["v"]), "near-bodies")
-    links = _links(shared, texts, bodies, idf, similarity=similarity, width=width)
+    links = _links(shared, bodies, idf, similarity=similarity, width=width)
     return _result(signed, texts, components(links))
 
 
-def _links(shared: DataFrame, texts: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity: float, width: int) -> DataFrame:
+def _links(shared: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity: float, width: int) -> DataFrame:
     """All links, by rounds of leaders over the buckets that hold more than one component.
 
     The first round is over the bands' buckets. Whoever is left in a bucket of
-    several components then goes by two bands at once, so that texts which only
-    share a common passage part at once and no large bucket is gone over again.
+    several components then goes by prefixes of shingles. The rounds end when
+    every pair of a bucket was compared or has one component.
     """
     most = F.max(F.struct("central", (-F.col("v")).alias("back")))
     links = tried = known = None
-    buckets = shared.withColumn("c", F.col("v"))
+    leaders = LEADERS
+    buckets = shared.withColumns({"c": F.col("v"), "total": F.lit(1.0)})
     while True:
         first = links is None
         several = buckets.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
-        # Later rounds have one leader for each part of a bucket, so that there are fewer rounds.
-        part = F.lit(0) if first else F.pmod(F.xxhash64("v"), F.lit(LEADERS))
+        # Later rounds have leaders of several components, so that a bucket of few is done at once.
+        part = F.lit(0) if first else F.pmod(F.xxhash64("c"), F.lit(leaders))
         heads = buckets.groupBy("band", "bucket", part.alias("part")).agg(most.alias("head")).join(several, ["band", "bucket"])
         heads = materialise(heads.select("band", "bucket", (-F.col("head.back")).alias("a")), "near-heads")
-        head_of = buckets.select(F.col("v").alias("a"), F.col("c").alias("ca")).distinct()
+        if not first and heads.isEmpty():
+            return links
+        head_of = buckets.select(F.col("v").alias("a"), F.col("c").alias("ca"), F.col("total").alias("total_a")).distinct()
         met = buckets.join(heads.join(head_of, "a"), ["band", "bucket"]).where("c <> ca")
+        # No pair is more similar than the lesser of the two sums of weights is to the greater.
+        met = met.where(F.least("total", "total_a") >= F.greatest("total", "total_a") * (similarity - SLACK))
         pairs = met.select(F.least("a", "v").alias("a"), F.greatest("a", "v").alias("b")).distinct()
         if tried is not None:
             pairs = pairs.join(tried, ["a", "b"], "left_anti")
         pairs = materialise(pairs, "near-pairs")
         found = materialise(verified(pairs, bodies, idf, similarity=similarity, width=width), "near-links")
         links = found if first else links.unionByName(found)
-        if found.isEmpty():
-            return links
         tried = pairs if first else tried.unionByName(pairs)
         # Labels only spare comparisons, so later rounds bring them up to date for the new links alone.
-        known = components(found) if first else _relabelled(known, found)
+        if first:
+            known = components(found)
+        elif not found.isEmpty():
+            known = _relabelled(known, found)
         # Leaders have met their whole bucket and are done with it; buckets of one component are done.
         left = buckets.drop("c").join(heads.select("band", "bucket").distinct(), ["band", "bucket"], "left_semi")
         left = left.join(heads.withColumnRenamed("a", "v"), ["band", "bucket", "v"], "left_anti")
         buckets = left.join(known, "v", "left").withColumn("c", F.coalesce("c", "v"))
         if first:
-            buckets = _by_two_bands(materialise(buckets, "near-left"), texts)
+            buckets = _by_prefixes(materialise(buckets, "near-left"), bodies, idf, similarity=similarity, width=width)
+        else:
+            leaders *= LEADERS
         buckets = materialise(buckets, "near-open")
 
 
@@ -268,16 +279,39 @@ def _relabelled(known: DataFrame, found: DataFrame) -> DataFrame:
     return materialise(labels, "near-labels")
 
 
-def _by_two_bands(left: DataFrame, texts: DataFrame) -> DataFrame:
-    """Entries of buckets with several components, each with the buckets of the next ``OTHERS`` bands added to its own."""
+def prefixes(column: pa.Array, idf: np.ndarray, *, similarity: float, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Each text's rarest shingles end to end, their number and the sum of all weights by text.
+
+    What follows a prefix weighs less than ``similarity`` of its text, so two texts
+    of that similarity share a shingle of both prefixes: all have one order, and
+    what they share weighs at least that part of either.
+    """
+    hashes, weights, counts, _, _ = weighted_sets(column, idf, width)
+    text = np.repeat(np.arange(len(counts)), counts)
+    order = np.lexsort((hashes, -_weights_of(hashes, np.ones(len(hashes)), idf), text))
+    total = np.bincount(text, weights=weights, minlength=len(counts))
+    run = np.concatenate([[0.0], np.cumsum(weights[order])])
+    starts = np.cumsum(counts) - counts
+    before = run[:-1] - np.repeat(run[starts], counts)
+    inside = total[text] - before >= (similarity - SLACK) * total[text]
+    return hashes[order][inside], np.bincount(text[inside], minlength=len(counts)), total
+
+
+def _by_prefixes(left: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity: float, width: int) -> DataFrame:
+    """Texts of buckets with several components, in a bucket for each shingle of their prefixes."""
     of = left.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
-    both = left.join(of, ["band", "bucket"]).join(texts.select("v", "bands"), "v")
-    n = F.size("bands")
-    other = F.transform(F.sequence(F.lit(1), F.least(F.lit(OTHERS), n - 1)), lambda i: F.struct((F.col("band") * 1000 + i).alias("band"), F.get("bands", (F.col("band") + i) % n).alias("more")))
-    finer = both.select("v", "central", "c", "bucket", F.explode(other).alias("o"))
-    finer = finer.select("v", "central", "c", F.col("o.band").alias("band"), F.xxhash64("bucket", "o.more").alias("bucket"))
-    several = finer.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
-    return finer.join(several, ["band", "bucket"])
+    still = left.join(of, ["band", "bucket"]).select("v", "central", "c").distinct()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for part, column in arrow.text_chunks(batches, "text"):
+            found, counts, total = prefixes(column, idf.value, similarity=similarity, width=width)
+            flat = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(found.astype(np.int64)))
+            yield pa.RecordBatch.from_arrays([part.column("v"), part.column("central"), part.column("c"), pa.array(total), flat], names=["v", "central", "c", "total", "rare"])
+
+    own = still.join(bodies, "v").select("v", "central", "c", "text").mapInArrow(run, "v long, central long, c long, total double, rare array<long>")
+    entries = materialise(own.select(F.lit(-1).alias("band"), F.explode("rare").alias("bucket"), "v", "central", "total", "c"), "near-prefixes")
+    several = entries.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
+    return entries.join(several, ["band", "bucket"])
 
 
 def _result(signed: DataFrame, texts: DataFrame, known: DataFrame) -> DataFrame:

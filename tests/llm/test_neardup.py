@@ -111,3 +111,34 @@ def test_odd_rows(spark, odd_docs):
     assert kept.where("text = 'one two three'").count() == 1
     empty = spark.createDataFrame([], "doc_id long, text string, kept int")
     assert neardup.classes(empty).count() == 0 and neardup.drop_near(empty).count() == 0
+
+
+def test_every_similar_pair_of_a_bucket_is_found(spark):
+    """Many texts share a long passage and meet in few, large buckets, whose leaders are like none of them."""
+    rng = random.Random(11)
+    passage = " ".join(f"p{i}" for i in range(140))
+    texts = [f"{passage} " + " ".join(f"w{i}x{j}" for j in range(45)) for i in range(60)]
+    texts += [changed(rng, t, 0.012) for t in texts[:30]]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    idf = spark.sparkContext.broadcast(neardup.document_frequencies(docs))
+    signed = neardup.signatures(docs, idf, id_col="doc_id", text_col="text", width=neardup.WIDTH, bands=2, rows=1).collect()
+    keys = {r["doc_id"]: r["bands"] for r in signed}
+    pairs = [(i, j) for i in range(len(texts)) for j in range(i) if any(a == b for a, b in zip(keys[i], keys[j]))]
+    s = neardup.similarities(pa.array([texts[i] for i, _ in pairs]), pa.array([texts[j] for _, j in pairs]), idf.value, neardup.WIDTH)
+    similar = [p for p, x in zip(pairs, s) if x >= neardup.SIMILARITY]
+    assert len(pairs) > 300 and 10 < len(similar) < 40
+    of = {r["doc_id"]: r["class_id"] for r in neardup.classes(docs, bands=2, rows=1).collect()}
+    assert [p for p in similar if of[p[0]] != of[p[1]]] == []
+
+
+def test_prefixes_of_similar_texts_meet():
+    texts = corpus()[:190]
+    rng = np.random.default_rng(3)
+    idf = rng.uniform(1, 2, 64)
+    column = pa.array([t or "" for t in texts])
+    found, counts, _ = neardup.prefixes(column, idf, similarity=neardup.SIMILARITY, width=neardup.WIDTH)
+    own = [set(x.tolist()) for x in np.split(found, np.cumsum(counts)[:-1])]
+    pairs = [(i, j) for i in range(len(texts)) for j in range(i)]
+    s = neardup.similarities(column.take([i for i, _ in pairs]), column.take([j for _, j in pairs]), idf, neardup.WIDTH)
+    similar = [p for p, x in zip(pairs, s) if x >= neardup.SIMILARITY]
+    assert len(similar) > 20 and all(own[i] & own[j] for i, j in similar)
