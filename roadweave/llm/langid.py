@@ -2,8 +2,8 @@
 
 Every training document is counted: character grams of ``ORDER`` symbols inside
 words, letters in lower case, with the word's edges as a symbol. Partial counts
-are summed by Spark; what the driver gathers is bounded by ``MAX_GRAMS`` through
-a share of the language's total that a gram must have. For each language and
+are summed by Spark; the driver reads all of them, a language at a time, so the
+model grows with the distinct grams of the input. For each language and
 order the model keeps two arrays of sorted 64-bit hashes, of grams with their
 discounted probability and of contexts with their interpolation weight. A text
 goes to the language of least cross-entropy per symbol.
@@ -29,14 +29,12 @@ from functools import lru_cache
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window, functions as F, types as T
+from pyspark.sql import DataFrame, functions as F, types as T
 
 from ..scratch import materialise
 from . import arrow
 
 ORDER = 4
-#: Grams of all languages together that a model holds at most.
-MAX_GRAMS = 800_000
 #: Standard errors that rejection allows for a text's length.
 Z = 4.0
 #: Symbols of evidence that the score counts at most.
@@ -137,13 +135,13 @@ class Order:
 class Model:
     """Models of all languages, from their gram counts."""
 
-    def __init__(self, counts: pd.DataFrame):
-        self.languages = sorted(counts["lang"].unique())
+    def __init__(self, counts: dict[str, pd.DataFrame]):
+        self.languages = sorted(counts)
         self.orders: list[list[Order]] = []
         own: list[tuple[list[np.ndarray], np.ndarray]] = []
         seen = [np.zeros(0, np.uint64)]
         for lang in self.languages:
-            rows = counts[counts["lang"] == lang]
+            rows = counts[lang]
             packed, far, n = rows["near"].to_numpy(np.uint64), rows["far"].to_numpy(np.uint64), rows["n"].to_numpy(np.float64)
             mask = np.uint64((1 << 21) - 1)
             grams = [packed & mask, (packed >> np.uint64(21)) & mask, packed >> np.uint64(42), far]
@@ -286,16 +284,13 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_pandas(merged(), preserve_index=False)
 
 
-def fit(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang", max_grams: int = MAX_GRAMS) -> Model:
-    """Model of all rows that have a language; every row is counted."""
+def fit(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang") -> Model:
+    """Model of all rows that have a language; every row is counted and every gram kept."""
     own = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang"))
     counts = own.mapInArrow(_count, "lang string, near long, far long, n long").groupBy("lang", "near", "far").agg(F.sum("n").alias("n"))
     counts = materialise(counts, "lang-grams")
-    totals = counts.groupBy("lang").agg(F.sum("n").alias("total"))
-    shares = totals.select("lang", "total", F.count(F.lit(1)).over(Window.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("langs"))
-    # At most max_grams / langs grams of a language can pass.
-    kept = counts.join(F.broadcast(shares), "lang").where(F.col("n") * max_grams > F.col("total") * F.col("langs")).select("lang", "near", "far", "n")
-    return Model(kept.toPandas())
+    languages = sorted(r["lang"] for r in counts.select("lang").distinct().collect())
+    return Model({lang: counts.where(F.col("lang") == lang).select("near", "far", "n").toPandas() for lang in languages})
 
 
 RESULTS = ("__lang_pred", "__lang_score", "__lang_bits", "__lang_rejected")

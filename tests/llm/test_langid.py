@@ -106,3 +106,20 @@ def test_foreign_text_is_rejected_and_columns_stay(spark):
     kept = langid.keep_known(docs.unionByName(alien))
     assert kept.columns == docs.columns
     assert kept.where("doc_id < 0").count() == 0 and kept.count() >= 0.99 * docs.count()
+
+
+def test_rare_grams_stay_in_a_large_corpus(spark):
+    """1.2 million symbols in one of two languages: once all grams with 3 or fewer occurrences were dropped."""
+    learn = {"a": ["the " * 300_000, "cat hat sat"], "b": ["der hut der hut", "katze"]}
+    docs = spark.createDataFrame([(t, lang) for lang, ts in learn.items() for t in ts], "text string, lang string")
+    model = langid.fit(docs)
+    for text in ("cat hat", "katze", "the sat"):
+        code, _, _ = langid.symbols([text])
+        bits = model.bits(langid.contexts(code))
+        for i, lang in enumerate(model.languages):
+            p = kneser_ney(learn[lang])
+            expected = []
+            for w in words(text):
+                padded = "\0" * (langid.ORDER - 1) + w + "\0"
+                expected += [-math.log2(p(padded[j - langid.ORDER + 1 : j + 1], model.floor)) for j in range(langid.ORDER - 1, len(padded))]
+            assert np.allclose(bits[:, i], expected), (text, lang)
