@@ -237,7 +237,11 @@ def coarsen(model: CoClustering, k_t: int, k_s: int) -> DataFrame:
 
 
 def assign(model: CoClustering, new: BipartiteGraph) -> DataFrame:
-    """``(t, ct)`` for new trajectories: the cluster whose visits make theirs most likely; unknown segments are left out."""
+    """``(t, ct)`` for all new trajectories: the cluster whose visits make theirs most likely.
+
+    Unknown segments tell nothing; a trajectory of unknown segments alone goes to
+    the cluster with the most visits, of equal ones the least.
+    """
     block = model.block
     columns = block.agg(F.count_distinct("cs").alias("k"))
     known = block.withColumn("p", F.col("m") / F.sum("m").over(Window.partitionBy("ct")))
@@ -247,7 +251,10 @@ def assign(model: CoClustering, new: BipartiteGraph) -> DataFrame:
     pairs = mine.crossJoin(F.broadcast(clusters)).join(F.broadcast(known.select("ct", "cs", "p")), ["ct", "cs"], "left").crossJoin(F.broadcast(columns))
     score = F.sum(F.col("n") * F.ln(F.coalesce("p", F.lit(0.0)) * 0.999 + 0.001 / F.col("k")))
     best = pairs.groupBy("t", "ct").agg(F.round(score, 9).alias("score")).groupBy("t").agg(F.max(F.struct("score", (-F.col("ct")).alias("back"))).alias("best"))
-    return best.select("t", (-F.col("best.back")).alias("ct"))
+    of = best.select("t", (-F.col("best.back")).alias("ct"))
+    prior = block.groupBy("ct").agg(F.sum("m").alias("mass")).agg(F.max(F.struct("mass", (-F.col("ct")).alias("back"))).alias("most"))
+    every = new.traversal.select("t").distinct().join(of, "t", "left").crossJoin(F.broadcast(prior))
+    return every.select("t", F.coalesce("ct", -F.col("most.back")).alias("ct"))
 
 
 def fit_sampled(graph: BipartiteGraph, *, share: float, seed: int = 42, **options) -> DataFrame:

@@ -69,6 +69,17 @@ def test_assignment_finds_the_cluster_of_its_like(spark):
     assert given.count() == 20 and not set(halves[0]["c"]) & set(halves[1]["c"])
 
 
+def test_assignment_has_a_row_for_trajectories_of_unknown_segments(spark):
+    graph = planted_graph(spark, rows=20)
+    model = cocluster.fit(graph, restarts=0)
+    mass = {r["ct"]: r["m"] for r in model.block.groupBy("ct").agg(F.sum("m").alias("m")).collect()}
+    segment = graph.traversal.first()["s"]
+    new = spark.createDataFrame([(1000, segment, 3), (1000, -5, 1), (1001, -5, 2), (1001, -6, 1)], "t long, s long, n long").withColumn("length", F.lit(1.0))
+    given = {r["t"]: r["ct"] for r in cocluster.assign(model, BipartiteGraph(new)).collect()}
+    assert given.keys() == {1000, 1001}
+    assert given[1001] == min(c for c, m in mass.items() if m == max(mass.values()))
+
+
 def test_coarsening_reaches_the_numbers_asked_for(spark):
     model = cocluster.fit(planted_graph(spark), restarts=0)
     part = cocluster.coarsen(model, 1, 2)
