@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, functions as F
 
+from .joins import key_join
 from .scratch import materialise
 
 
@@ -19,10 +20,11 @@ def components(links: DataFrame, *, a: str = "a", b: str = "b") -> DataFrame:
     labels = materialise(edges.groupBy("v").agg(F.least(F.min("u"), F.first("v")).alias("c")).select("v", "c"), "component-labels")
     while True:
         near = edges.join(labels.select(F.col("v").alias("u"), "c"), "u").groupBy("v").agg(F.min("c").alias("near"))
-        # Both uses of this join run in one job, which a small graph's many rounds repay.
-        met = labels.join(near, "v", "left").select("v", F.col("c").alias("was"), F.least("c", F.coalesce("near", "c")).alias("c"))
-        jump = met.select(F.col("v").alias("c"), F.col("c").alias("next"))
-        new = materialise(met.join(jump, "c", "left").select("v", "was", F.least("c", F.coalesce("next", "c")).alias("c")), "component-labels")
+        met = materialise(labels.join(near, "v").select("v", F.col("c").alias("was"), F.least("c", "near").alias("c")), "component-met")
+        # Only labels are looked up, and each of them once, so a giant component is one row here.
+        used = met.select("c").distinct()
+        jump = met.join(used.withColumnRenamed("c", "v"), "v", "left_semi").where("c <> v").select(F.col("v").alias("c"), F.col("c").alias("next"))
+        new = materialise(key_join(met, materialise(jump, "component-jumps"), ["c"], "left").select("v", "was", F.coalesce("next", "c").alias("c")), "component-labels")
         if new.where("was <> c").isEmpty():
             return new.select("v", "c")
         labels = new.select("v", "c")
