@@ -15,15 +15,21 @@ Two texts are near-duplicates if the weighted Jaccard similarity of their sets,
 computed in full, is ``similarity`` or more.
 
 Candidates: improved consistent weighted sampling draws ``BANDS * ROWS`` samples
-of each text; a bucket is a band with equal samples. Texts with the same words
-are one text here. In a bucket the text that shares most buckets with others is
-compared with every other text, so work is linear in the bucket; the links so
-found give components. Texts that are left in a bucket of several components
-then meet by the rarest shingles of each, up to the share of its weight that two
-near-duplicates can not both lack; no pair is lost by that, and texts that only
-share a frequent passage part. Rounds with more and more leaders go on until no
-pair of different components is left that was not compared. Classes are the
-components of all links.
+of each text; a bucket is a band with equal samples, and all pairs of a bucket are
+candidates. Texts with the same words are one text here. What is compared is less
+than that, and no link is lost:
+
+* In a bucket the text that shares most buckets with others is compared with every
+  other text. Links give components, and pairs of one component need no comparison.
+* Of what is left, the texts outside a bucket's largest component are queries
+  against all its texts, in tiles of bounded size. A tile's texts are read once and
+  its pairs leave one link for each query and other component at most.
+* A bucket with more than ``wide`` queries is first met by further leaders, as long as
+  that links a tenth of its queries; then its texts meet by the rarest shingles of
+  each, up to the share of its weight that two near-duplicates can not both lack.
+  So texts that only share a frequent passage part.
+
+Classes are the components of all links.
 
 Defined results: null counts as empty; a text without words is a class of its
 own; a class's id is its least document id, of equal ids one row stays; a null
@@ -35,11 +41,12 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import groupby, pairwise
 
 import numpy as np
 import pyarrow as pa
 from pyspark import Broadcast
-from pyspark.sql import DataFrame, functions as F, types as T
+from pyspark.sql import Column, DataFrame, Window, functions as F, types as T
 
 from ..components import components
 from ..joins import key_join, small
@@ -54,8 +61,12 @@ DF_BUCKETS = 1 << 18
 DAMPING = 0.25
 #: Allowed for sums of weights in another order.
 SLACK = 1e-9
-#: Leaders of a bucket after the first round, and by how much their number grows with each round.
-LEADERS = 4
+#: Texts, and shingles, of one side of a tile on average.
+TILE, TILE_SHINGLES = 256, 1 << 17
+#: Queries of a bucket from which on it is parted by rare shingles, and its leaders in a further round.
+WIDE, LEADERS = 20_000, 16
+#: Share of the queries of wide buckets that a round of leaders must link for another one.
+LEAST_GAIN = 0.1
 
 
 def _weights_of(hashes: np.ndarray, times: np.ndarray, idf: np.ndarray) -> np.ndarray:
@@ -141,9 +152,14 @@ def document_frequencies(docs: DataFrame, *, text_col: str = "text", width: int
 
 
 def signatures(docs: DataFrame, idf: Broadcast, *, id_col: str, text_col: str, width: int, bands: int, rows: int) -> DataFrame:
-    """Of every row: two hashes of its words, the number of its shingles and its band keys."""
+    """Of every row: two hashes of its words, the number of its shingles, the sum of their weights and its band keys."""
     schema = T.StructType(
-        [T.StructField("doc_id", docs.schema[id_col].dataType), *(T.StructField(x, T.LongType()) for x in ("key", "f1", "f2", "n")), T.StructField("bands", T.ArrayType(T.LongType(), False))]
+        [
+            T.StructField("doc_id", docs.schema[id_col].dataType),
+            *(T.StructField(x, T.LongType()) for x in ("key", "f1", "f2", "n")),
+            T.StructField("total", T.DoubleType()),
+            T.StructField("bands", T.ArrayType(T.LongType(), False)),
+        ]
     )
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -152,12 +168,17 @@ def signatures(docs: DataFrame, idf: Broadcast, *, id_col: str, text_col: str, w
             keys = band_keys(hashes, weights, kinds, bands, rows).astype(np.int64)
             has = kinds > 0
             flat = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(has * bands)]).astype(np.int32)), pa.array(keys.ravel()))
-            yield pa.RecordBatch.from_arrays([part.column("id"), part.column("key"), pa.array(f1), pa.array(f2), pa.array(kinds.astype(np.int64)), flat], names=schema.names)
+            yield pa.RecordBatch.from_arrays([part.column("id"), part.column("key"), pa.array(f1), pa.array(f2), pa.array(kinds.astype(np.int64)), pa.array(_sums(weights, kinds)), flat], names=schema.names)
 
     own = docs.select(F.col(id_col).alias("id"), losers.content_key(text_col).alias("key"), F.lower(F.col(text_col).cast("string")).alias("text"))
     return own.mapInArrow(run, schema)
 
 
+def _sums(values: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Sum of each row's values, always in the same order."""
+    return np.bincount(np.repeat(np.arange(len(counts)), counts), weights=values, minlength=len(counts)).astype(np.float64)
+
+
 def similarities(a: pa.Array, b: pa.Array, idf: np.ndarray, width: int) -> np.ndarray:
     """Weighted Jaccard similarity of the texts in the same place."""
     left, right = weighted_sets(a, idf, width), weighted_sets(b, idf, width)
@@ -181,7 +202,7 @@ def verified(pairs: DataFrame, texts: DataFrame, idf: Broadcast, *, similarity:
             # Leaders may be longer than members, so the other text bounds slices too.
             for own in arrow.slices(part, "text_a", arrow.SLICE_BYTES // 2):
                 s = similarities(own.column("text_a"), own.column("text_b"), idf.value, width)
-                near = np.flatnonzero(s >= similarity)
+                near = np.flatnonzero(s >= similarity - SLACK)
                 yield pa.RecordBatch.from_arrays([own.column("a").take(near), own.column("b").take(near), pa.array(s[near])], names=["a", "b", "similarity"])
 
     return met.select("a", "b", "text_a", "text_b").mapInArrow(run, "a long, b long, similarity double")
@@ -196,6 +217,8 @@ def classes(
     width: int = WIDTH,
     bands: int = BANDS,
     rows: int = ROWS,
+    tile: int = TILE,
+    wide: int = WIDE,
 ) -> DataFrame:
     """One row per document: its class, the class's size, and whether it is the one that stays."""
     spark = docs.sparkSession
@@ -203,80 +226,168 @@ def classes(
     signed = signatures(docs, idf, id_col=id_col, text_col=text_col, width=width, bands=bands, rows=rows)
     signed = materialise(signed.withColumn("row_id", F.monotonically_increasing_id()), "near-signatures")
     # Texts with the same words are one text from here on, known by its first row.
-    alike = signed.where("n > 0").groupBy("f1", "f2").agg(F.min(F.struct("doc_id", "row_id", "key", "bands")).alias("first"))
-    texts = materialise(alike.select("f1", "f2", F.col("first.doc_id").alias("doc_id"), F.col("first.row_id").alias("v"), F.col("first.key").alias("key"), F.col("first.bands").alias("bands")), "near-texts")
-    entries = texts.select("v", F.posexplode("bands").alias("band", "bucket"))
+    alike = signed.where("n > 0").groupBy("f1", "f2").agg(F.min(F.struct("doc_id", "row_id", "key", "n", "total", "bands")).alias("first"))
+    texts = materialise(alike.select("f1", "f2", F.col("first.row_id").alias("v"), *[f"first.{x}" for x in ("doc_id", "key", "n", "total", "bands")]), "near-texts")
+    entries = texts.select("v", "n", "total", F.posexplode("bands").alias("band", "bucket"))
     sizes = entries.groupBy("band", "bucket").agg(F.count(F.lit(1)).alias("size")).where("size > 1")
     shared = materialise(entries.join(sizes, ["band", "bucket"]), "near-shared")
     central = shared.groupBy("v").agg(F.sum("size").alias("central"))
-    shared = materialise(shared.join(central, "v").select("band", "bucket", "v", "central"), "near-buckets")
+    shared = materialise(shared.drop("size").join(central, "v"), "near-buckets")
     wanted = materialise(texts.join(shared.select("v").distinct(), "v").select("v", "doc_id", "key"), "near-wanted")
     bodies = docs.select(F.col(id_col).alias("__id"), losers.content_key(text_col).alias("__key"), F.lower(F.col(text_col).cast("string")).alias("text"))
     bodies = key_join(bodies, wanted, bodies["__id"].eqNullSafe(wanted["doc_id"]) & (bodies["__key"] == wanted["key"]), "inner")
     bodies = materialise(bodies.select("v", "text"), "near-bodies")
     if not small(wanted.where("doc_id is null"), 0) or bodies.count() > wanted.count():
         bodies = materialise(bodies.dropDuplicates(["v"]), "near-bodies")
-    links = _links(shared, bodies, idf, similarity=similarity, width=width)
-    return _result(signed, texts, components(links))
+    return _result(signed, texts, _linked(shared, bodies, idf, similarity=similarity, width=width, tile=tile, wide=wide))
+
+
+def _linked(shared: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity: float, width: int, tile: int, wide: int) -> DataFrame:
+    """``(v, c)`` of the texts that have a link."""
+    options = {"similarity": similarity, "width": width}
+    most = F.max(F.struct("central", (-F.col("v")).alias("back"), "total"))
+    heads = shared.groupBy("band", "bucket").agg(most.alias("head"))
+    heads = materialise(heads.select("band", "bucket", (-F.col("head.back")).alias("head"), F.col("head.total").alias("head_total")), "near-heads")
+    met = shared.join(heads, ["band", "bucket"]).where("v <> head")
+    # No pair is more similar than the lesser of the two sums of weights is to the greater.
+    close = F.least("total", "head_total") >= F.greatest("total", "head_total") * (similarity - SLACK)
+    pairs = materialise(met.where(close).select(F.least("head", "v").alias("a"), F.greatest("head", "v").alias("b")).distinct(), "near-pairs")
+    known = materialise(components(verified(pairs, bodies, idf, **options)), "near-known")
+    # Leaders have met their whole bucket and are done with it.
+    rest = met.select("band", "bucket", "v", "n", "central").join(known, "v", "left").withColumn("c", F.coalesce("c", "v"))
+    rest = materialise(rest, "near-rest")
+    several = _several(rest, tile)
+    gain = 1.0
+    while gain >= LEAST_GAIN and not (broad := several.where(F.col("queries") > wide)).isEmpty():
+        heads = materialise(_leaders(rest, broad), "near-heads")
+        found = materialise(_tile_links(_tiles(_led(rest, broad, heads), bodies), idf, **options), "near-links")
+        met = rest.join(heads.select("band", "bucket", "v"), ["band", "bucket", "v"], "left_anti")
+        known, rest = _joined(known, met, found)
+        several = _several(rest, tile)
+        gain = found.select("b").distinct().count() / broad.agg(F.sum("queries").alias("n")).first()["n"]
+    if not (broad := several.where(F.col("queries") > wide)).isEmpty():
+        parted = _by_prefixes(rest.join(broad, ["band", "bucket"], "left_semi"), bodies, idf, **options)
+        rest = materialise(rest.join(broad, ["band", "bucket"], "left_anti").select(*parted.columns).unionByName(parted), "near-parted")
+        several = _several(rest, tile)
+    if several.isEmpty():
+        return known
+    found = materialise(_tile_links(_tiles(_placed(rest, several), bodies), idf, **options), "near-links")
+    return _joined(known, rest, found)[0]
+
+
+def _several(rest: DataFrame, tile: int) -> DataFrame:
+    """Buckets of several components: the largest component, the texts outside it, and tiles along either side."""
+    of = rest.groupBy("band", "bucket", "c").agg(F.count(F.lit(1)).alias("n"), F.sum("n").alias("shingles"))
+    of = of.groupBy("band", "bucket").agg(F.max(F.struct("n", "c", "shingles")).alias("top"), F.sum("n").alias("n"), F.sum("shingles").alias("shingles"), F.count(F.lit(1)).alias("kinds"))
+
+    def along(n: Column, shingles: Column) -> Column:
+        return F.greatest(F.ceil(n / tile), F.ceil(shingles / TILE_SHINGLES)).cast("int")
+
+    queries, wordy = F.col("n") - F.col("top.n"), F.col("shingles") - F.col("top.shingles")
+    found = of.where("kinds > 1").select("band", "bucket", F.col("top.c").alias("top"), queries.alias("queries"), along(F.col("n"), F.col("shingles")).alias("across"), along(queries, wordy).alias("down"))
+    return materialise(found, "near-several")
+
+
+def _side(tiles: str, salt: int) -> Column:
+    return F.pmod(F.xxhash64("v", F.lit(salt)), F.col(tiles)).cast("int")
+
+
+def _placed(rest: DataFrame, several: DataFrame) -> DataFrame:
+    """Every text of an open bucket in a tile of each row of tiles, and every query in a tile of each column too."""
+    met = key_join(rest, several, ["band", "bucket"], "inner")
+    met = met.withColumns({"x": _side("across", 1), "y": F.when(F.col("c") != F.col("top"), _side("down", 2))})
+    members = met.withColumn("row", F.explode(F.sequence(F.lit(0), F.col("down") - 1)))
+    members = members.select("band", "bucket", F.col("x").alias("column"), "row", "v", "c", F.lit(True).alias("member"), F.coalesce(F.col("y") == F.col("row"), F.lit(False)).alias("query"))
+    others = met.where("y is not null").withColumn("column", F.explode(F.sequence(F.lit(0), F.col("across") - 1))).where("column <> x")
+    return members.unionByName(others.select("band", "bucket", "column", F.col("y").alias("row"), "v", "c", F.lit(False).alias("member"), F.lit(True).alias("query")))
+
+
+def _leaders(rest: DataFrame, broad: DataFrame) -> DataFrame:
+    """Of each wide bucket the most central texts of its largest component, in every tile."""
+    rank = F.row_number().over(Window.partitionBy("band", "bucket").orderBy(F.desc("central"), "v"))
+    first = key_join(rest, broad, ["band", "bucket"], "inner").where("c = top").withColumn("rank", rank).where(F.col("rank") <= LEADERS)
+    return first.select("band", "bucket", "v", "c", "across")
+
+
+def _led(rest: DataFrame, broad: DataFrame, heads: DataFrame) -> DataFrame:
+    """Tiles of wide buckets: leaders as queries against the texts outside the largest component."""
+    met = key_join(rest, broad, ["band", "bucket"], "inner").where("c <> top")
+    members = met.select("band", "bucket", _side("across", 1).alias("column"), F.lit(0).alias("row"), "v", "c", F.lit(True).alias("member"), F.lit(False).alias("query"))
+    queries = heads.withColumn("column", F.explode(F.sequence(F.lit(0), F.col("across") - 1)))
+    return members.unionByName(queries.select("band", "bucket", "column", F.lit(0).alias("row"), "v", "c", F.lit(False).alias("member"), F.lit(True).alias("query")))
+
+
+def _tiles(placed: DataFrame, bodies: DataFrame) -> DataFrame:
+    """Texts dealt by tile, those of one tile after another."""
+    own = placed.withColumn("tile", F.xxhash64("band", "bucket", "column", "row")).select("tile", "v", "c", "member", "query")
+    return materialise(own, "near-tiles").join(bodies, "v").repartition("tile").sortWithinPartitions("tile")
+
+
+def tile_links(
+    c: np.ndarray, member: np.ndarray, query: np.ndarray, counts: np.ndarray, hashes: np.ndarray, weights: np.ndarray, similarity: float
+) -> tuple[np.ndarray, np.ndarray]:
+    """Links of one tile: for each query and each other component one at most, as components."""
+    total = _sums(weights, counts)
+    rows = np.flatnonzero(member & (counts > 0))
+    rows = rows[np.argsort(total[rows], kind="stable")]
+    starts = np.cumsum(counts) - counts
+    edge = np.concatenate([[0], np.cumsum(counts[rows])])
+    # Entries of the members end to end, by the sum of weights, so those a query can be near are one range.
+    at = np.repeat(starts[rows] - edge[:-1], counts[rows]) + np.arange(edge[-1])
+    words, code = np.unique(hashes, return_inverse=True)
+    own_code, own_weight, ranked = code[at], weights[at], total[rows]
+    held = np.zeros(len(words))
+    out_a, out_b = [], []
+    for q in np.flatnonzero(query & (counts > 0)).tolist():
+        low = int(np.searchsorted(ranked, total[q] * (similarity - SLACK)))
+        high = int(np.searchsorted(ranked, total[q] / (similarity - SLACK), side="right"))
+        if low >= high:
+            continue
+        mine = code[starts[q] : starts[q] + counts[q]]
+        held[mine] = weights[starts[q] : starts[q] + counts[q]]
+        span = slice(edge[low], edge[high])
+        both = np.add.reduceat(np.minimum(held[own_code[span]], own_weight[span]), edge[low:high] - edge[low])
+        held[mine] = 0.0
+        near = (both >= (similarity - SLACK) * (ranked[low:high] + total[q] - both)) & (c[rows[low:high]] != c[q])
+        if near.any():
+            others = np.unique(c[rows[low:high][near]])
+            out_a.append(np.full(len(others), c[q]))
+            out_b.append(others)
+    none = np.zeros(0, np.int64)
+    return np.concatenate([none, *out_a]), np.concatenate([none, *out_b])
+
+
+def _tile_links(tiles: DataFrame, idf: Broadcast, *, similarity: float, width: int) -> DataFrame:
+    """Pairs of components ``(a, b)`` that a text of each links."""
+
+    def parts(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple]:
+        for part, column in arrow.text_chunks(batches, "text"):
+            tile, c, member, query = (part.column(x).to_numpy(zero_copy_only=False) for x in ("tile", "c", "member", "query"))
+            hashes, weights, counts, _, _ = weighted_sets(column, idf.value, width)
+            edge = np.concatenate([[0], np.cumsum(counts)])
+            cuts = [0, *(np.flatnonzero(tile[1:] != tile[:-1]) + 1).tolist(), len(tile)]
+            for lo, hi in pairwise(cuts):
+                yield tile[lo], (c[lo:hi], member[lo:hi], query[lo:hi], counts[lo:hi], hashes[edge[lo] : edge[hi]], weights[edge[lo] : edge[hi]])
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for _, own in groupby(parts(batches), key=lambda x: x[0]):
+            a, b = tile_links(*(np.concatenate(x) for x in zip(*(x[1] for x in own))), similarity)
+            if len(a):
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
 
-def _links(shared: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity: float, width: int) -> DataFrame:
-    """All links, by rounds of leaders over the buckets that hold more than one component.
+    return tiles.select("tile", "c", "member", "query", "text").mapInArrow(run, "a long, b long")
 
-    The first round is over the bands' buckets. Whoever is left in a bucket of
-    several components then goes by prefixes of shingles. The rounds end when
-    every pair of a bucket was compared or has one component.
-    """
-    most = F.max(F.struct("central", (-F.col("v")).alias("back")))
-    links = tried = known = None
-    leaders = LEADERS
-    buckets = shared.withColumns({"c": F.col("v"), "total": F.lit(1.0)})
-    while True:
-        first = links is None
-        several = buckets.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
-        # Later rounds have leaders of several components, so that a bucket of few is done at once.
-        part = F.lit(0) if first else F.pmod(F.xxhash64("c"), F.lit(leaders))
-        heads = buckets.groupBy("band", "bucket", part.alias("part")).agg(most.alias("head")).join(several, ["band", "bucket"])
-        heads = materialise(heads.select("band", "bucket", (-F.col("head.back")).alias("a")), "near-heads")
-        if not first and heads.isEmpty():
-            return links
-        head_of = buckets.select(F.col("v").alias("a"), F.col("c").alias("ca"), F.col("total").alias("total_a")).distinct()
-        met = buckets.join(heads.join(head_of, "a"), ["band", "bucket"]).where("c <> ca")
-        # No pair is more similar than the lesser of the two sums of weights is to the greater.
-        met = met.where(F.least("total", "total_a") >= F.greatest("total", "total_a") * (similarity - SLACK))
-        pairs = met.select(F.least("a", "v").alias("a"), F.greatest("a", "v").alias("b")).distinct()
-        if tried is not None:
-            pairs = pairs.join(tried, ["a", "b"], "left_anti")
-        pairs = materialise(pairs, "near-pairs")
-        found = materialise(verified(pairs, bodies, idf, similarity=similarity, width=width), "near-links")
-        links = found if first else links.unionByName(found)
-        tried = pairs if first else tried.unionByName(pairs)
-        # Labels only spare comparisons, so later rounds bring them up to date for the new links alone.
-        if first:
-            known = components(found)
-        elif not found.isEmpty():
-            known = _relabelled(known, found)
-        # Leaders have met their whole bucket and are done with it; buckets of one component are done.
-        left = buckets.drop("c").join(heads.select("band", "bucket").distinct(), ["band", "bucket"], "left_semi")
-        left = left.join(heads.withColumnRenamed("a", "v"), ["band", "bucket", "v"], "left_anti")
-        buckets = left.join(known, "v", "left").withColumn("c", F.coalesce("c", "v"))
-        if first:
-            buckets = _by_prefixes(materialise(buckets, "near-left"), bodies, idf, similarity=similarity, width=width)
-        else:
-            leaders *= LEADERS
-        buckets = materialise(buckets, "near-open")
-
-
-def _relabelled(known: DataFrame, found: DataFrame) -> DataFrame:
-    """Labels after two steps along new links, which is all of a leader's star; chains of stars come out in the end."""
-    ends = found.select(F.col("a").alias("u"), F.col("b").alias("v"))
-    both = ends.unionByName(ends.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    new = both.select("v").distinct().join(known.select("v"), "v", "left_anti").withColumn("c", F.col("v"))
-    labels = known.unionByName(new)
-    for _ in range(2):
-        near = both.join(labels.select(F.col("v").alias("u"), F.col("c").alias("near")), "u").groupBy("v").agg(F.min("near").alias("near"))
-        labels = labels.join(near, "v", "left").select("v", F.least("c", F.coalesce("near", "c")).alias("c"))
-    return materialise(labels, "near-labels")
+
+def _joined(known: DataFrame, rest: DataFrame, found: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Labels of all texts with a link, and the open texts, after links between components."""
+    new = materialise(components(found).select(F.col("v").alias("c"), F.col("c").alias("now")), "near-merged")
+    alone = rest.where("c = v").select("v").distinct().join(known.select("v"), "v", "left_anti").withColumn("c", F.col("v"))
+    labels = known.unionByName(alone.join(new.select("c"), "c", "left_semi").select("v", "c"))
+
+    def renamed(rows: DataFrame) -> DataFrame:
+        return key_join(rows, new, ["c"], "left").withColumn("c", F.coalesce("now", "c")).drop("now").select(*rows.columns)
+
+    return materialise(renamed(labels), "near-known"), materialise(renamed(rest), "near-rest")
 
 
 def prefixes(column: pa.Array, idf: np.ndarray, *, similarity: float, width: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -289,7 +400,7 @@ def prefixes(column: pa.Array, idf: np.ndarray, *, similarity: float, width: int
     hashes, weights, counts, _, _ = weighted_sets(column, idf, width)
     text = np.repeat(np.arange(len(counts)), counts)
     order = np.lexsort((hashes, -_weights_of(hashes, np.ones(len(hashes)), idf), text))
-    total = np.bincount(text, weights=weights, minlength=len(counts))
+    total = _sums(weights, counts)
     run = np.concatenate([[0.0], np.cumsum(weights[order])])
     starts = np.cumsum(counts) - counts
     before = run[:-1] - np.repeat(run[starts], counts)
@@ -298,20 +409,19 @@ def prefixes(column: pa.Array, idf: np.ndarray, *, similarity: float, width: int
 
 
 def _by_prefixes(left: DataFrame, bodies: DataFrame, idf: Broadcast, *, similarity: float, width: int) -> DataFrame:
-    """Texts of buckets with several components, in a bucket for each shingle of their prefixes."""
-    of = left.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
-    still = left.join(of, ["band", "bucket"]).select("v", "central", "c").distinct()
+    """Texts in a bucket for each shingle of their prefixes that texts of several components have."""
+    still = left.select("v", "n", "c").distinct()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, column in arrow.text_chunks(batches, "text"):
-            found, counts, total = prefixes(column, idf.value, similarity=similarity, width=width)
+            found, counts, _ = prefixes(column, idf.value, similarity=similarity, width=width)
             flat = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(found.astype(np.int64)))
-            yield pa.RecordBatch.from_arrays([part.column("v"), part.column("central"), part.column("c"), pa.array(total), flat], names=["v", "central", "c", "total", "rare"])
+            yield pa.RecordBatch.from_arrays([*(part.column(x) for x in ("v", "n", "c")), flat], names=["v", "n", "c", "rare"])
 
-    own = still.join(bodies, "v").select("v", "central", "c", "text").mapInArrow(run, "v long, central long, c long, total double, rare array<long>")
-    entries = materialise(own.select(F.lit(-1).alias("band"), F.explode("rare").alias("bucket"), "v", "central", "total", "c"), "near-prefixes")
+    own = still.join(bodies, "v").select("v", "n", "c", "text").mapInArrow(run, "v long, n long, c long, rare array<long>")
+    entries = materialise(own.select(F.lit(-1).alias("band"), F.explode("rare").alias("bucket"), "v", "n", "c"), "near-prefixes")
     several = entries.groupBy("band", "bucket").agg(F.min("c").alias("low"), F.max("c").alias("high")).where("low <> high").select("band", "bucket")
-    return entries.join(several, ["band", "bucket"])
+    return entries.join(several, ["band", "bucket"], "left_semi")
 
 
 def _result(signed: DataFrame, texts: DataFrame, known: DataFrame) -> DataFrame:

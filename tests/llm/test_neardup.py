@@ -142,3 +142,27 @@ def test_prefixes_of_similar_texts_meet():
     s = neardup.similarities(column.take([i for i, _ in pairs]), column.take([j for _, j in pairs]), idf, neardup.WIDTH)
     similar = [p for p, x in zip(pairs, s) if x >= neardup.SIMILARITY]
     assert len(similar) > 20 and all(own[i] & own[j] for i, j in similar)
+
+
+def test_tiles_leaders_and_prefixes_change_no_class(spark):
+    """Small tiles and few queries a bucket send the texts along every way there is."""
+    docs = spark.createDataFrame(list(enumerate(corpus())), "doc_id long, text string")
+    plain = {r["doc_id"]: r["class_id"] for r in neardup.classes(docs, bands=30, rows=1).collect()}
+    for tile, wide in ((4, 10**6), (16, 3), (512, 0)):
+        assert {r["doc_id"]: r["class_id"] for r in neardup.classes(docs, bands=30, rows=1, tile=tile, wide=wide).collect()} == plain
+
+
+def test_tile_against_pairs():
+    rng = random.Random(2)
+    base = " ".join(f"b{i}" for i in range(90))
+    texts = [changed(rng, base, 0.02) for _ in range(40)] + ["", "b1 b2", "b1 b2"]
+    column = pa.array(texts)
+    idf = np.random.default_rng(4).uniform(1, 2, 64)
+    hashes, weights, counts, _, _ = neardup.weighted_sets(column, idf, neardup.WIDTH)
+    c = np.array([i // 2 for i in range(len(texts))])
+    member, query = np.arange(len(texts)) % 5 > 0, np.arange(len(texts)) % 3 > 0
+    a, b = neardup.tile_links(c, member, query, counts, hashes, weights, neardup.SIMILARITY)
+    pairs = [(q, m) for q in np.flatnonzero(query) for m in np.flatnonzero(member) if c[q] != c[m]]
+    s = neardup.similarities(column.take([q for q, _ in pairs]), column.take([m for _, m in pairs]), idf, neardup.WIDTH)
+    expected = {(c[q], c[m]) for (q, m), x in zip(pairs, s) if x >= neardup.SIMILARITY}
+    assert set(zip(a.tolist(), b.tolist())) == expected and 20 < len(expected) < len(pairs)
