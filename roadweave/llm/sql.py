@@ -104,8 +104,7 @@ def _url_filter() -> str:
         f"ruled AS (SELECT *, {case(lambda h, p, v: h + p)} AS rule, {case(lambda h, p, v: v)} AS says FROM parts)",
         rf"""texts AS (SELECT *, repeat(' ', {order}) || regexp_replace(regexp_replace(lower(coalesce(url, '')), '[0-9]', '0', 'g'), '[^\x21-\x7E]', '~', 'g') || ' ' AS text FROM ruled)""",
         f"grams AS (SELECT row_id, says, substr(text, i::INT, {order + 1}) AS gram FROM (SELECT *, unnest(range(1, length(text) - {order} + 1)) AS i FROM texts))",
-        "counted AS (SELECT gram, count(*) FILTER (says = 'allow') AS yes, count(*) FILTER (says = 'block') AS no FROM grams WHERE says IS NOT NULL GROUP BY gram)",
-        f"kept AS (SELECT gram FROM counted WHERE (yes + no) * {urls.MAX_GRAMS} > (SELECT sum(yes + no) FROM counted))",
+        "counted AS (SELECT gram, count(*) FILTER (says = 'allow') AS yes, count(*) FILTER (says = 'block') AS no FROM grams GROUP BY gram)",
     ]
     for side in ("yes", "no"):
         joins, p = "", f"(1.0::DOUBLE / {urls.ALPHABET})"
@@ -115,7 +114,7 @@ def _url_filter() -> str:
             ctes.append(f"{context} AS (SELECT substr(g, 1, {k}) AS h, sum(c) AS n, count(*) AS t FROM {own} GROUP BY 1)")
             joins += f" LEFT JOIN {own} ON {own}.g = substr(gram, {order - k + 1}, {k + 1}) LEFT JOIN {context} ON {context}.h = substr(gram, {order - k + 1}, {k})"
             p = f"coalesce((coalesce({own}.c, 0) + {context}.t * {p}) / ({context}.n + {context}.t), {p})"
-        ctes.append(f"{side}_p AS (SELECT gram, ln({p}) AS l FROM kept{joins})")
+        ctes.append(f"{side}_p AS (SELECT gram, ln({p}) AS l FROM counted{joins})")
     ctes += [
         "scored AS (SELECT row_id, sum(y.l - n.l) / count(*) AS s FROM grams JOIN yes_p y USING (gram) JOIN no_p n USING (gram) GROUP BY row_id)",
         "judged AS (SELECT texts.*, coalesce(round(s, 9), 0) AS lm_score FROM texts LEFT JOIN scored USING (row_id))",

@@ -7,12 +7,13 @@ each order mixes in that of the next shorter context by Witten-Bell smoothing,
 down to a uniform distribution. A URL's score is the difference of the two
 log-likelihoods divided by its length. The cut between the classes is
 calibrated on all ruled URLs: it lies as many standard deviations from either
-class's mean. Everything here is DataFrame functions: one scored table of
-character grams is built, bounded by ``max_grams``, and joined to the grams.
+class's mean. Everything here is DataFrame functions: every gram that a URL has is
+scored once, those that no ruled URL has by their shorter contexts, and the table
+is joined to the grams of the URLs, by broadcast only where it is counted small.
 
 Defined results: a null URL or one without ``://`` has empty host and path, and
-no rule fits it; an empty or null URL has score 0; with no ruled URLs of either
-class every score is 0 and such URLs are allowed; repeated rows are judged
+no rule fits it; an empty or null URL is scored by the closing mark alone; with no
+ruled URLs of either class every score is 0 and such URLs are allowed; repeated rows are judged
 each; an empty table gives an empty table; other columns are ignored.
 """
 
@@ -22,6 +23,7 @@ import math
 
 from pyspark.sql import Column, DataFrame, functions as F
 
+from ..joins import key_join
 from ..scratch import materialise
 
 #: Rules as (host, path, verdict); a rule's name is host and path together.
@@ -36,8 +38,6 @@ RULES = (
 #: Characters of context at most, and the alphabet's size for the uniform distribution.
 ORDER = 3
 ALPHABET = 96
-#: Grams of the scored table at most.
-MAX_GRAMS = 200_000
 
 
 def host_and_path(url: Column) -> tuple[Column, Column]:
@@ -70,10 +70,10 @@ def grams(urls: DataFrame, text: str, order: int = ORDER) -> DataFrame:
     return urls.withColumn("gram", F.explode(F.transform(F.sequence(F.lit(1), F.length(text) - order), lambda i: F.substring(F.col(text), i, F.lit(order + 1)))))
 
 
-def _counts(ruled: DataFrame) -> DataFrame:
-    """How often each class has each gram of full order."""
-    whole = grams(ruled.select("accepted", _text(F.col("url")).alias("text")), "text")
-    return whole.groupBy("gram").agg(F.sum(F.col("accepted").cast("long")).alias("yes"), F.sum((~F.col("accepted")).cast("long")).alias("no"))
+def _counts(seen: DataFrame) -> DataFrame:
+    """Of each gram of full order that a URL has: how often each class has it."""
+    whole = grams(seen.select("says", _text(F.col("url")).alias("text")), "text")
+    return whole.groupBy("gram").agg(*[F.count_if(F.col("says") == says).alias(side) for side, says in (("yes", "allow"), ("no", "block"))])
 
 
 def _steps(full: DataFrame, side: str, k: int) -> tuple[DataFrame, DataFrame]:
@@ -84,16 +84,13 @@ def _steps(full: DataFrame, side: str, k: int) -> tuple[DataFrame, DataFrame]:
     return own, context
 
 
-def model(ruled: DataFrame, *, max_grams: int = MAX_GRAMS) -> DataFrame:
-    """Score of each gram of full order that is kept: log probability accepted less rejected.
+def model(seen: DataFrame) -> DataFrame:
+    """Score of each gram of full order that a URL has: log probability accepted less rejected.
 
-    Grams, of either class, are kept if they make up more than one part in
-    ``max_grams`` of all; so there are at most ``max_grams`` at every size.
+    ``seen`` has ``url`` and ``says``, which is null for URLs that teach nothing.
     """
-    full = materialise(_counts(ruled), "url-grams")
-    total = full.agg(F.coalesce(F.sum(F.col("yes") + F.col("no")), F.lit(0)).alias("n")).first()["n"]
-    kept = full.where((F.col("yes") + F.col("no")) * max_grams > total) if total else full.limit(0)
-    scored = kept.select("gram")
+    full = materialise(_counts(seen), "url-grams")
+    scored = full.select("gram")
     for side in ("yes", "no"):
         p = F.lit(1.0 / ALPHABET)
         for k in range(ORDER + 1):
@@ -109,21 +106,19 @@ def model(ruled: DataFrame, *, max_grams: int = MAX_GRAMS) -> DataFrame:
 
 
 def score(urls: DataFrame, table: DataFrame) -> DataFrame:
-    """``urls`` (with ``row_id`` and ``url``) and their length-normalised difference; unknown grams count nothing."""
+    """``urls`` (with ``row_id`` and ``url``) and the difference of their log-likelihoods a character."""
     whole = grams(urls.select("row_id", _text(F.col("url")).alias("text")), "text")
-    # The table is bounded by construction, see model().
-    return whole.join(F.broadcast(table), "gram").groupBy("row_id").agg((F.sum("score") / F.count(F.lit(1))).alias("lm_score"))
+    return key_join(whole, table, ["gram"], "inner").groupBy("row_id").agg((F.sum("score") / F.count(F.lit(1))).alias("lm_score"))
 
 
-def judge(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", rules=RULES, max_grams: int = MAX_GRAMS) -> DataFrame:
+def judge(pages: DataFrame, *, id_col: str = "page_id", url_col: str = "url", rules=RULES) -> DataFrame:
     """Host, path, rule, verdict and the models' score of every URL."""
     host, path = host_and_path(F.col("url"))
     rule, verdict = rule_of(F.col("host"), F.col("path"), rules)
     seen = pages.select(F.col(id_col).alias("page_id"), F.col(url_col).cast("string").alias("url")).withColumn("row_id", F.monotonically_increasing_id())
     seen = materialise(seen.withColumn("host", host).withColumn("path", path).withColumn("rule", rule).withColumn("says", verdict), "urls")
-    ruled = seen.where(F.col("says").isNotNull()).select("url", (F.col("says") == "allow").alias("accepted"))
+    table = materialise(model(seen), "url-model")
     # Twice used: for the cut and for the verdicts.
-    table = materialise(model(ruled, max_grams=max_grams), "url-model")
     scored = materialise(seen.join(score(seen, table), "row_id", "left").withColumn("lm_score", F.coalesce(F.round("lm_score", 9), F.lit(0.0))), "url-scores")
     of = scored.where(F.col("says").isNotNull()).groupBy("says").agg(F.avg("lm_score").alias("mean"), F.stddev_pop("lm_score").alias("sd")).collect()
     by = {r["says"]: (r["mean"], r["sd"] or 0.0) for r in of}

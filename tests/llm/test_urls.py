@@ -28,7 +28,7 @@ def grams(t):
     return [t[i : i + urls.ORDER + 1] for i in range(len(t) - urls.ORDER)]
 
 
-def models(ruled):
+def models(ruled, every):
     counts = {v: Counter(g for u, says in ruled if says == v for g in grams(text(u))) for v in ("allow", "block")}
 
     def log_p(v, gram):
@@ -43,7 +43,6 @@ def models(ruled):
                 p = (low.get(own, 0) + len(of) * p) / (sum(of) + len(of))
         return math.log(p)
 
-    every = set(counts["allow"]) | set(counts["block"])
     return {g: log_p("allow", g) - log_p("block", g) for g in every}
 
 
@@ -56,11 +55,11 @@ def test_against_brute_force(spark):
     assert len(rows) == len(source)
     expected = {}
     ruled = [(u, rule(*split(u))[1]) for _, u in source]
-    table = models([x for x in ruled if x[1]])
-    scores = {}
-    for _, u in source:
-        known = [table[g] for g in grams(text(u)) if g in table]
-        scores[u] = sum(known) / len(known) if known else 0.0
+    # Grams that no ruled URL has back off to shorter contexts; a score is divided by all characters.
+    every = {g for _, u in source for g in grams(text(u))}
+    assert len(every) > len({g for u, says in ruled if says for g in grams(text(u))})
+    table = models([x for x in ruled if x[1]], every)
+    scores = {u: sum(table[g] for g in grams(text(u))) / len(grams(text(u))) for _, u in source}
     by = {v: [scores[u] for u, says in ruled if says == v] for v in ("allow", "block")}
     mean = {v: sum(x) / len(x) for v, x in by.items()}
     sd = {v: math.sqrt(sum((a - mean[v]) ** 2 for a in x) / len(x)) for v, x in by.items()}
