@@ -3,25 +3,30 @@
 Base kinds are matches of three patterns. The method adds ``entropy`` spans:
 candidate strings are maximal runs of key characters; each belongs to a class
 by the characters it has, and a window slides over it whose Shannon entropy
-follows from counts kept up to date by one character in and one out. Windows at
+follows from that of the window before by one character in and one out. Windows at
 or over the threshold of their class join to a span. Words, identifiers with a
 fixed form and known placeholders are on the allow-list and suppressed.
 
 With S the sum of c * log2(c) over the counts c of a window of W characters,
 its entropy is log2(W) - S / W; a character that comes or goes changes one term.
+Long runs are read in pieces that overlap by a window less one, and arrays of spans
+grow by blocks, so the work is in proportion to a text's length.
 
 Defined results: null counts as empty; an empty text has no spans and the
 SHA-256 of no bytes; repeated rows are scanned each; null ids stay null; an
-empty table gives an empty table; other columns are kept by :func:`redact` and
-ignored otherwise.
+empty table gives an empty table; other columns, whatever their names, are kept by
+:func:`redact` and ignored otherwise.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, functions as F
 
+from . import losers
+
 
 def _either_case(word: str) -> str:
     return "".join(f"[{c.upper()}{c}]" if c.isalpha() else c for c in word)
@@ -38,36 +43,64 @@ KINDS = ("assign", "access", "hex", "entropy")
 WINDOW = 20
 CLASS_BITS = {"hex": 3.0, "single": 3.6, "mixed": 3.7}
 CANDIDATE = "[A-Za-z0-9+/_=-]{20,}"
-#: Allow-list: fixed forms and placeholders.
+#: Allow-list: fixed forms, and placeholders in runs that are too short to have them by chance.
 ALLOWED = (
     "^[0-9a-fA-F]{8}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{4}-[0-9a-fA-F]{12}$",
-    "(?i)example|sample|dummy|placeholder|changeme|redacted|your[_-]",
-    "(?i)0123456789|abcdefghij|qwertyuiop",
+    "(?i)^.{0,200}(example|sample|dummy|placeholder|changeme|redacted|your[_-]).{0,200}$",
+    "(?i)^.{0,200}(0123456789|abcdefghij|qwertyuiop).{0,200}$",
     "^[0-9+/_=-]+$",
     "^[A-Za-z+/_=-]+$",
-    "^[a-z]+([-_/][a-z0-9]+)+$",
+    "^[a-z]+([-_/]([a-z]+|[0-9]+)){1,200}$",
 )
+#: Windows of one piece of a run, and elements of one block of an array.
+PIECE, BLOCK = 64, 256
+_SPANS = "array<struct<start:int,end:int,hit:string,rank:int>>"
+
+
+def _let(value: Column, use: Callable[[Column], Column]) -> Column:
+    """``use(value)`` with the value computed once: lambdas compute what they take from outside at every step."""
+    return F.get(F.transform(F.array(value), use), 0)
+
+
+def _folded(values: Column, zero: Column, step: Callable[[Column, Column], tuple[Column, Column]], kind: str) -> Column:
+    """Elements that ``step(state, value)`` gives besides the next state; those that are null are left out.
+
+    Elements are gathered by blocks, as every addition copies the array.
+    """
+    none = F.array().cast(f"array<{kind}>")
 
+    def one(state: Column, value: Column) -> Column:
+        now, made = step(state["now"], value)
+        return F.struct(now.alias("now"), F.when(made.isNull(), state["out"]).otherwise(F.concat(state["out"], F.array(made))).alias("out"))
 
-def _spans(text: Column, pattern: str, kind: str, keep) -> Column:
-    """Spans of the leftmost non-overlapping matches that pass ``keep(match, text after which it begins)``.
+    def block(state: Column, own: Column) -> Column:
+        inner = F.aggregate(own, F.struct(state["now"].alias("now"), none.alias("out")), one)
+        return _let(inner, lambda x: F.struct(x["now"].alias("now"), F.concat(state["out"], x["out"]).alias("out")))
+
+    def whole(every: Column) -> Column:
+        starts = F.when(F.size(every) > 0, F.sequence(F.lit(1), F.size(every), F.lit(BLOCK))).otherwise(F.array().cast("array<int>"))
+        blocks = F.transform(starts, lambda k: F.slice(every, k, BLOCK))
+        return F.aggregate(blocks, F.struct(zero.alias("now"), none.alias("out")), block, lambda x: x["out"])
+
+    return _let(values, whole)
+
+
+def _spans(text: Column, pattern: str, kind: str, keep: Callable[[Column], Column]) -> Column:
+    """Spans of the leftmost non-overlapping matches that pass ``keep(match)``.
 
     Splitting by the pattern gives the text between matches; lengths of these
     and of the matches add up to places in code points.
     """
     parts = F.arrays_zip(F.split(text, pattern, -1).alias("gap"), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)).alias("hit"))
-    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,hit:string>>").alias("out"))
 
-    def step(state: Column, part: Column) -> Column:
-        begin = state["at"] + F.length(part["gap"])
+    def step(at: Column, part: Column) -> tuple[Column, Column]:
+        begin = at + F.length(part["gap"])
         end = begin + F.coalesce(F.length(part["hit"]), F.lit(0))
-        own = F.array(F.struct(begin.alias("start"), end.alias("end"), part["hit"].alias("hit")))
-        return F.struct(end.alias("at"), F.when(F.coalesce(keep(part["hit"]), F.lit(False)), F.concat(state["out"], own)).otherwise(state["out"]).alias("out"))
+        span = F.struct(begin.alias("start"), end.alias("end"), part["hit"].alias("hit"), F.lit(KINDS.index(kind)).alias("rank"))
+        return end, F.when(F.coalesce(keep(part["hit"]), F.lit(False)), span)
 
-    order = F.lit(KINDS.index(kind))
-    found = F.aggregate(parts, start, step, lambda s: s["out"])
-    empty = F.array().cast("array<struct<start:int,end:int,hit:string,rank:int>>")
-    return F.when(F.regexp_like(text, F.lit(pattern)), F.transform(found, lambda x: F.struct(x["start"].alias("start"), x["end"].alias("end"), x["hit"].alias("hit"), order.alias("rank")))).otherwise(empty)
+    found = _folded(parts, F.lit(0), step, _SPANS[len("array<") : -1])
+    return F.when(F.regexp_like(text, F.lit(pattern)), found).otherwise(F.array().cast(_SPANS))
 
 
 def base_spans(text: Column) -> dict[str, Column]:
@@ -101,44 +134,47 @@ def _class_bits(run: Column) -> Column:
 
 def windows_over(run: Column, bits: Column, window: int = WINDOW) -> Column:
     """First and last start of the windows of ``run`` whose entropy is ``bits`` or more; nulls if there is none."""
-    low, high = 43, 122  # from + to z
-    weight = F.array(*[F.lit(n * math.log2(n) if n else 0.0) for n in range(window + 1)])
-    codes = F.transform(F.split(run, ""), lambda c: F.ascii(c) - low)
-    zero = F.struct(
-        F.array_repeat(F.lit(0), high - low + 1).alias("counts"),
-        F.lit(0.0).alias("s"),
-        F.lit(0).alias("i"),
-        F.lit(None).cast("int").alias("first"),
-        F.lit(None).cast("int").alias("last"),
-    )
+    weight = [n * math.log2(n) if n else 0.0 for n in range(window + 1)]
+    # What the sum gains when a character comes to n others of its kind; as much is lost when it goes.
+    gain = F.array(*[F.lit(b - a) for a, b in zip(weight[:-1], weight[1:])])
+    pieces = F.regexp_extract_all(run, F.lit(f"(?=(.{{1,{PIECE + window - 1}}})).{{1,{PIECE}}}"), F.lit(1))
+    places = F.sequence(F.lit(1), F.lit(PIECE + window - 1))
+
+    def of_piece(piece: Column) -> Column:
+        """First and last start in a piece, from 0; the characters around a place are read from the piece itself."""
 
-    def step(state: Column, came: Column) -> Column:
-        i = state["i"]
-        gone = F.when(i >= window, F.get(codes, i - window)).otherwise(F.lit(-1))
-        n_gone = F.when(gone >= 0, F.get(state["counts"], gone)).otherwise(F.lit(0))
-        n_came = F.get(state["counts"], came) - F.when(came == gone, 1).otherwise(0)
-        s = state["s"] + F.get(weight, n_came + 1) - F.get(weight, n_came) + F.when(gone >= 0, F.get(weight, n_gone - 1) - F.get(weight, n_gone)).otherwise(F.lit(0.0))
-        counts = F.transform(state["counts"], lambda c, j: c + F.when(j == came, 1).otherwise(0) - F.when(j == gone, 1).otherwise(0))
-        over = (i >= window - 1) & (F.lit(math.log2(window)) - s / window >= bits - 1e-9)
-        at = i - (window - 1)
-        return F.struct(
-            counts.alias("counts"),
-            s.alias("s"),
-            (i + 1).alias("i"),
-            F.when(over & state["first"].isNull(), at).otherwise(state["first"]).alias("first"),
-            F.when(over, at).otherwise(state["last"]).alias("last"),
-        )
-
-    return F.aggregate(codes, zero, step, lambda s: F.struct(s["first"].alias("first"), s["last"].alias("last")))
+        def total(before: Column, i: Column) -> Column:
+            came, gone = F.substring(piece, i, 1), F.when(i > window, F.substring(piece, i - window, 1))
+            others = F.substring(piece, F.greatest(i - (window - 1), F.lit(1)), F.least(i, F.lit(window)) - 1)
+
+            def alike(text: Column, c: Column) -> Column:
+                return F.length(text) - F.length(F.replace(text, c, F.lit("")))
+
+            return _let(others, lambda o: before + F.get(gain, alike(o, came)) - F.coalesce(F.get(gain, alike(o, gone)), F.lit(0.0)))
+
+        def step(state: Column, i: Column) -> Column:
+            def now(s: Column) -> Column:
+                over = (i >= window) & (F.lit(math.log2(window)) - s / window >= bits - 1e-9)
+                return _let(F.when(over, i - window), lambda at: F.struct(s.alias("s"), F.coalesce(state["first"], at).alias("first"), F.coalesce(at, state["last"]).alias("last")))
+
+            return _let(total(state["s"], i), now)
+
+        none = F.lit(None).cast("int")
+        zero = F.struct(F.lit(0.0).alias("s"), none.alias("first"), none.alias("last"))
+        return F.aggregate(F.slice(places, F.lit(1), F.length(piece)), zero, step)
+
+    found = F.transform(pieces, lambda piece, k: F.struct(k.alias("k"), of_piece(piece).alias("w")))
+    spans = F.transform(found, lambda x: F.struct((x["k"] * PIECE + x["w"]["first"]).alias("first"), (x["k"] * PIECE + x["w"]["last"]).alias("last")))
+    return F.struct(F.array_min(F.transform(spans, lambda x: x["first"])).alias("first"), F.array_max(F.transform(spans, lambda x: x["last"])).alias("last"))
 
 
 def entropy_spans(text: Column) -> Column:
     """Spans that only their entropy gives away."""
     runs = _spans(text, f"(?<![A-Za-z0-9+/_=-]){CANDIDATE}", "entropy", lambda hit: _class_bits(hit).isNotNull())
-    empty = F.array().cast("array<struct<start:int,end:int,hit:string,rank:int>>")
-    timed = F.transform(runs, lambda x: F.struct(x.alias("run"), windows_over(x["hit"], _class_bits(x["hit"])).alias("w")))
+    classed = F.transform(runs, lambda x: F.struct(x.alias("run"), _class_bits(x["hit"]).alias("bits")))
+    timed = F.transform(classed, lambda x: F.struct(x["run"].alias("run"), windows_over(x["run"]["hit"], x["bits"]).alias("w")))
     over = F.filter(timed, lambda x: x["w"]["first"].isNotNull())
-    found = F.transform(
+    return F.transform(
         over,
         lambda x: F.struct(
             (x["run"]["start"] + x["w"]["first"]).alias("start"),
@@ -147,7 +183,6 @@ def entropy_spans(text: Column) -> Column:
             x["run"]["rank"].alias("rank"),
         ),
     )
-    return F.when(F.size(runs) > 0, found).otherwise(empty)
 
 
 def _ordered(spans: Column) -> Column:
@@ -159,43 +194,53 @@ def _joined(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda x: F.concat_ws(":", F.get(names, x["rank"]), x["start"].cast("string"), x["end"].cast("string"))), ",")
 
 
-def with_spans(docs: DataFrame, *, text_col: str = "text", prefix: str = "__") -> DataFrame:
-    """``docs`` with the columns ``base`` and ``all``: ordered arrays of (start, rank of the kind, end)."""
+def _uncovered(spans: Column) -> Column:
+    """Ordered spans without the entropy spans that lie in a base span: none that began before or there reaches as far."""
+
+    def step(reach: Column, span: Column) -> tuple[Column, Column]:
+        base = span["rank"] < len(KINDS) - 1
+        return F.when(base, F.greatest(reach, span["end"])).otherwise(reach), F.when(base | (span["end"] > reach), span)
+
+    return _folded(spans, F.lit(-1), step, "struct<start:int,rank:int,end:int>")
+
+
+def with_spans(docs: DataFrame, *, text_col: str = "text") -> tuple[DataFrame, str]:
+    """``docs`` with a struct of a name of its own: the text, spans by base kind, and ordered arrays of (start, rank, end), ``base`` and ``all``."""
+    name = losers.fresh(docs, "secrets")
     text = F.coalesce(F.col(text_col).cast("string"), F.lit(""))
-    found = docs.withColumn(f"{prefix}text", text)
-    own = F.col(f"{prefix}text")
-    for kind, spans in base_spans(own).items():
-        found = found.withColumn(f"{prefix}{kind}", spans)
-    found = found.withColumn(f"{prefix}entropy", entropy_spans(own))
-    base = _ordered(F.concat(*[F.col(f"{prefix}{k}") for k in KINDS[:3]]))
-    found = found.withColumn(f"{prefix}base", base)
-    new = F.filter(_ordered(F.col(f"{prefix}entropy")), lambda e: ~F.exists(F.col(f"{prefix}base"), lambda b: (b["start"] <= e["start"]) & (b["end"] >= e["end"])))
-    return found.withColumn(f"{prefix}all", F.array_sort(F.concat(F.col(f"{prefix}base"), new)))
+    found = docs.withColumn(name, F.struct(text.alias("text")))
+    own = F.col(f"{name}.text")
+    found = found.withColumn(name, F.struct(own.alias("text"), *[spans.alias(kind) for kind, spans in base_spans(own).items()], entropy_spans(own).alias(KINDS[-1])))
+    base = _ordered(F.concat(*[F.col(f"{name}.{k}") for k in KINDS[:-1]]))
+    found = found.withColumn(name, F.col(name).withField("base", base))
+    every = F.array_sort(F.concat(F.col(f"{name}.base"), _ordered(F.col(f"{name}.{KINDS[-1]}"))))
+    return found.withColumn(name, F.col(name).withField("all", F.when(F.size(f"{name}.{KINDS[-1]}") > 0, _uncovered(every)).otherwise(F.col(f"{name}.base")))), name
 
 
 def scan(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: counts by base kind, a digest of the base spans, and all spans."""
-    found = with_spans(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")))
+    found, own = with_spans(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text")))
     return found.select(
         "doc_id",
-        *[F.size(f"__{k}").cast("long").alias(f"n_{k}") for k in KINDS[:3]],
-        F.sha2(_joined(F.col("__base")), 256).alias("base_sha256"),
-        _joined(F.col("__all")).alias("spans"),
-        (F.size("__all") - F.size("__base")).cast("long").alias("n_entropy"),
+        *[F.size(f"{own}.{k}").cast("long").alias(f"n_{k}") for k in KINDS[:-1]],
+        F.sha2(_joined(F.col(f"{own}.base")), 256).alias("base_sha256"),
+        _joined(F.col(f"{own}.all")).alias("spans"),
+        (F.size(f"{own}.all") - F.size(f"{own}.base")).cast("long").alias("n_entropy"),
     )
 
 
 def redact(docs: DataFrame, *, text_col: str = "text", mask: str = "[secret]") -> DataFrame:
     """The documents with every found span, overlapping ones as one, replaced by ``mask``; all columns stay."""
     names = docs.columns
-    found = with_spans(docs)
-    text = F.col("__text")
-    begin = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
-
-    def step(state: Column, span: Column) -> Column:
-        gap = F.when(span["start"] >= state["at"], F.concat(text.substr(state["at"] + 1, span["start"] - state["at"]), F.lit(mask))).otherwise(F.lit(""))
-        return F.struct(F.greatest(state["at"], span["end"]).alias("at"), F.concat(state["out"], gap).alias("out"))
-
-    clean = F.aggregate(F.col("__all"), begin, step, lambda s: F.concat(s["out"], text.substr(s["at"] + 1, F.length(text))))
-    changed = F.when(F.size("__all") > 0, clean).otherwise(F.col(text_col))
-    return found.withColumn(text_col, changed).select(*names)
+    found, own = with_spans(docs, text_col=text_col)
+    text, spans = F.col(f"{own}.text"), F.col(f"{own}.all")
+
+    def step(at: Column, span: Column) -> tuple[Column, Column]:
+        gap = F.struct(at.alias("start"), (span["start"] - at).alias("length"))
+        return F.greatest(at, span["end"]), F.when(span["start"] >= at, gap)
+
+    last = F.array_max(F.transform(spans, lambda x: x["end"]))
+    gaps = F.concat(_folded(spans, F.lit(0), step, "struct<start:int,length:int>"), F.array(F.struct(last.alias("start"), (F.length(text) - last).alias("length"))))
+    # Four bytes a code point: a piece is found without reading what is before it.
+    pieces = _let(F.encode(text, "UTF-32"), lambda wide: F.transform(gaps, lambda g: F.decode(F.substring(wide, g["start"] * 4 + 1, g["length"] * 4), "UTF-32")))
+    return found.withColumn(text_col, F.when(F.size(spans) > 0, F.array_join(pieces, mask)).otherwise(F.col(text_col))).select(*losers.quoted(names))
