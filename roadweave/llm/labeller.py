@@ -9,7 +9,7 @@ seed: no page of any table is used for training.
 
 Defined results: null or empty html and pages without blocks give an empty
 text; repeated rows are read each; null ids stay null; broken html is read as
-far as it goes; an empty table gives an empty table; other columns are ignored.
+far as it goes, a tag that never closes as text, in time that follows its length; an empty table gives an empty table; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, functions as F, types as T
 
 from . import arrow
-from .blocks import Block, blocks
+from .blocks import Block, Place, blocks
 from .pagemaker import PageMaker
 
 TAG_DIM, WORD_DIM, NUMBERS = 96, 48, 6
@@ -46,24 +46,41 @@ def _slot(kind: str, word: str) -> tuple[int, float]:
     return len(TOLD) + (h >> 1) % (TAG_DIM - len(TOLD)), 1.0
 
 
+def _slots(place: Place | None) -> int:
+    """Slots of an element and of all above it as bits; each element is looked at once a page."""
+    line = []
+    while place is not None and place.slots is None:
+        line.append(place)
+        place = place.above
+    bits = 0 if place is None else place.slots
+    for p in reversed(line):
+        bits |= 1 << _slot("t", p.tag)[0]
+        for w in p.words:
+            bits |= 1 << _slot("c", w)[0]
+        p.slots = bits
+    return bits
+
+
 @lru_cache(maxsize=20_000)
-def _path_slots(path: tuple[str, ...], words: tuple[str, ...]) -> tuple[int, ...]:
-    return tuple({_slot("t", t)[0] for t in path} | {_slot("c", w)[0] for w in words})
+def _places(bits: int) -> tuple[int, ...]:
+    return tuple(i for i in range(TAG_DIM) if bits >> i & 1)
 
 
 def vectors(page: list[Block]) -> np.ndarray:
-    """One row per block."""
+    """One row per block; every word of its text counts, as a share of them all."""
     out = np.zeros((len(page), TAG_DIM + WORD_DIM + NUMBERS), dtype=np.float32)
     last = max(1, len(page) - 1)
+    at, share, rows = [], [], []
     for i, b in enumerate(page):
-        out[i, list(_path_slots(b.path, b.words))] = 1.0
-        tokens = b.text.split(" ")
-        # Words are evidence as shares, so a long block's first words say no less than a short one's.
-        shown = tokens if len(tokens) <= 40 else tokens[:20] + tokens[-20:]
-        for w in shown:
-            at, sign = _slot("w", w.lower())
-            out[i, at] += sign / len(shown)
+        out[i, list(_places(_slots(b.place)))] = 1.0
+        tokens = b.text.lower().split(" ")
+        for w in tokens:
+            slot, sign = _slot("w", w)
+            at.append(slot)
+            share.append(sign / len(tokens))
+        rows.append(len(tokens))
         out[i, TAG_DIM + WORD_DIM :] = (np.log1p(len(b.text)) / 6, np.log1p(len(tokens)) / 4, b.linked, i / last, float(b.text[-1:] in ".!?"), 1.0)
+    np.add.at(out, (np.repeat(np.arange(len(page)), rows), np.array(at, dtype=np.int64)), np.array(share, dtype=np.float32))
     return out
 
 
@@ -93,7 +110,7 @@ class Direction:
         self.b[HIDDEN : 2 * HIDDEN] = 1
         self.names = ("w", "u", "b")
 
-    def forward(self, x: np.ndarray, mask: np.ndarray) -> tuple[np.ndarray, list]:
+    def forward(self, x: np.ndarray, mask: np.ndarray, taped: bool = True) -> tuple[np.ndarray, list]:
         n = x.shape[1]
         h = c = np.zeros((n, HIDDEN), dtype=np.float32)
         inputs = x @ self.w + self.b
@@ -105,7 +122,8 @@ class Direction:
             c2 = f * c + i * g
             tc = np.tanh(c2)
             h2 = o * tc
-            tape.append((h, c, i, f, o, g, tc))
+            if taped:
+                tape.append((h, c, i, f, o, g, tc))
             m = mask[t]
             h, c = m * h2 + (1 - m) * h, m * c2 + (1 - m) * c
             out[t] = h
@@ -144,9 +162,9 @@ class Labeller:
         self.v = rng.normal(0, 0.2, (2 * HIDDEN, 1)).astype(np.float32)
         self.d = np.zeros(1, dtype=np.float32)
 
-    def _forward(self, x: np.ndarray, mask: np.ndarray):
-        a, tape_a = self.ahead.forward(x, mask)
-        b, tape_b = self.back.forward(x[::-1], mask[::-1])
+    def _forward(self, x: np.ndarray, mask: np.ndarray, taped: bool = True):
+        a, tape_a = self.ahead.forward(x, mask, taped)
+        b, tape_b = self.back.forward(x[::-1], mask[::-1], taped)
         state = np.concatenate([a, b[::-1]], axis=2)
         return _sigmoid(state @ self.v + self.d), state, tape_a, tape_b
 
@@ -194,7 +212,7 @@ class Labeller:
             while stop < len(order) and (stop - at + 1) * len(pages[order[stop]]) <= CELLS:
                 stop += 1
             own = order[at:stop]
-            p = self._forward(*padded([pages[i] for i in own]))[0]
+            p = self._forward(*padded([pages[i] for i in own]), taped=False)[0]
             for k, i in enumerate(own):
                 out[i] = p[: len(pages[i]), k, 0]
             at = stop

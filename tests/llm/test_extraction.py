@@ -1,5 +1,6 @@
 import html
 import re
+import time
 
 import numpy as np
 import pytest
@@ -32,6 +33,25 @@ def test_paths_and_links():
     assert second.path == ("article", "p") and second.words == ("main",) and second.linked == 0
 
 
+def test_links_and_open_quotes():
+    anchor, link = blocks("<div><a name=x>not a link, though never closed</div><div><a href=y><b><i><u><s>deep</s></u></i></b></a></div>")
+    assert anchor.linked == 0 and link.linked == 1
+    assert texts("<p title='open>one</p><p>two") == ["one", "two"]
+    assert texts("<a b <i c") == ["<a b <i c"] and texts("<![CDATA[x <p>y") == ["y"] and texts("<![CDATA[a<b]]>c") == ["a<bc"]
+
+
+@pytest.mark.parametrize(
+    "page",
+    ["<div>x" * 200_000, "<a b " * 200_000, "<a href=\"" * 100_001 + ">", "<a \"'" * 150_000 + "\">'", "</i>" * 250_000, "<span>" * 80_000 + "<div>y</span>" * 40_000, "<![CDATA[" * 110_000, "<!-- " * 200_000, "<script " * 125_000, "<p>" * 300_000 + "z", "<div class='a b'><p>t" * 50_000, "&" * 1_000_000],
+    ids=["divs", "open tags", "quotes", "both quotes", "ends", "spans", "cdata", "comments", "scripts", "paragraphs", "nested", "references"],
+)
+def test_a_megabyte_of_odd_html_takes_seconds(page):
+    began = time.perf_counter()
+    own = blocks(page)
+    labeller.vectors(own)
+    assert time.perf_counter() - began < 10
+
+
 def test_gradients_are_those_of_the_loss():
     rng = np.random.default_rng(0)
     model = labeller.Labeller(3)
