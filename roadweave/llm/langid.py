@@ -1,10 +1,12 @@
 """Language identification by interpolated Kneser-Ney character models.
 
 Every training document is counted: character grams of ``ORDER`` symbols inside
-words, letters in lower case, with the word's edges as a symbol. Partial counts
-are summed by Spark; the driver reads all of them, a language at a time, so the
-model grows with the distinct grams of the input. For each language and
-order the model keeps two arrays of sorted 64-bit hashes, of grams with their
+words, letters in lower case, with the word's edges as a symbol. Spark sums the
+counts, derives the continuation counts of the shorter orders from all of them, and
+the discounts from the numbers of grams seen once and twice; nothing is left out, so
+the model grows with the distinct grams of the input. It is a table in the shared
+folder: the driver sees the discounts alone, and a worker reads the table once. There,
+each language and order is two arrays of sorted 64-bit hashes, of grams with their
 discounted probability and of contexts with their interpolation weight. A text
 goes to the language of least cross-entropy per symbol.
 
@@ -18,7 +20,7 @@ letter, which are also rejected; a text whose only letters stand in codes with
 digits goes to the first language and is rejected; ``und`` everywhere if nothing can be learned;
 rows with a null language or id teach nothing; ties go to the first language in
 alphabetical order; repeated rows are judged each; an empty table gives an empty
-table; clashing columns are no trouble, as results travel under reserved names.
+table; clashing columns are no trouble, as results travel under names that no column has.
 """
 
 from __future__ import annotations
@@ -29,16 +31,15 @@ from functools import lru_cache
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+from pyarrow import fs, parquet
 from pyspark.sql import DataFrame, functions as F, types as T
 
-from ..scratch import materialise
-from . import arrow
+from ..scratch import materialise, new_path
+from . import arrow, losers
 
 ORDER = 4
 #: Standard errors that rejection allows for a text's length.
 Z = 4.0
-#: Symbols of evidence that the score counts at most.
-EVIDENCE = 40
 #: How far the cut of rejection lies from a language's own mean to the other's.
 FAR = 0.75
 MEMO_GRAMS = 400_000
@@ -111,9 +112,7 @@ def gram_hash(parts: list[np.ndarray]) -> np.ndarray:
 class Order:
     """Sorted hash arrays of one order of one language."""
 
-    def __init__(self, grams: list[np.ndarray], counts: np.ndarray):
-        n1, n2 = int((counts == 1).sum()), int((counts == 2).sum())
-        discount = min(max(n1 / (n1 + 2 * n2) if n1 else 0.5, 0.1), 0.95)
+    def __init__(self, grams: list[np.ndarray], counts: np.ndarray, discount: float):
         context = gram_hash(grams[1:]) if len(grams) > 1 else np.zeros(len(counts), np.uint64)
         self.contexts, inverse = np.unique(context, return_inverse=True)
         total = np.bincount(inverse, weights=counts)
@@ -132,39 +131,40 @@ class Order:
         return np.where(known & (self.grams[at] == gram), self.value[at], 0.0) + weight * lower
 
 
+_MASK = (1 << 21) - 1
+
+
+def unpacked(near: np.ndarray, far: np.ndarray) -> list[np.ndarray]:
+    """Symbols of packed grams, the last one first."""
+    near = near.astype(np.uint64)
+    return [near & np.uint64(_MASK), near >> np.uint64(21) & np.uint64(_MASK), near >> np.uint64(42), far.astype(np.uint64)]
+
+
+@lru_cache(maxsize=1)
+def _orders(path: str, discounts: tuple[tuple[tuple[str, int], float], ...]) -> list[list[Order]]:
+    """Of each language of a stored model its orders, the shortest first; a process keeps those it read last."""
+    system, root = fs.FileSystem.from_uri(path)
+    table = parquet.read_table(root, filesystem=system)
+    lang, order = table.column("lang").to_numpy(zero_copy_only=False), table.column("order").to_numpy()
+    near, far, value = (table.column(x).to_numpy() for x in ("near", "far", "value"))
+    out: dict[str, list[Order]] = {}
+    for (name, k), discount in discounts:
+        at = np.flatnonzero((order == k) & (lang == name))
+        out.setdefault(name, []).append(Order(unpacked(near[at], far[at])[:k], value[at].astype(np.float64), discount))
+    return [out[name] for name in sorted(out)]
+
+
 class Model:
-    """Models of all languages, from their gram counts."""
-
-    def __init__(self, counts: dict[str, pd.DataFrame]):
-        self.languages = sorted(counts)
-        self.orders: list[list[Order]] = []
-        own: list[tuple[list[np.ndarray], np.ndarray]] = []
-        seen = [np.zeros(0, np.uint64)]
-        for lang in self.languages:
-            rows = counts[lang]
-            packed, far, n = rows["near"].to_numpy(np.uint64), rows["far"].to_numpy(np.uint64), rows["n"].to_numpy(np.float64)
-            mask = np.uint64((1 << 21) - 1)
-            grams = [packed & mask, (packed >> np.uint64(21)) & mask, packed >> np.uint64(42), far]
-            own.append((grams, n))
-            seen.append(np.unique(grams[0]))
-            self.orders.append(self._orders(grams, n))
-        self.floor = 1.0 / (len(np.unique(np.concatenate(seen))) + 1)
-        self._calibrate(own)
-
-    @staticmethod
-    def _orders(grams: list[np.ndarray], n: np.ndarray) -> list[Order]:
-        """Full order by counts; shorter ones by how many symbols precede them, at a word's start by counts."""
-        out = [Order(grams, n)]
-        frame = pd.DataFrame({f"c{j}": g for j, g in enumerate(grams)} | {"raw": n})
-        for k in range(ORDER - 1, 0, -1):
-            keys = [f"c{j}" for j in range(k)]
-            frame["one"] = 1.0
-            lower = frame.groupby(keys, sort=True, as_index=False).agg(raw=("raw", "sum"), kinds=("one", "sum"))
-            # For k = 1 the leftmost symbol is the one predicted, so only longer grams can begin a word.
-            start = (lower[keys[-1]] == 0) if k > 1 else pd.Series(False, index=lower.index)
-            out.append(Order([lower[c].to_numpy(np.uint64) for c in keys], np.where(start, lower["raw"], lower["kinds"]).astype(np.float64)))
-            frame = lower.drop(columns="kinds")
-        return out[::-1]
+    """Models of all languages: a table of counts by order, which is read where it is first needed, and discounts."""
+
+    def __init__(self, path: str, discounts: dict[tuple[str, int], float], floor: float):
+        self.path, self.discounts, self.floor = path, discounts, floor
+        self.languages = sorted({lang for lang, _ in discounts})
+        self.cut = self.sd = np.zeros(0)
+
+    @property
+    def orders(self) -> list[list[Order]]:
+        return _orders(self.path, tuple(sorted(self.discounts.items())))
 
     def bits(self, parts: list[np.ndarray]) -> np.ndarray:
         """Bits of each gram's last symbol under each language: grams by languages."""
@@ -178,17 +178,18 @@ class Model:
             out[:, i] = -np.log2(p)
         return out
 
-    def _calibrate(self, own: list[tuple[list[np.ndarray], np.ndarray]]) -> None:
+    def calibrate(self, rows: dict[str, tuple]) -> None:
+        """Cuts of rejection from each language's number of grams, sums of bits under each model and of its own squared bits."""
         size = len(self.languages)
-        mean, sd = np.zeros((size, size)), np.zeros(size)
-        for j, (grams, n) in enumerate(own):
-            bits = self.bits(grams)
-            mean[j] = (bits * n[:, None]).sum(axis=0) / n.sum()
-            sd[j] = np.sqrt(((bits[:, j] - mean[j, j]) ** 2 * n).sum() / n.sum())
-        self.mean, self.sd = mean.diagonal().copy(), sd
+        mean, self.sd = np.zeros((size, size)), np.zeros(size)
+        for j, lang in enumerate(self.languages):
+            n, bits, squares = rows[lang]
+            mean[j] = np.array(bits) / n
+            self.sd[j] = np.sqrt(max(0.0, squares / n - mean[j, j] ** 2))
+        own = mean.diagonal()
         # Without a second language the uniform distribution stands in for it.
         other = np.array([min([mean[j, i] for j in range(size) if j != i], default=-np.log2(self.floor)) for i in range(size)])
-        self.cut = np.maximum(self.mean, self.mean + FAR * (other - self.mean))
+        self.cut = np.maximum(own, own + FAR * (other - own))
 
     def beyond(self, best: np.ndarray, entropy: np.ndarray, length: np.ndarray) -> np.ndarray:
         return entropy > self.cut[best] + Z * self.sd[best] / np.sqrt(np.maximum(length, 1))
@@ -240,7 +241,7 @@ class Scorer:
         total = np.add.reduceat(bits[inverse], starts, axis=0) / length[has, None]
         best = total.argmin(axis=1)
         low = total[np.arange(len(has)), best]
-        odds = np.exp2(-(total - low[:, None]) * np.minimum(length[has], EVIDENCE)[:, None])
+        odds = np.exp2(-(total - low[:, None]) * length[has, None])
         score[has] = 1.0 / odds.sum(axis=1)
         entropy[has] = low
         rejected[has] = self.model.beyond(best, low, length[has])
@@ -284,32 +285,74 @@ def _count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_pandas(merged(), preserve_index=False)
 
 
+def _levels(counts: DataFrame) -> DataFrame:
+    """Counts of the full order and, of shorter grams, by how many symbols precede them; at a word's start by counts."""
+    out = counts.select("lang", F.lit(ORDER).alias("order"), "near", "far", F.col("n").alias("value"))
+    raw = counts.select("lang", "near", F.col("n").alias("raw"))
+    for k in range(ORDER - 1, 0, -1):
+        raw = raw.withColumn("near", F.col("near").bitwiseAND((1 << 21 * k) - 1)).groupBy("lang", "near").agg(F.sum("raw").alias("raw"), F.count(F.lit(1)).alias("kinds"))
+        # For k = 1 the leftmost symbol is the one predicted, so only longer grams can begin a word.
+        starts = F.shiftright("near", 21 * (k - 1)) == 0 if k > 1 else F.lit(False)
+        out = out.unionByName(raw.select("lang", F.lit(k).alias("order"), "near", F.lit(0).cast("long").alias("far"), F.when(starts, F.col("raw")).otherwise(F.col("kinds")).alias("value")))
+        raw = raw.drop("kinds")
+    return out
+
+
+def _bits_by_language(counts: DataFrame, model: Model) -> dict[str, tuple]:
+    """Over all counted grams: their number, bits under each model and squared bits under their own."""
+    names = [f"b{i}" for i in range(len(model.languages))]
+    schema = "lang string, n double, squares double, " + ", ".join(f"{x} double" for x in names)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lang = batch.column("lang").to_numpy(zero_copy_only=False)
+            near, far, n = (batch.column(x).to_numpy() for x in ("near", "far", "n"))
+            bits = model.bits(unpacked(near, far))
+            for j, name in enumerate(model.languages):
+                at = np.flatnonzero(lang == name)
+                if len(at):
+                    sums = (bits[at] * n[at, None]).sum(axis=0)
+                    yield pa.RecordBatch.from_pylist([{"lang": name, "n": float(n[at].sum()), "squares": float((bits[at, j] ** 2 * n[at]).sum()), **dict(zip(names, sums.tolist()))}])
+
+    summed = counts.mapInArrow(run, schema).groupBy("lang").agg(*[F.sum(x).alias(x) for x in ("n", "squares", *names)])
+    return {r["lang"]: (r["n"], [r[x] for x in names], r["squares"]) for r in summed.collect()}
+
+
 def fit(docs: DataFrame, *, text_col: str = "text", lang_col: str = "lang") -> Model:
     """Model of all rows that have a language; every row is counted and every gram kept."""
+    spark = docs.sparkSession
     own = docs.where(F.col(lang_col).isNotNull() & F.col(text_col).isNotNull()).select(F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang"))
     counts = own.mapInArrow(_count, "lang string, near long, far long, n long").groupBy("lang", "near", "far").agg(F.sum("n").alias("n"))
     counts = materialise(counts, "lang-grams")
-    languages = sorted(r["lang"] for r in counts.select("lang").distinct().collect())
-    return Model({lang: counts.where(F.col("lang") == lang).select("near", "far", "n").toPandas() for lang in languages})
+    path = new_path(spark, "lang-model")
+    _levels(counts).write.parquet(path)
+    levels = spark.read.parquet(path)
+    seen = levels.groupBy("lang", "order").agg(F.count_if(F.col("value") == 1).alias("ones"), F.count_if(F.col("value") == 2).alias("twos")).collect()
+    discounts = {(r["lang"], r["order"]): min(max(r["ones"] / (r["ones"] + 2 * r["twos"]) if r["ones"] else 0.5, 0.1), 0.95) for r in seen}
+    symbols_seen = levels.where("order = 1").agg(F.count_distinct("near")).first()[0]
+    model = Model(path, discounts, 1.0 / (symbols_seen + 1))
+    if model.languages:
+        model.calibrate(_bits_by_language(counts, model))
+    return model
 
 
-RESULTS = ("__lang_pred", "__lang_score", "__lang_bits", "__lang_rejected")
+RESULTS = ("lang_pred", "lang_score", "lang_bits", "lang_rejected")
 
 
-def annotate(docs: DataFrame, model: Model, *, text_col: str = "text") -> DataFrame:
-    """``docs`` with language, score, bits per symbol and rejection under the names in ``RESULTS``."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+def annotate(docs: DataFrame, model: Model, *, text_col: str = "text") -> tuple[DataFrame, list[str]]:
+    """``docs`` with language, score, bits per symbol and rejection, and the names of these four: ``RESULTS``, or like them."""
+    names = [losers.fresh(docs, n) for n in RESULTS]
     types = (T.StringType(), T.DoubleType(), T.DoubleType(), T.BooleanType())
-    schema = T.StructType([*docs.schema.fields, *(T.StructField(n, t) for n, t in zip(RESULTS, types))])
+    schema = T.StructType([*docs.schema.fields, *(T.StructField(n, t) for n, t in zip(names, types))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scorer = Scorer(shared.value)
+        scorer = Scorer(model)
         for part, column in arrow.text_chunks(batches, text_col):
             names, score, bits, rejected = scorer([t or "" for t in column.to_pylist()])
             new = [pa.array(names, pa.string()), pa.array(score), pa.array(bits), pa.array(rejected)]
             yield pa.RecordBatch.from_arrays([*part.columns, *new], names=schema.names)
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(run, schema), names
 
 
 def held_out(id_col: str = "doc_id"):
@@ -321,18 +364,19 @@ def predict(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     """Learn from the documents that aren't held out and predict all of them from their text alone."""
     model = fit(docs.where(~held_out(id_col) & F.col(id_col).isNotNull()), text_col=text_col, lang_col=lang_col)
     own = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return annotate(own, model).select(
+    judged, (lang, score, bits, rejected) = annotate(own, model)
+    return judged.select(
         "doc_id",
         held_out("doc_id").alias("held_out"),
-        F.col("__lang_pred").alias("lang_pred"),
-        F.col("__lang_score").alias("score"),
-        F.col("__lang_bits").alias("bits_per_symbol"),
-        F.col("__lang_rejected").alias("rejected"),
+        F.col(lang).alias("lang_pred"),
+        F.col(score).alias("score"),
+        F.col(bits).alias("bits_per_symbol"),
+        F.col(rejected).alias("rejected"),
     )
 
 
 def keep_known(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang") -> DataFrame:
     """The documents that aren't rejected, with all their columns; ``lang`` is the predicted language."""
     model = fit(docs.where(~held_out(id_col) & F.col(id_col).isNotNull()), text_col=text_col, lang_col=lang_col)
-    judged = annotate(docs.withColumn(text_col, F.col(text_col).cast("string")), model, text_col=text_col)
-    return judged.where("not __lang_rejected").withColumn(lang_col, F.col("__lang_pred")).select(*docs.columns)
+    judged, (lang, _, _, rejected) = annotate(docs.withColumn(text_col, F.col(text_col).cast("string")), model, text_col=text_col)
+    return judged.where(~F.col(rejected)).withColumn(lang_col, F.col(lang)).select(*losers.quoted(docs.columns))
