@@ -43,6 +43,8 @@ from . import arrow
 FRAME_BYTES = 256 * 1024
 BUNDLE_BYTES = 128 * 1024 * 1024
 LEVEL = 3
+#: Frames that are read one after another from one opened bundle, and bytes of records that a reading task has on average.
+RUN_FRAMES, TASK_BYTES = 16, 128 * 1024 * 1024
 #: Fixed values of the seekable format: its skippable frame and the last four bytes.
 SKIPPABLE, SEEKABLE = 0x184D2A5E, 0x8F92EAB1
 #: All records carry one date, so equal inputs give equal bundles.
@@ -251,7 +253,8 @@ def read(spark: SparkSession, bundles: DataFrame, *, payload: bool = False) -> D
                 for i in range(len(bundle)):
                     yield pa.RecordBatch.from_pylist([_row(r, payload) for r in records(bundle.frame(i))], schema=schema)
 
-    return bundles.select("bundle").distinct().mapInArrow(run, RECORD + (", payload string" if payload else ""))
+    names = bundles.select("bundle").distinct()
+    return names.repartition(max(1, names.count()), "bundle").mapInArrow(run, RECORD + (", payload string" if payload else ""))
 
 
 def fetch(index: DataFrame) -> DataFrame:
@@ -271,7 +274,32 @@ def fetch(index: DataFrame) -> DataFrame:
     return index.select("bundle", "frame", "offset").mapInArrow(run, RECORD + ", payload string")
 
 
+def read_indexed(index: DataFrame, *, payload: bool = False) -> DataFrame:
+    """All records of the index, by runs of frames that tasks share out; each must stand where the index says, with its id."""
+    schema = _RECORD_SCHEMA.append(pa.field("payload", pa.string())) if payload else _RECORD_SCHEMA
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        uri, bundle = None, None
+        for batch in batches:
+            for row in batch.to_pylist():
+                if row["bundle"] != uri:
+                    uri, bundle = row["bundle"], open_bundle(row["bundle"])
+                frame, out = bundle.frame(row["frame"]), []
+                for entry in sorted(row["entries"], key=lambda e: e["offset"]):
+                    record, end = parse(frame, entry["offset"])
+                    if record.headers["WARC-Record-ID"] != entry["record_id"] or end - entry["offset"] != entry["length"]:
+                        raise ValueError(f"{uri}, frame {row['frame']}: no record {entry['record_id']} at {entry['offset']}")
+                    out.append(_row(record, payload))
+                yield pa.RecordBatch.from_pylist(out, schema=schema)
+
+    size = index.agg(F.count_distinct("bundle").alias("bundles"), F.coalesce(F.sum("length"), F.lit(0)).alias("bytes")).first()
+    tasks = max(1, size["bundles"], -(-size["bytes"] // TASK_BYTES))
+    runs = index.withColumn("run", F.floor(F.col("frame") / RUN_FRAMES)).repartition(tasks, "bundle", "run")
+    # A frame's records are bounded by its bytes.
+    frames = runs.groupBy("bundle", "run", "frame").agg(F.collect_list(F.struct("offset", "length", "record_id")).alias("entries"))
+    return frames.sortWithinPartitions("bundle", "frame").select("bundle", "frame", "entries").mapInArrow(run, RECORD + (", payload string" if payload else ""))
+
+
 def archive_and_read(pages: DataFrame, **options) -> DataFrame:
-    """Write all pages, then read every bundle back."""
-    index = write(pages, **options)
-    return read(pages.sparkSession, index)
+    """Write all pages, then read every record back by the index."""
+    return read_indexed(write(pages, **options))

@@ -52,6 +52,18 @@ def test_random_access_by_the_index(odd, spark):
     assert warc.read(spark, index, payload=True).where("page_id = 5").first()["payload"] == html[5]
 
 
+def test_reading_by_the_index(odd, spark):
+    index = warc.write(odd)
+    assert got(warc.read_indexed(index)) == got(warc.read(spark, index)) == expected(ODD)
+    assert warc.read_indexed(index, payload=True).where("page_id = 5").first()["payload"] == ODD[4][2]
+    assert warc.read_indexed(index.where("page_id = 6")).count() == 1
+    wrong = index.withColumn("record_id", F.concat("record_id", F.lit("x")))
+    with pytest.raises(Exception, match="no record"):
+        warc.read_indexed(wrong).collect()
+    bundles = index.select("bundle").distinct().count()
+    assert warc.read_indexed(index).rdd.getNumPartitions() >= bundles
+
+
 def test_seek_table_is_standard(odd):
     import zstandard
     from pyarrow import fs
