@@ -27,8 +27,11 @@ from pyspark.sql import Column, DataFrame, functions as F, types as T
 from ..scratch import materialise
 from . import arrow, kernel
 
-#: Labelled documents that the list is fitted on at most: those whose hashed id lies below the share that this is of all labels.
+#: Labelled documents with distinct statistics that the list is fitted on: those whose hash lies below the share that this
+#: is of them all. Twice as many are a bound that no draw reaches.
 SAMPLE = 30_000
+#: Thresholds of a feature that are tried at most, at quantiles of its values.
+THRESHOLDS = 64
 #: Least precision of a rule on the pruning part, conditions of a rule, rules of a list, and documents a rule covers at least.
 PRECISION, CONDITIONS, RULES, LEAST = 0.95, 4, 12, 4
 #: Fixed values of the base rules: words at least, and percent of repeated words at most.
@@ -164,7 +167,7 @@ def covers(rule: Rule, x: dict[str, np.ndarray]) -> np.ndarray:
 def _thresholds(values: np.ndarray) -> np.ndarray:
     distinct = np.unique(values)
     middle = (distinct[1:] + distinct[:-1]) / 2
-    return middle if len(middle) <= 64 else np.unique(np.quantile(middle, np.linspace(0, 1, 64)))
+    return middle if len(middle) <= THRESHOLDS else np.unique(np.quantile(middle, np.linspace(0, 1, THRESHOLDS)))
 
 
 def _grow(x: dict[str, np.ndarray], bad: np.ndarray) -> Rule:
@@ -240,10 +243,11 @@ def expression(rules: list[Rule]) -> Column:
 def fit(measured: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", label_col: str = "quality", sample: int = SAMPLE) -> list[Rule]:
     """Learn from the labelled documents among ``measured``; label 0 is bad."""
     known = labels.where(F.col(label_col).isNotNull()).groupBy(F.col(id_col).alias("doc_id")).agg(F.min(label_col).alias("__label"))
-    place = F.xxhash64(F.col("doc_id")).bitwiseAND(2**40 - 1) / 2**40
-    rows = measured.select("doc_id", *FEATURES).join(known, "doc_id").withColumn("__place", place)
-    share = sample / max(1, known.count())
-    rows = rows.where(F.col("__place") < share).toPandas().sort_values(["__place", *FEATURES]).head(sample)
+    place = F.xxhash64("doc_id", *FEATURES).bitwiseAND(2**40 - 1) / 2**40
+    # Repeated rows teach once, so that many of one id can't exceed the sample.
+    rows = materialise(measured.select("doc_id", *FEATURES).join(known, "doc_id").distinct().withColumn("__place", place), "quality-labelled")
+    drawn = rows.where(F.col("__place") < sample / max(1, rows.count())).limit(2 * sample)
+    rows = drawn.toPandas().sort_values(["__place", *FEATURES])
     bad = (rows["__label"] == 0).to_numpy(dtype=bool)
     if not bad.any() or bad.all():
         return []
