@@ -1,7 +1,8 @@
 """Byte-level BPE over length-bucketed numpy matrices.
 
 Texts are split by the tokenizer's pattern; each distinct match of a slice is
-encoded once. Matches of equal byte length form one matrix. In every round each
+encoded once. Matches of like byte length form one matrix, shorter ones padded at
+their end with an id that no pair has. In every round each
 row merges its leftmost pair of minimum rank, found through a hashed table of
 all mergeable pairs; the row then loses one column, so the matrix is compacted
 by a column a round and by the rows that have no mergeable pair left. Only the
@@ -34,6 +35,9 @@ MATRIX_BYTES = 256
 #: Distinct matches that a worker remembers before it starts anew; results do not depend on it.
 MEMO_WORDS = 200_000
 NONE = np.int32(2**31 - 1)
+#: Matches up to the first number of bytes share a matrix with those of equal length, longer ones with those of the same multiple of the second.
+EXACT_BYTES, STEP_BYTES = 8, 8
+PAD = np.int32(-1)
 
 
 class PairTable:
@@ -102,17 +106,17 @@ class Codec:
         self.token_bytes = np.frombuffer(b"".join(by_id), dtype=np.uint8)
 
     def encode_matches(self, matches: list[bytes]) -> list[np.ndarray]:
-        """Ids of each match; matches of one length share a matrix."""
+        """Ids of each match; matches of like length share a matrix."""
         out: list[np.ndarray] = [np.zeros(0, np.int32)] * len(matches)
         length = np.array([len(m) for m in matches], dtype=np.int64)
-        for n in np.unique(length):
-            at = np.flatnonzero(length == n)
-            if n > MATRIX_BYTES:
-                for i in at:
-                    out[i] = self._by_heap(matches[i])
-                continue
+        width = np.where(length <= EXACT_BYTES, length, -(-length // STEP_BYTES) * STEP_BYTES)
+        for i in np.flatnonzero(length > MATRIX_BYTES):
+            out[i] = self._by_heap(matches[i])
+        for n in np.unique(width[length <= MATRIX_BYTES]):
+            at = np.flatnonzero((width == n) & (length <= MATRIX_BYTES))
             for part in np.array_split(at, max(1, len(at) * int(n) // 4_000_000)):
-                ids = self.byte_id[np.frombuffer(b"".join([matches[i] for i in part]), dtype=np.uint8).reshape(len(part), n)]
+                flat = np.frombuffer(b"".join([matches[i].ljust(n, b"\0") for i in part]), dtype=np.uint8).reshape(len(part), n)
+                ids = np.where(np.arange(n) < length[part, None], self.byte_id[flat], PAD)
                 self._merge(ids, part, out)
         return out
 
@@ -128,7 +132,7 @@ class Codec:
                 open_ = np.zeros(len(rows), dtype=bool)
             if not open_.all():
                 for i, row in zip(np.flatnonzero(~open_), rows[~open_]):
-                    out[row] = ids[i]
+                    out[row] = ids[i][ids[i] != PAD]
                 if not open_.any():
                     return
                 ids, rank, rows, at, best = ids[open_], rank[open_], rows[open_], at[open_], best[open_]
