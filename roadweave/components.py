@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, functions as F
 
 from .joins import key_join
-from .scratch import materialise
+from .scratch import discard, materialise
 
 
 def components(links: DataFrame, *, a: str = "a", b: str = "b") -> DataFrame:
@@ -24,7 +24,11 @@ def components(links: DataFrame, *, a: str = "a", b: str = "b") -> DataFrame:
         # Only labels are looked up, and each of them once, so a giant component is one row here.
         used = met.select("c").distinct()
         jump = met.join(used.withColumnRenamed("c", "v"), "v", "left_semi").where("c <> v").select(F.col("v").alias("c"), F.col("c").alias("next"))
-        new = materialise(key_join(met, materialise(jump, "component-jumps"), ["c"], "left").select("v", "was", F.coalesce("next", "c").alias("c")), "component-labels")
+        jump = materialise(jump, "component-jumps")
+        new = materialise(key_join(met, jump, ["c"], "left").select("v", "was", F.coalesce("next", "c").alias("c")), "component-labels")
+        for old in (labels, met, jump):
+            discard(old)
+        labels = new
         if new.where("was <> c").isEmpty():
+            discard(edges)
             return new.select("v", "c")
-        labels = new.select("v", "c")

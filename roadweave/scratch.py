@@ -8,19 +8,24 @@ so a lost executor costs a re-read and no recomputation.
 from __future__ import annotations
 
 import atexit
+import re
 import uuid
+from weakref import WeakKeyDictionary
 
 from pyspark.sql import DataFrame, SparkSession
 
-#: Used only where the session names no folder, as in local tests.
+#: Used only on one machine, where the session names no folder, as in local tests.
 LOCAL_DEFAULT = "file:///tmp/checkpoints/roadweave"
 
 _written: list[tuple[SparkSession, str]] = []
+_path_of: WeakKeyDictionary[DataFrame, str] = WeakKeyDictionary()
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The shared folder of the session, or the local default."""
+    """The shared folder of the session; on one machine there is a default."""
     named = spark.conf.get("spark.checkpoint.dir", "") or ""
+    if not named and not re.match(r"local($|\[)", spark.sparkContext.master):
+        raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
     return (named or LOCAL_DEFAULT).rstrip("/")
 
 
@@ -36,7 +41,15 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = new_path(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    table = spark.read.schema(df.schema).parquet(path)
+    _path_of[table] = path
+    return table
+
+
+def discard(table: DataFrame) -> None:
+    """Remove a table of :func:`materialise` from which nothing will be read again."""
+    if path := _path_of.pop(table, None):
+        release(table.sparkSession, path)
 
 
 def release(spark: SparkSession, path: str) -> None:
