@@ -342,17 +342,20 @@ RESULTS = ("lang_pred", "lang_score", "lang_bits", "lang_rejected")
 def annotate(docs: DataFrame, model: Model, *, text_col: str = "text") -> tuple[DataFrame, list[str]]:
     """``docs`` with language, score, bits per symbol and rejection, and the names of these four: ``RESULTS``, or like them."""
     names = [losers.fresh(docs, n) for n in RESULTS]
+    # Plain names on the way through Python, where a name with a dot would be taken for a field.
+    plain = docs.toDF(*(f"c{i}" for i in range(len(docs.columns))))
     types = (T.StringType(), T.DoubleType(), T.DoubleType(), T.BooleanType())
-    schema = T.StructType([*docs.schema.fields, *(T.StructField(n, t) for n, t in zip(names, types))])
+    schema = T.StructType([*plain.schema.fields, *(T.StructField(f"r{i}", t) for i, t in enumerate(types))])
+    text = f"c{[c.lower() for c in docs.columns].index(text_col.lower())}"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         scorer = Scorer(model)
-        for part, column in arrow.text_chunks(batches, text_col):
-            names, score, bits, rejected = scorer([t or "" for t in column.to_pylist()])
-            new = [pa.array(names, pa.string()), pa.array(score), pa.array(bits), pa.array(rejected)]
+        for part, column in arrow.text_chunks(batches, text):
+            found, score, bits, rejected = scorer([t or "" for t in column.to_pylist()])
+            new = [pa.array(found, pa.string()), pa.array(score), pa.array(bits), pa.array(rejected)]
             yield pa.RecordBatch.from_arrays([*part.columns, *new], names=schema.names)
 
-    return docs.mapInArrow(run, schema), names
+    return plain.mapInArrow(run, schema).toDF(*docs.columns, *names), names
 
 
 def held_out(id_col: str = "doc_id"):

@@ -1,6 +1,7 @@
 import re
 
 import pytest
+from pyspark.sql import functions as F
 
 from roadweave.llm import exact, neardup, packing, secrets
 
@@ -41,3 +42,16 @@ def test_run_is_the_stages_in_turn(spark, pipeline):
     packed = pipeline.run(spark, "/root/testdata/sf0.001")
     assert packed.where("start = 0").count() > 150
     assert packed.groupBy("doc_id").agg({"length": "sum", "doc_tokens": "max"}).where("`sum(length)` <> `max(doc_tokens)`").count() == 0
+
+
+def test_stages_leave_columns_of_any_name_alone(spark, pipeline):
+    """Names that stages use themselves, in other case too, and one with a dot."""
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    odd = ["__text", "__key", "key", "v", "c", "lang_pred", "Lang_Score", "secrets", "SECRETS_", "content_key", "text.x", "kept", "row_id", "base"]
+    own = docs.withColumns({name: F.concat(F.lit(f"{name}/"), F.col("doc_id").cast("string")) for name in odd})
+    for name, stage in pipeline.STAGES[:-1]:
+        out = stage(spark, own, "")
+        assert out.columns == own.columns, name
+        rows = out.collect()
+        assert len(rows) > 100 and all(r[c] == f"{c}/{r['doc_id']}" for r in rows for c in odd), name
+    assert pipeline.STAGES[-1][1](spark, own, "").where("start = 0").count() == docs.count()

@@ -1,6 +1,9 @@
 import hashlib
 import math
+import random
 import re
+import string
+import time
 from collections import Counter
 
 from pyspark.sql import functions as F
@@ -87,3 +90,36 @@ def test_redaction_keeps_everything_else(spark):
     docs = spark.createDataFrame([(1, "a token=abcdefghijklmnop b", 7), (2, "clean", 8), (3, None, 9)], "doc_id int, text string, spans int")
     got = {r["doc_id"]: (r["text"], r["spans"]) for r in secrets.redact(docs).collect()}
     assert got == {1: ("a [secret] b", 7), 2: ("clean", 8), 3: (None, 9)}
+
+
+LETTERS = string.ascii_letters + string.digits
+
+
+def test_runs_over_several_pieces_and_many_spans(spark):
+    rng = random.Random(3)
+    run = "".join(rng.choice("ab1") for _ in range(150)) + "".join(rng.choice(LETTERS) for _ in range(300)) + "a" * 200 + "".join(rng.choice(LETTERS) for _ in range(23))
+    many = " ".join(f"token={''.join(rng.choice(LETTERS) for _ in range(14))} é {''.join(rng.choice('0123456789abcdef') for _ in range(17))}" for _ in range(400))
+    check(spark.createDataFrame([(run,), (f"{run[100:500]} {run[:131]}",), (many,), ("a" + "-b1" * 150,), ("a-" * 300 + "b",)], "text string"))
+
+
+def test_a_megabyte_takes_seconds(spark):
+    rng = random.Random(1)
+    texts = ["".join(rng.choice(LETTERS) for _ in range(1_000_000)), "a" + "-b" * 500_000, " ".join("0123456789abcdef" for _ in range(60_000))]
+    secrets.scan(spark.createDataFrame([(1, "warm up")], "doc_id int, text string")).collect()
+    for text in texts:
+        docs = spark.createDataFrame([(1, text)], "doc_id int, text string").repartition(1)
+        began = time.perf_counter()
+        assert secrets.scan(docs).count() == 1 and len(secrets.redact(docs).first()["text"]) > 0
+        assert time.perf_counter() - began < 15
+
+
+def test_redaction_of_wide_characters_and_spans_that_overlap(spark):
+    text = "🙂é token=abcdefghijklmnop 漢 password:secret=0123456789abcdef0123 🙂"
+    docs = spark.createDataFrame([(1, text)], "doc_id int, text string")
+    spans = sorted((int(a), int(b)) for _, a, b in (x.split(":") for x in secrets.scan(docs).first()["spans"].split(",")))
+    out, at = "", 0
+    for start, end in spans:
+        if start >= at:
+            out += text[at:start] + "[secret]"
+        at = max(at, end)
+    assert secrets.redact(docs).first()["text"] == out + text[at:]
