@@ -43,6 +43,13 @@ def segments(spark: SparkSession, *, side: int = SIDE, first: int = FIRST, step:
     return streets.unionByName(arterials)
 
 
+def first_arterials(roads: DataFrame, *, side: int = SIDE) -> DataFrame:
+    """``roads`` with a weight ``ranked``: travel time and, of equal times, the route by the first arterial."""
+    column = F.when(F.col("src") % side == F.col("dst") % side, F.col("src") % side).otherwise(0)
+    # A route has fewer than side * side steps, so columns never add up to a unit of time.
+    return roads.withColumn("ranked", F.col("travel_time") * side**3 + column)
+
+
 def _pace(col: Column, step: int) -> Column:
     return F.floor(col / step) % 2
 

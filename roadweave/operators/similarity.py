@@ -114,8 +114,8 @@ def symmetric(edges: DataFrame) -> DataFrame:
 
 
 def strongest(edges: DataFrame, k: int) -> DataFrame:
-    """Edges among the ``k`` best of at least one end; ties go to the smaller neighbour."""
-    best = Window.partitionBy("a").orderBy(F.desc("omega"), F.asc("b"))
+    """Edges among the ``k`` best of at least one end; ties, to nine places, go to the smaller neighbour."""
+    best = Window.partitionBy("a").orderBy(F.desc(F.round("omega", 9)), F.asc("b"))
     ranked = symmetric(edges).withColumn("rank", F.row_number().over(best)).where(F.col("rank") <= k)
     return ranked.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"), "omega", "common").distinct()
 

@@ -1,5 +1,5 @@
 """Registered queries by kind."""
 
-from . import extensions, methods, relational, scalars, streams
+from . import checked, extensions, methods, relational, scalars, streams
 
-CATALOGS = (methods.catalog, relational.catalog, scalars.catalog, extensions.catalog, streams.catalog)
+CATALOGS = (methods.catalog, checked.catalog, relational.catalog, scalars.catalog, extensions.catalog, streams.catalog)

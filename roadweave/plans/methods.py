@@ -14,88 +14,88 @@ from .registry import Catalog
 catalog = Catalog()
 add = catalog.add
 
-_G3 = """SELECT o_custkey AS t, l_partkey AS s, count(*) AS n, max(p_size)::DOUBLE AS length
+G3 = """SELECT o_custkey AS t, l_partkey AS s, count(*) AS n, max(p_size)::DOUBLE AS length
 FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN part ON l_partkey = p_partkey GROUP BY 1, 2"""
-_G4 = "SELECT l_orderkey AS t, l_suppkey AS s, count(*) AS n, 1.0::DOUBLE AS length FROM lineitem GROUP BY 1, 2"
+G4 = "SELECT l_orderkey AS t, l_suppkey AS s, count(*) AS n, 1.0::DOUBLE AS length FROM lineitem GROUP BY 1, 2"
 _TRIPS = """WITH g AS (SELECT user_id, event_id, ts, json_extract(props, '$.k')::INT AS k, CASE WHEN ts - lag(ts) OVER w > INTERVAL 24 HOUR OR lag(ts) OVER w IS NULL THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), x AS (SELECT *, (sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1)::BIGINT AS trip FROM g)"""
 _G5 = _TRIPS + " SELECT user_id * 1000000 + trip AS t, k::BIGINT AS s, count(*) AS n, 1.0::DOUBLE AS length FROM x GROUP BY 1, 2"
-_G8 = """SELECT c_nationkey::BIGINT AS t, s_nationkey::BIGINT AS s, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey
+G8 = """SELECT c_nationkey::BIGINT AS t, s_nationkey::BIGINT AS s, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey
 JOIN customer ON o_custkey = c_custkey JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1, 2"""
 
 
-def _spatial_sql(graph: str) -> str:
+def spatial_sql(graph: str) -> str:
     return f"""WITH e AS ({graph}), d AS (SELECT s, ln((SELECT count(DISTINCT t) FROM e)::DOUBLE / count(*)) AS idf FROM e GROUP BY s)
 SELECT t AS v, e.s AS f, round(n * length / sum(n * length) OVER (PARTITION BY t) * idf, 6) AS w FROM e JOIN d ON e.s = d.s"""
 
 
-def _visit_sql(graph: str) -> str:
+def visit_sql(graph: str) -> str:
     return f"""WITH e AS ({graph}), d AS (SELECT t, ln((SELECT count(DISTINCT s) FROM e)::DOUBLE / count(*)) AS idf FROM e GROUP BY t)
 SELECT s AS v, e.t AS f, round(n::DOUBLE / sum(n) OVER (PARTITION BY s) * idf, 6) AS w FROM e JOIN d ON e.t = d.t"""
 
 
-def _rounded(df: DataFrame, *columns: str, to: int = 6) -> DataFrame:
+def rounded(df: DataFrame, *columns: str, to: int = 6) -> DataFrame:
     return df.withColumns({c: F.round(c, to) for c in columns})
 
 
-@add(_spatial_sql(_G3))
+@add(spatial_sql(G3))
 def weight_spatial_g3(spark: SparkSession, d: str) -> DataFrame:
-    return _rounded(weights.spatial_tfidf(tables.baskets(spark, d)), "w")
+    return rounded(weights.spatial_tfidf(tables.baskets(spark, d)), "w")
 
 
-@add(_spatial_sql(_G4))
+@add(spatial_sql(G4))
 def weight_spatial_g4(spark, d):
-    return _rounded(weights.spatial_tfidf(tables.shipments(spark, d)), "w")
+    return rounded(weights.spatial_tfidf(tables.shipments(spark, d)), "w")
 
 
-@add(_visit_sql(_G3))
+@add(visit_sql(G3))
 def weight_visit_g3(spark, d):
-    return _rounded(weights.visit_tfidf(tables.baskets(spark, d)), "w")
+    return rounded(weights.visit_tfidf(tables.baskets(spark, d)), "w")
 
 
-@add(_spatial_sql(_G3.replace("max(p_size)::DOUBLE", "1.0::DOUBLE")))
+@add(spatial_sql(G3.replace("max(p_size)::DOUBLE", "1.0::DOUBLE")))
 def weight_without_length_g3(spark, d):
     """Ablation: plain tf-idf."""
-    return _rounded(weights.spatial_tfidf(tables.baskets(spark, d), use_length=False), "w")
+    return rounded(weights.spatial_tfidf(tables.baskets(spark, d), use_length=False), "w")
 
 
-@add(f"WITH e AS ({_G3}) SELECT t AS v, s AS f, round(n * length / sum(n * length) OVER (PARTITION BY t), 6) AS w FROM e")
+@add(f"WITH e AS ({G3}) SELECT t AS v, s AS f, round(n * length / sum(n * length) OVER (PARTITION BY t), 6) AS w FROM e")
 def weight_without_idf_g3(spark, d):
     """Ablation: distance shares alone."""
-    return _rounded(weights.spatial_tfidf(tables.baskets(spark, d), use_idf=False), "w")
+    return rounded(weights.spatial_tfidf(tables.baskets(spark, d), use_idf=False), "w")
 
 
-def _cosine_sql(weighted: str, least: float = 0.0) -> str:
+def cosine_sql(weighted: str, least: float = 0.0) -> str:
     return f"""WITH w AS ({weighted}), n AS (SELECT v, sqrt(sum(w * w)) AS norm FROM w GROUP BY v)
 SELECT a, b, round(omega, 5) AS omega FROM (SELECT x.v AS a, y.v AS b, sum(x.w * y.w) / any_value(p.norm * q.norm) AS omega FROM w x JOIN w y ON x.f = y.f AND x.v < y.v
 JOIN n p ON p.v = x.v JOIN n q ON q.v = y.v GROUP BY 1, 2) WHERE omega > {least}"""
 
 
-def _raw(sql: str) -> str:
+def raw_weights(sql: str) -> str:
     """The weights without rounding."""
     return sql.replace("round(", "(").replace(", 6) AS w", ") AS w")
 
 
-@add(_cosine_sql(_raw(_spatial_sql(_G5))))
+@add(cosine_sql(raw_weights(spatial_sql(_G5))))
 def cosine_t_g5(spark, d):
     """Similarity of trips by the cells they passed."""
-    return _rounded(similarity.project(tables.session_cells(spark, d), side="t").drop("common"), "omega", to=5)
+    return rounded(similarity.project(tables.session_cells(spark, d), side="t").drop("common"), "omega", to=5)
 
 
-@add(_cosine_sql(_raw(_visit_sql(_G5))))
+@add(cosine_sql(raw_weights(visit_sql(_G5))))
 def cosine_s_g5(spark, d):
     """Similarity of cells by the trips that passed them."""
-    return _rounded(similarity.project(tables.session_cells(spark, d), side="s").drop("common"), "omega", to=5)
+    return rounded(similarity.project(tables.session_cells(spark, d), side="s").drop("common"), "omega", to=5)
 
 
-@add(_cosine_sql(_raw(_visit_sql(_G4))))
+@add(cosine_sql(raw_weights(visit_sql(G4))))
 def cosine_s_g4(spark, d):
     """Similarity of suppliers by their orders."""
-    return _rounded(similarity.project(tables.shipments(spark, d), side="s").drop("common"), "omega", to=5)
+    return rounded(similarity.project(tables.shipments(spark, d), side="s").drop("common"), "omega", to=5)
 
 
 @add(
-    _cosine_sql(
-        _raw(_visit_sql(r"""SELECT page_id AS t, href AS s, count(*) AS n FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages) GROUP BY 1, 2"""))
+    cosine_sql(
+        raw_weights(visit_sql(r"""SELECT page_id AS t, href AS s, count(*) AS n FROM (SELECT page_id, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS href FROM pages) GROUP BY 1, 2"""))
     ).replace("SELECT a, b, round(omega, 5) AS omega", "SELECT count(*) AS edges, round(sum(omega), 3) AS total")
 )
 def cosine_s_g6(spark, d):
@@ -105,14 +105,14 @@ def cosine_s_g6(spark, d):
     return edges.agg(F.count(F.lit(1)).alias("edges"), F.round(F.sum("omega"), 3).alias("total"))
 
 
-@add(_cosine_sql(_raw(_spatial_sql(_G5)), 0.6).replace("omega > 0.6", "round(omega, 5) >= 0.6"))
+@add(cosine_sql(raw_weights(spatial_sql(_G5)), 0.6).replace("omega > 0.6", "round(omega, 5) >= 0.6"))
 def cosine_pruned_g5(spark, d):
     """The same with a least similarity: only prefixes of the vectors are joined, and no pair is lost."""
     weighted = weights.spatial_tfidf(tables.session_cells(spark, d), normalise=False)
-    return _rounded(similarity.cosine_pairs(weighted, min_sim=0.599995).drop("common"), "omega", to=5)
+    return rounded(similarity.cosine_pairs(weighted, min_sim=0.599995).drop("common"), "omega", to=5)
 
 
-@add(f"WITH e AS ({_G4}) SELECT x.s AS a, y.s AS b, count(*) AS common FROM e x JOIN e y ON x.t = y.t AND x.s < y.s GROUP BY 1, 2")
+@add(f"WITH e AS ({G4}) SELECT x.s AS a, y.s AS b, count(*) AS common FROM e x JOIN e y ON x.t = y.t AND x.s < y.s GROUP BY 1, 2")
 def common_count_g4(spark, d):
     return similarity.project(tables.shipments(spark, d), side="s", weight="common").select("a", "b", "common")
 
@@ -122,11 +122,6 @@ def common_count_g5(spark, d):
     return similarity.project(tables.session_cells(spark, d), side="t", weight="common").select("a", "b", "common")
 
 
-@add()
-def topk_similar_pairs(spark, d):
-    """Flagship: the most similar customers of each by the parts they ordered."""
-    return similarity.strongest(similarity.project(tables.baskets(spark, d), side="t"), 3)
-
 
 @add()
 def minhash_candidates_g3(spark, d):
@@ -138,16 +133,11 @@ def minhash_candidates_g3(spark, d):
     return exact.agg(F.count(F.lit(1)).alias("pairs")).crossJoin(found.agg(F.count(F.lit(1)).alias("found"))).crossJoin(candidates.agg(F.count(F.lit(1)).alias("candidates")))
 
 
-@add()
-def projection_density_g4(spark, d):
-    own = tables.shipments(spark, d)
-    return similarity.density(similarity.project(own, side="s"), own.traversal.select("s").distinct().count())
-
 
 # planted routes
 
 
-def _planted(spark, d, **options):
+def planted_graph(spark, d, **options):
     graph, labels, paths = tables.planted(spark, d, **options)
     return BipartiteGraph(materialise(graph.traversal, "planted")), materialise(labels, "planted-labels"), paths
 
@@ -168,7 +158,7 @@ def source_roadgrid(spark, d):
     return own.agg(F.count(F.lit(1)).alias("segments"), F.count_if(F.col("length") == 200).alias("arterials"))
 
 
-def _pairs_sql(span: int, classes=network.CLASSES) -> str:
+def pairs_sql(span: int, classes=network.CLASSES) -> str:
     rows = ", ".join(f"('{c.klass}', {c.departure}, {c.arrival}, {c.first}, {c.last})" for c in classes)
     k, off = span * span, (16 - span) // 2
     point = lambda z, x: f"(({z} // 5) * 16 + {off} + ({x}) // {span}) * 80 + ({z} % 5) * 16 + {off} + ({x}) % {span}"
@@ -177,12 +167,12 @@ FROM (SELECT o_orderkey, o_custkey, c_nationkey AS dep, row_number() OVER (PARTI
 JOIN (VALUES {rows}) AS c(klass, dep, arr, first, last) USING (dep) WHERE rank BETWEEN first AND last"""
 
 
-@add(_pairs_sql(2))
+@add(pairs_sql(2))
 def planted_pairs_span2(spark, d):
     return network.planted_pairs(table(spark, d, "orders"), table(spark, d, "customer"))
 
 
-@add(_pairs_sql(16))
+@add(pairs_sql(16))
 def planted_pairs_span16(spark, d):
     return network.planted_pairs(table(spark, d, "orders"), table(spark, d, "customer"), span=16)
 
@@ -194,44 +184,32 @@ SELECT t, min(CASE WHEN i1 = i2 THEN 3 * abs(j1 - j2) ELSE 3 * (abs(j1 - a) + ab
 FROM x CROSS JOIN (SELECT unnest(range(4, 80, 9)) AS a) GROUP BY t"""
 
 
-@add(_cost_sql(_pairs_sql(2)))
+@add(_cost_sql(pairs_sql(2)))
 def planted_cost_closed_form(spark, d):
     """Travel time of the planted routes."""
     _, _, paths = tables.planted(spark, d)
     return routing.costs(network.segments(spark), paths).select("t", "cost")
 
 
-@add(_cost_sql(_pairs_sql(16)))
+@add(_cost_sql(pairs_sql(16)))
 def planted_cost_span16(spark, d):
     _, _, paths = tables.planted(spark, d, span=16)
     return routing.costs(network.segments(spark), paths).select("t", "cost")
 
 
-@add()
-def planted_routes(spark, d):
-    _, labels, paths = tables.planted(spark, d)
-    return paths.join(labels.withColumnRenamed("v", "t"), "t")
-
-
-@add("SELECT 85 AS trajectories, 14062 AS segments, true AS some_visited")
-def coverage_g1(spark, d):
-    graph, labels, _ = _planted(spark, d)
-    own = graph.coverage(network.segments(spark)).select("segments", (F.col("visited") > 400).alias("some_visited"))
-    return own.crossJoin(labels.agg(F.count(F.lit(1)).alias("trajectories"))).select("trajectories", "segments", "some_visited")
-
 
 # route A
 
 
 def _side(spark, d, side: str = "t", **options) -> tuple[BipartiteGraph, DataFrame, DataFrame]:
-    graph, labels, _ = _planted(spark, d, **options)
+    graph, labels, _ = planted_graph(spark, d, **options)
     return graph, labels, materialise(similarity.project(graph, side=side), "projected")
 
 
 def _report(labels: DataFrame, part: DataFrame, **more) -> DataFrame:
     found = agreement.confusion(labels, part)
     out = agreement.ari(found).crossJoin(agreement.purity(found))
-    return _rounded(out.withColumns({k: F.lit(v) for k, v in more.items()}), "ari", "purity")
+    return rounded(out.withColumns({k: F.lit(v) for k, v in more.items()}), "ari", "purity")
 
 
 def _both_routes(spark, d, **options) -> DataFrame:
@@ -248,7 +226,7 @@ def _both_routes(spark, d, **options) -> DataFrame:
 def communities_g1(spark, d):
     _, labels, edges = _side(spark, d)
     part = materialise(modularity.communities(edges), "communities")
-    return _report(labels, part).crossJoin(_rounded(modularity.score(edges, part), "modularity"))
+    return _report(labels, part).crossJoin(rounded(modularity.score(edges, part), "modularity"))
 
 
 @add()
@@ -263,7 +241,7 @@ def communities_distributed_g1(spark, d):
     """The same by rounds of joins, the kernel only for what is left."""
     _, labels, edges = _side(spark, d)
     part = materialise(modularity.communities(edges, mode="distributed", local_edges=200), "communities")
-    return _report(labels, part).crossJoin(_rounded(modularity.score(edges, part), "modularity"))
+    return _report(labels, part).crossJoin(rounded(modularity.score(edges, part), "modularity"))
 
 
 @add()
@@ -298,7 +276,7 @@ def recovery_g1(spark, d):
 @add()
 def confusion_g1(spark, d):
     _, labels, edges = _side(spark, d)
-    return _rounded(agreement.confusion(labels, hierarchy.cut(hierarchy.nested(edges), level=2)), "ratio")
+    return rounded(agreement.confusion(labels, hierarchy.cut(hierarchy.nested(edges), level=2)), "ratio")
 
 
 @add()
@@ -337,7 +315,7 @@ def noise_curve_g1(spark, d):
     """Agreement of co-clustering as more trajectories end at random places."""
     out = None
     for percent in (0, 10, 30):
-        graph, labels, _ = _planted(spark, d, noise=percent)
+        graph, labels, _ = planted_graph(spark, d, noise=percent)
         model = cocluster.fit(graph, restarts=0)
         one = _report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c")), noise=percent)
         out = one if out is None else out.unionByName(one)
@@ -362,19 +340,19 @@ def euclid_g1(spark, d):
 @add()
 def common_count_communities_g1(spark, d):
     """Rival weights: communities on plain counts of shared segments."""
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     return _report(labels, modularity.communities(similarity.project(graph, weight="common")))
 
 
 @add()
 def without_length_communities_g1(spark, d):
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     return _report(labels, modularity.communities(similarity.cosine_pairs(weights.spatial_tfidf(graph, use_length=False))))
 
 
 @add()
 def without_idf_communities_g1(spark, d):
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     return _report(labels, modularity.communities(similarity.cosine_pairs(weights.spatial_tfidf(graph, use_idf=False))))
 
 
@@ -398,7 +376,7 @@ def negative_control_g7(spark, d):
 
 
 def _fit_g1(spark, d, **options) -> tuple[cocluster.CoClustering, DataFrame]:
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     return cocluster.fit(graph, **options), labels
 
 
@@ -409,17 +387,17 @@ def cocluster_g1(spark, d):
 
 @add()
 def compression_g1(spark, d):
-    return _rounded(_fit_g1(spark, d, restarts=2)[0].compression(), "cost", "null_cost", "compression", to=4)
+    return rounded(_fit_g1(spark, d, restarts=2)[0].compression(), "cost", "null_cost", "compression", to=4)
 
 
 @add()
 def exchange_trace(spark, d):
     """Ablation of the search: merges alone, with exchanges, with restarts."""
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     out = None
     for name, options in (("merges", {"refine": False, "restarts": 0}), ("exchanges", {"restarts": 0}), ("restarts", {"restarts": 3}), ("first rise", {"refine": False, "restarts": 0, "stop": "first_rise"})):
         model = cocluster.fit(graph, **options)
-        one = _rounded(model.cost(), "total", to=4).select("total").crossJoin(_report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c")), search=name))
+        one = rounded(model.cost(), "total", to=4).select("total").crossJoin(_report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c")), search=name))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -432,8 +410,8 @@ def merge_trace_g1(spark, d):
 @add()
 def vns_trace(spark, d):
     """Independent restarts, a task each."""
-    graph, _, _ = _planted(spark, d)
-    return _rounded(cocluster.search(spark, graph, restarts=4), "cost", to=4)
+    graph, _, _ = planted_graph(spark, d)
+    return rounded(cocluster.search(spark, graph, restarts=4), "cost", to=4)
 
 
 @add()
@@ -459,12 +437,6 @@ def cocluster_g2(spark, d):
     return _report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c"))).crossJoin(model.compression())
 
 
-@add("SELECT 1 AS rows, 1 AS columns")
-def cocluster_g8(spark, d):
-    """Flows without structure: one block."""
-    model = cocluster.fit(tables.flows(spark, d), restarts=1)
-    return model.row_part.agg(F.count_distinct("ct").alias("rows")).crossJoin(model.col_part.agg(F.count_distinct("cs").alias("columns")))
-
 
 @add()
 def null_control_g3(spark, d):
@@ -480,17 +452,11 @@ def alternate_g8(spark, d):
     return mutual.contributions(mutual.crossed(graph, rows, columns))
 
 
-@add()
-def matched_start_g4(spark, d):
-    """Vertices with equal neighbours begin in one cluster."""
-    rows, columns = cocluster.matched_start(tables.shipments(spark, d))
-    return rows.agg(F.count(F.lit(1)).alias("orders"), F.count_distinct("ct").alias("row_clusters")).crossJoin(columns.agg(F.count_distinct("cs").alias("column_clusters")))
-
 
 @add()
 def assign_new_g1(spark, d):
     """Trajectories that were held out go to the cluster of their like."""
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     held = F.col("t") % 5 == 0
     model = cocluster.fit(BipartiteGraph(graph.traversal.where(~held)), restarts=0)
     given = cocluster.assign(model, BipartiteGraph(graph.traversal.where(held)))
@@ -514,7 +480,7 @@ def reordered_g1(spark, d):
 @add()
 def crossed_homogeneity_g1(spark, d):
     """Mean dispersion inside blocks, of either route: co-clustering's blocks are the more even."""
-    graph, _, _ = _planted(spark, d)
+    graph, _, _ = planted_graph(spark, d)
     model = cocluster.fit(graph, restarts=1)
     a_rows = modularity.communities(similarity.project(graph, side="t")).select(F.col("v").alias("t"), F.col("c").alias("ct"))
     a_columns = modularity.communities(similarity.project(graph, side="s")).select(F.col("v").alias("s"), F.col("c").alias("cs"))
@@ -528,7 +494,7 @@ def mi_blocks_g1(spark, d):
 
 
 _REGIONS = "SELECT n_nationkey::BIGINT AS n, n_regionkey::BIGINT AS r FROM nation"
-_OD_BLOCK = f"WITH g AS ({_G8}), reg AS ({_REGIONS}), block AS (SELECT a.r AS ct, b.r AS cs, sum(g.n)::BIGINT AS m, count(*) AS edges FROM g JOIN reg a ON g.t = a.n JOIN reg b ON g.s = b.n GROUP BY 1, 2)"
+_OD_BLOCK = f"WITH g AS ({G8}), reg AS ({_REGIONS}), block AS (SELECT a.r AS ct, b.r AS cs, sum(g.n)::BIGINT AS m, count(*) AS edges FROM g JOIN reg a ON g.t = a.n JOIN reg b ON g.s = b.n GROUP BY 1, 2)"
 
 
 def _regions(spark, d) -> tuple[BipartiteGraph, DataFrame, DataFrame]:
@@ -540,7 +506,7 @@ def _regions(spark, d) -> tuple[BipartiteGraph, DataFrame, DataFrame]:
 @add(_OD_BLOCK + " SELECT ct, cs, m, round(m / sum(m) OVER (), 6) AS p FROM block")
 def block_frequency_g8(spark, d):
     parts = mutual.contributions(mutual.crossed(*_regions(spark, d)))
-    return _rounded(parts.select("ct", "cs", "m", "p"), "p")
+    return rounded(parts.select("ct", "cs", "m", "p"), "p")
 
 
 @add(
@@ -550,7 +516,7 @@ SELECT ct, cs, round(pt * ps, 6) AS expected, round(p * ln(p / (pt * ps)), 6) AS
 )
 def mi_nation_od(spark, d):
     parts = mutual.contributions(mutual.crossed(*_regions(spark, d)))
-    return _rounded(parts.select("ct", "cs", "expected", "mi"), "expected", "mi")
+    return rounded(parts.select("ct", "cs", "expected", "mi"), "expected", "mi")
 
 
 @add(
@@ -562,12 +528,12 @@ def block_density_region(spark, d):
     graph, rows, columns = _regions(spark, d)
     rows = rows.join(graph.traversal.select("t").distinct(), "t", "left_semi")
     columns = columns.join(graph.traversal.select("s").distinct(), "s", "left_semi")
-    return _rounded(mutual.profile(graph, rows, columns).select("ct", "cs", "edges", "density"), "density")
+    return rounded(mutual.profile(graph, rows, columns).select("ct", "cs", "edges", "density"), "density")
 
 
-def _log_partitions_sql(n: str, k: str) -> str:
-    """ln of the partitions of n things into at most k classes, by inclusion and exclusion."""
-    return f"""(SELECT ln(sum(st)) FROM (SELECT j, sum(CASE WHEN (j - i) % 2 = 0 THEN 1 ELSE -1 END * exp(lgamma(j + 1) - lgamma(i + 1) - lgamma(j - i + 1)) * pow(i::DOUBLE, {n}) / exp(lgamma(j + 1))) AS st
+def log_partitions_sql(n: str, k: str) -> str:
+    """ln of the partitions of n things into at most k classes, by inclusion and exclusion; powers are taken of shares of k, or they would overflow."""
+    return f"""(SELECT ln(sum(st)) + any_value({n}) * ln(any_value({k})) FROM (SELECT j, sum(CASE WHEN (j - i) % 2 = 0 THEN 1 ELSE -1 END * exp(lgamma(j + 1) - lgamma(i + 1) - lgamma(j - i + 1)) * pow(i::DOUBLE / {k}, {n}) / exp(lgamma(j + 1))) AS st
 FROM (SELECT unnest(range(1, {k} + 1)) AS j), (SELECT unnest(range(1, {k} + 1)) AS i) WHERE i <= j GROUP BY j))"""
 
 
@@ -577,21 +543,16 @@ FROM (SELECT unnest(range(1, {k} + 1)) AS j), (SELECT unnest(range(1, {k} + 1))
 tc AS (SELECT r, count(*) AS size, sum(tv.n) AS m, sum(lgamma(tv.n + 1)) AS own FROM tv JOIN reg ON v = reg.n GROUP BY 1),
 sc AS (SELECT r, count(*) AS size, sum(sv.n) AS m, sum(lgamma(sv.n + 1)) AS own FROM sv JOIN reg ON v = reg.n GROUP BY 1),
 one AS (SELECT (SELECT sum(m) FROM block) AS m, (SELECT count(*) FROM tv) AS nt, (SELECT count(*) FROM sv) AS ns, (SELECT count(*) FROM tc) AS kt, (SELECT count(*) FROM sc) AS ks)
-SELECT round(ln(nt) + ln(ns) + {_log_partitions_sql('(SELECT count(*) FROM tv)', '(SELECT count(*) FROM tc)')} + {_log_partitions_sql('(SELECT count(*) FROM sv)', '(SELECT count(*) FROM sc)')}
+SELECT round(ln(nt) + ln(ns) + {log_partitions_sql('(SELECT count(*) FROM tv)', '(SELECT count(*) FROM tc)')} + {log_partitions_sql('(SELECT count(*) FROM sv)', '(SELECT count(*) FROM sc)')}
 + lgamma(m + kt * ks) - lgamma(kt * ks) - lgamma(m + 1)
 + (SELECT sum(lgamma(m + size) - lgamma(size) - lgamma(m + 1)) FROM tc) + (SELECT sum(lgamma(m + size) - lgamma(size) - lgamma(m + 1)) FROM sc)
 + lgamma(m + 1) - (SELECT sum(lgamma(m + 1)) FROM block) + (SELECT sum(lgamma(m + 1) - own) FROM tc) + (SELECT sum(lgamma(m + 1) - own) FROM sc), 3) AS total FROM one"""
 )
 def map_cost_g8_region(spark, d):
     """Code length of the regions as clusters."""
-    return _rounded(criterion.cost(*_regions(spark, d)).select("total"), "total", to=3)
+    return rounded(criterion.cost(*_regions(spark, d)).select("total"), "total", to=3)
 
 
-@add()
-def map_cost_null_g8(spark, d):
-    graph = tables.flows(spark, d)
-    return criterion.cost(graph, *criterion.null_model(graph))
-
 
 @add(
     """WITH c AS (SELECT lang AS klass, source AS cluster, count(*) AS n FROM documents GROUP BY 1, 2), r AS (SELECT sum(n) AS n FROM c GROUP BY klass), k AS (SELECT sum(n) AS n FROM c GROUP BY cluster),
@@ -600,7 +561,7 @@ SELECT round((b - r * k / (t * (t - 1) / 2.0)) / ((r + k) / 2.0 - r * k / (t * (
 )
 def ari_lang_vs_source(spark, d):
     docs = table(spark, d, "documents").select(F.col("doc_id").alias("v"), F.col("lang").alias("klass"), F.col("source").alias("c"))
-    return _rounded(agreement.ari(agreement.confusion(docs.select("v", "klass"), docs.select("v", "c"))), "ari")
+    return rounded(agreement.ari(agreement.confusion(docs.select("v", "klass"), docs.select("v", "c"))), "ari")
 
 
 _URL_LANG = "regexp_extract(url, '^[a-z]+://[^/]+/([a-z]{2})/', 1)"
@@ -614,23 +575,23 @@ def _page_parts(spark, d) -> tuple[DataFrame, DataFrame]:
 
 @add(f"SELECT klass, cluster, n, round(n / sum(n) OVER (PARTITION BY klass), 6) AS ratio FROM (SELECT {_URL_LANG} AS klass, {_HTML_LANG} AS cluster, count(*) AS n FROM pages GROUP BY 1, 2)")
 def confusion_g6(spark, d):
-    return _rounded(agreement.confusion(*_page_parts(spark, d)), "ratio")
+    return rounded(agreement.confusion(*_page_parts(spark, d)), "ratio")
 
 
 @add(f"WITH c AS (SELECT {_URL_LANG} AS klass, {_HTML_LANG} AS cluster, count(*) AS n FROM pages GROUP BY 1, 2), m AS (SELECT max(n) AS main, sum(n) AS n FROM c GROUP BY cluster) SELECT round(sum(main) / sum(n), 6) AS purity, sum(main) = sum(n) AS all_pure, count(*) AS clusters FROM m")
 def purity_g6(spark, d):
-    return _rounded(agreement.purity(agreement.confusion(*_page_parts(spark, d))), "purity")
+    return rounded(agreement.purity(agreement.confusion(*_page_parts(spark, d))), "purity")
 
 
 @add(
-    f"""WITH e AS (SELECT least(t, s) AS a, greatest(t, s) AS b, sum(n)::DOUBLE AS w FROM ({_G8}) WHERE t <> s GROUP BY 1, 2), reg AS ({_REGIONS}),
+    f"""WITH e AS (SELECT least(t, s) AS a, greatest(t, s) AS b, sum(n)::DOUBLE AS w FROM ({G8}) WHERE t <> s GROUP BY 1, 2), reg AS ({_REGIONS}),
 x AS (SELECT w, p.r AS ca, q.r AS cb FROM e JOIN reg p ON a = p.n JOIN reg q ON b = q.n), k AS (SELECT c, sum(w) AS k FROM (SELECT ca AS c, w FROM x UNION ALL SELECT cb, w FROM x) GROUP BY c)
 SELECT round((SELECT sum(CASE WHEN ca = cb THEN w ELSE 0 END) / sum(w) FROM x) - (SELECT sum(k * k) FROM k) / (4 * pow((SELECT sum(w) FROM x), 2)), 6) AS modularity"""
 )
 def modularity_region_partition(spark, d):
     graph, region, _ = _regions(spark, d)
     own = graph.traversal.where("t <> s").groupBy(F.least("t", "s").alias("a"), F.greatest("t", "s").alias("b")).agg(F.sum("n").cast("double").alias("omega"))
-    return _rounded(modularity.score(own, region.select(F.col("t").alias("v"), F.col("ct").alias("c"))), "modularity")
+    return rounded(modularity.score(own, region.select(F.col("t").alias("v"), F.col("ct").alias("c"))), "modularity")
 
 
 @add("SELECT 0.849::DOUBLE AS first, 0.849::DOUBLE AS second, 0.862::DOUBLE AS third")
@@ -649,7 +610,7 @@ def golden_ari_849(spark, d):
 def golden_block(spark, d):
     """The published example block: 21.6 % by 17.3 % with 17.3 % of the visits."""
     own = spark.createDataFrame([(0, 0, 173), (0, 1, 43), (1, 1, 784)], "ct long, cs long, m long")
-    return _rounded(mutual.contributions(own).where("ct = 0 and cs = 0").select("expected", "mi"), "expected", "mi")
+    return rounded(mutual.contributions(own).where("ct = 0 and cs = 0").select("expected", "mi"), "expected", "mi")
 
 
 # trips and map matching
@@ -719,7 +680,7 @@ def routes_all_orders(spark, d):
 @add()
 def matched_merges_g1(spark, d):
     """Greedy merges by joins: all pairs of clusters that are each other's best, a round at a time."""
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     rows, _, _ = greedy.merge(graph, criterion.finest(graph), batch="matched", max_rounds=12)
     return _report(labels, rows.select(F.col("t").alias("v"), F.col("ct").alias("c")))
 
@@ -734,18 +695,11 @@ def single_merges_g9(spark, d):
 @add()
 def sampled_fit_g1(spark, d):
     """Fitted on a hashed half of the trajectories, the others assigned."""
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     given = cocluster.fit_sampled(graph, share=0.5, restarts=0)
     return _report(labels, given.select(F.col("t").alias("v"), F.col("ct").alias("c")))
 
 
-@add()
-def roles_g4(spark, d):
-    """Suppliers by regions of customers: roles of the suppliers' nations."""
-    graph, rows, _ = _regions(spark, d)
-    nations = graph.traversal.select("s").distinct().withColumn("cs", F.col("s"))
-    return mutual.roles(mutual.crossed(graph, rows, nations))
-
 
 @add()
 def sink_checkpoint_levels(spark, d):
@@ -756,14 +710,6 @@ def sink_checkpoint_levels(spark, d):
     return spark.read.parquet(path).where("level = 2").select("v", "cluster", "parent")
 
 
-@add(f"WITH e AS ({_G8}) SELECT x.s AS a, y.s AS b, count(*) AS common, 0.0::DOUBLE AS omega FROM e x JOIN e y ON x.t = y.t AND x.s < y.s GROUP BY 1, 2")
-def keep_zero_edges_g8(spark, d):
-    """Edges by shared neighbours alone: no nation is rare enough to weigh anything, and the edges are kept all the same."""
-    graph = BipartiteGraph(tables.flows(spark, d).traversal.withColumn("length", F.lit(1.0)))
-    flat = weights.visit_tfidf(graph).withColumn("w", F.lit(0.0))
-    pairs = similarity.feature_pairs(flat).groupBy("a", "b").agg(F.count(F.lit(1)).alias("common"), F.sum(F.col("wa") * F.col("wb")).alias("omega"))
-    return pairs.select("a", "b", "common", "omega")
-
 
 @add()
 def planted_random_classes(spark, d):
@@ -775,7 +721,7 @@ def planted_random_classes(spark, d):
 @add()
 def reference_costs_g1(spark, d):
     """Code length of the planted classes with the fitted columns, beside the fitted model, one block and single vertices."""
-    graph, labels, _ = _planted(spark, d)
+    graph, labels, _ = planted_graph(spark, d)
     model = cocluster.fit(graph, restarts=1)
     planted = labels.select(F.col("v").alias("t"), F.col("klass").cast("long").alias("ct"))
     choices = {"fitted": (model.row_part, model.col_part), "planted rows": (planted, model.col_part), "one block": criterion.null_model(graph), "finest": criterion.finest(graph)}

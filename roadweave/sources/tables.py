@@ -26,7 +26,7 @@ def planted(spark: SparkSession, sf_dir: str, *, span: int = 2, classes=network.
     """The planted routes: graph, labels ``(v, klass)`` and paths ``(t, pos, s)``."""
     pairs = network.planted_pairs(table(spark, sf_dir, "orders"), table(spark, sf_dir, "customer"), classes=classes, span=span)
     roads = network.segments(spark)
-    paths = routing.shortest(roads, network.noisy_labels(pairs, noise) if noise else pairs)
+    paths = routing.shortest(network.first_arterials(roads), network.noisy_labels(pairs, noise) if noise else pairs, weight="ranked")
     graph = BipartiteGraph.of(to_traversals(paths, roads))
     return graph, pairs.select(F.col("t").alias("v"), "klass"), paths
 
