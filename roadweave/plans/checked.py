@@ -319,3 +319,87 @@ def mi_lang_g2(spark, d):
 def roles_g2(spark, d):
     """Words that all languages have are the hubs."""
     return _roles(mutual.crossed(*_spoken(spark, d)))
+
+
+# optima of small graphs, against every partition there is
+
+_EVERY = """every AS (SELECT row_number() OVER () AS id, [0, b, c, d, e] AS label FROM (SELECT unnest(range(2)) AS b), (SELECT unnest(range(3)) AS c), (SELECT unnest(range(4)) AS d), (SELECT unnest(range(5)) AS e)
+  WHERE c <= b + 1 AND d <= greatest(b, c) + 1 AND e <= greatest(b, c, d) + 1)"""
+
+
+def _best_communities(edges: str) -> str:
+    """Of the 52 partitions of five vertices the one of most modularity, from ``edges`` of (a, b, w)."""
+    return f"""WITH g AS ({edges}), ids AS (SELECT v, row_number() OVER (ORDER BY v) AS i FROM (SELECT a AS v FROM g UNION SELECT b FROM g)), {_EVERY},
+lab AS (SELECT id, v, label[i::INT] AS c FROM every, ids), x AS (SELECT p.id, w, p.c AS ca, q.c AS cb FROM g JOIN lab p ON a = p.v JOIN lab q ON b = q.v AND q.id = p.id),
+k AS (SELECT id, sum(k * k) AS k FROM (SELECT id, c, sum(w) AS k FROM (SELECT id, ca AS c, w FROM x UNION ALL SELECT id, cb, w FROM x) GROUP BY id, c) GROUP BY id),
+q AS (SELECT id, sum(CASE WHEN ca = cb THEN w ELSE 0 END) / sum(w) - any_value(k) / (4 * pow(sum(w), 2)) AS q FROM x JOIN k USING (id) GROUP BY id), best AS (SELECT id, q FROM q ORDER BY round(q, 9) DESC, id LIMIT 1)
+SELECT v, min(v) OVER (PARTITION BY c) AS c, round(q, 6) AS modularity FROM lab JOIN best USING (id)"""
+
+
+def _found_communities(edges: DataFrame) -> DataFrame:
+    own = materialise(edges, "small-edges")
+    part = materialise(modularity.communities(own), "small-part")
+    return part.crossJoin(rounded(modularity.score(own, part), "modularity"))
+
+
+_CLASS_EDGES = f"SELECT least(p.c, q.c) AS a, greatest(p.c, q.c) AS b, sum(omega) AS w FROM ({_edges_sql(16)}) w JOIN (SELECT t AS v, klass::BIGINT AS c FROM ({pairs_sql(16)})) p ON a = p.v JOIN (SELECT t AS v, klass::BIGINT AS c FROM ({pairs_sql(16)})) q ON b = q.v WHERE p.c <> q.c GROUP BY 1, 2"
+
+
+@add(_best_communities(_CLASS_EDGES))
+def communities_of_classes(spark, d):
+    """Classes as vertices, with the similarity between their trajectories: the best of all partitions is found."""
+    graph, labels, _ = planted_graph(spark, d, span=16)
+    klass = labels.select("v", F.col("klass").cast("long").alias("c"))
+    between = modularity.contract(similarity.project(graph, side="t"), klass).where("a <> b")
+    return _found_communities(between)
+
+
+@add(_best_communities(f"WITH f AS ({G8}), reg AS (SELECT n_nationkey::BIGINT AS n, n_regionkey::BIGINT AS r FROM nation) SELECT least(p.r, q.r) AS a, greatest(p.r, q.r) AS b, sum(f.n)::DOUBLE AS w FROM f JOIN reg p ON f.t = p.n JOIN reg q ON f.s = q.n WHERE p.r <> q.r GROUP BY 1, 2"))
+def communities_of_regions(spark, d):
+    """Regions with the order lines between them."""
+    region = table(spark, d, "nation").select(F.col("n_nationkey").cast("long").alias("v"), F.col("n_regionkey").cast("long").alias("c"))
+    flows = tables.flows(spark, d).traversal.select(F.col("t").alias("a"), F.col("s").alias("b"), F.col("n").cast("double").alias("omega"))
+    return _found_communities(modularity.contract(flows, region).where("a <> b"))
+
+
+def _best_blocks(cells: str) -> str:
+    """Of all pairs of partitions of five rows and five columns the one of least code length, from ``cells`` of (t, s, n)."""
+
+    def side(v: str, x: str) -> str:
+        return f"""{x}i AS (SELECT {v} AS v, sum(n) AS n, row_number() OVER (ORDER BY {v}) AS i FROM g GROUP BY {v}), {x} AS (SELECT id, v, n, label[i::INT] AS c FROM every, {x}i),
+{x}k AS (SELECT id, count(*) AS k, sum(lgamma(m + size) - lgamma(size) - own) AS cost FROM (SELECT id, c, count(*) AS size, sum(n) AS m, sum(lgamma(n + 1)) AS own FROM {x} GROUP BY id, c) GROUP BY id)"""
+
+    ways = "ln([1, 16, 41, 51, 52][{}.k::INT])"
+    return f"""WITH g AS ({cells}), {_EVERY}, {side('t', 'r')}, {side('s', 'k')},
+blocks AS (SELECT p, q, sum(lgamma(m + 1)) AS f FROM (SELECT r.id AS p, k.id AS q, r.c AS a, k.c AS b, sum(g.n) AS m FROM g JOIN r ON g.t = r.v JOIN k ON g.s = k.v GROUP BY ALL) GROUP BY p, q),
+costs AS (SELECT p, q, 2 * ln(5) + {ways.format('rk')} + {ways.format('kk')} + lgamma(m + rk.k * kk.k) - lgamma(rk.k * kk.k) - lgamma(m + 1) + rk.cost + kk.cost + lgamma(m + 1) - f AS cost
+  FROM blocks JOIN rk ON p = rk.id JOIN kk ON q = kk.id, (SELECT sum(n) AS m FROM g)), best AS (SELECT * FROM costs ORDER BY round(cost, 6), p, q LIMIT 1)
+SELECT 't' AS side, v, min(v) OVER (PARTITION BY c) AS c, round(cost, 3) AS cost FROM r JOIN best ON id = p UNION ALL SELECT 's', v, min(v) OVER (PARTITION BY c), round(cost, 3) FROM k JOIN best ON id = q"""
+
+
+def _found_blocks(block: DataFrame) -> DataFrame:
+    model = cocluster.fit(BipartiteGraph.of(block.select(F.col("ct").alias("t"), F.col("cs").alias("s"), F.col("m").alias("n")), length=None))
+    sides = [p.select(F.lit(v).alias("side"), F.col(v).alias("v"), F.col(c).alias("c")) for p, v, c in ((model.row_part, "t", "ct"), (model.col_part, "s", "cs"))]
+    return sides[0].unionByName(sides[1]).crossJoin(model.cost().select(F.round("total", 3).alias("cost")))
+
+
+@add(_best_blocks(f"WITH {PLANTED_PARTS}, {_BLOCK} SELECT ct AS t, cs AS s, m AS n FROM block"))
+def cocluster_of_classes(spark, d):
+    """Classes by the first class of their segments: the co-clustering found is the best of all 2,704."""
+    return _found_blocks(mutual.crossed(*planted_parts(spark, d)))
+
+
+@add(_best_blocks(f"WITH f AS ({G8}), reg AS (SELECT n_nationkey::BIGINT AS n, n_regionkey::BIGINT AS r FROM nation) SELECT p.r AS t, q.r AS s, sum(f.n) AS n FROM f JOIN reg p ON f.t = p.n JOIN reg q ON f.s = q.n GROUP BY 1, 2"))
+def cocluster_of_regions(spark, d):
+    """Regions of customers by regions of suppliers."""
+    region = table(spark, d, "nation").select(F.col("n_nationkey").cast("long").alias("t"), F.col("n_regionkey").cast("long").alias("ct"))
+    return _found_blocks(mutual.crossed(tables.flows(spark, d), region, region.select(F.col("t").alias("s"), F.col("ct").alias("cs"))))
+
+
+@add(_best_blocks("SELECT customer_segment AS t, kind AS s, count(*) AS n FROM (SELECT list_position(['AUTOMOBILE', 'BUILDING', 'FURNITURE', 'HOUSEHOLD', 'MACHINERY'], c_mktsegment) AS customer_segment, CASE WHEN list_position(['AUTOMOBILE', 'BUILDING', 'FURNITURE', 'HOUSEHOLD', 'MACHINERY'], c_mktsegment) <= 2 AND o_orderkey % 3 > 0 THEN o_orderkey % 2 ELSE 2 + o_orderkey % 3 END AS kind FROM orders JOIN customer ON o_custkey = c_custkey) GROUP BY 1, 2"))
+def cocluster_of_market_segments(spark, d):
+    """Market segments by a kind of order that two of them prefer: structure in five rows and columns."""
+    names = F.array(*[F.lit(x) for x in ("AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY")])
+    own = table(spark, d, "orders").join(table(spark, d, "customer"), F.col("o_custkey") == F.col("c_custkey")).withColumn("ct", F.array_position(names, F.col("c_mktsegment")))
+    own = own.withColumn("cs", F.when((F.col("ct") <= 2) & (F.col("o_orderkey") % 3 > 0), F.col("o_orderkey") % 2).otherwise(2 + F.col("o_orderkey") % 3))
+    return _found_blocks(own.groupBy("ct", "cs").agg(F.count(F.lit(1)).alias("m")))
