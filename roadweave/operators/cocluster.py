@@ -1,12 +1,13 @@
 """Direct co-clustering of the bipartite graph, with no number of clusters given.
 
 A graph of few enough vertices is solved in one task from the finest model. A
-larger one starts from as many hashed clusters as the square root of its edges
-allows, with vertices of equal neighbours in the same one; passes of exchanges
-by joins lower the cost over all edges, the small matrix of blocks that remains
+larger one starts from as many hashed clusters a side as the square root of its
+edges, with vertices of equal neighbours in the same one. Rounds of merges by
+joins, of all pairs that are each other's best, leave at most ``LOCAL_START`` a
+side; passes of exchanges over all edges lower the cost, the small matrix of blocks
 is merged in one task, and exchanges over all edges finish. Restarts disturb
-the best model more and more and keep whatever costs less. The one-block model
-is always a candidate, so a result never costs more than it.
+the best model more and more, over all vertices, and keep whatever costs less. The
+one-block model is always a candidate, so a result never costs more than it.
 """
 
 from __future__ import annotations
@@ -17,15 +18,18 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window, functions as F
 
-from ..functions.scalar import log_factorial
 from ..model import BipartiteGraph
 from ..scratch import materialise
-from . import criterion, kernel, mutual
+from . import criterion, greedy, kernel, mutual
 
 #: Of the dense kernel: cells of rows by columns, vertices of a side, and edges that one task takes.
 LOCAL_CELLS, LOCAL_SIDE, LOCAL_EDGES = 4_000_000, 2_500, 2_000_000
+#: Clusters a side that the exchanges and the merging task of a larger graph take; their blocks are sent to every task.
+LOCAL_START = 500
 
 
 @dataclass
@@ -110,36 +114,76 @@ def fit(graph: BipartiteGraph, *, seed: int = 42, restarts: int = 4, stop: str =
     rows, columns, edges = size["trajectories"], size["segments"], size["edges"]
     if rows * columns <= local_cells and max(rows, columns) <= LOCAL_SIDE and edges <= LOCAL_EDGES:
         return CoClustering(own, *_unpacked(_solve(own.traversal, seed=seed, restarts=restarts, stop=stop, refine=refine, merge=merge)))
-    k = start or max(2, min(int(math.sqrt(edges)), int(math.sqrt(local_cells)) // 2, 400))
-    parts = hashed_start(own, k, seed=seed)
-    trace = []
-    for step in range(passes):
-        parts, value, better = exchange_pass(own, parts, seed=seed + step)
-        trace.append(("exchange", step + 1, value))
-        if not better:
-            break
-    # Each block is one edge between cluster vertices; merging them is merging clusters.
-    block = mutual.crossed(own, *parts).select(F.col("ct").alias("t"), F.col("cs").alias("s"), F.col("m").alias("n"))
-    merged_rows, merged_columns, _ = _unpacked(_solve(block, seed=seed, restarts=restarts, stop=stop, refine=refine, merge=merge))
-    parts = materialise(parts[0].join(merged_rows.select(F.col("t").alias("ct"), F.col("ct").alias("to")), "ct").select("t", F.col("to").alias("ct")), "cocluster-rows"), materialise(
-        parts[1].join(merged_columns.select(F.col("s").alias("cs"), F.col("cs").alias("to")), "cs").select("s", F.col("to").alias("cs")), "cocluster-columns"
-    )
-    trace.append(("merge", 0, _total(own, parts)))
-    if refine:
-        for step in range(passes):
-            parts, value, better = exchange_pass(own, parts, seed=seed + step)
-            trace.append(("exchange", step + 1, value))
-            if not better:
-                break
+    parts = hashed_start(own, start or max(2, int(math.sqrt(edges))), seed=seed)
+    if (start or math.sqrt(edges)) > LOCAL_START:
+        parts = _bounded(greedy.reduced(own, parts, LOCAL_START))
+    trace: list[tuple[str, int, float]] = []
+
+    def descended(parts: tuple[DataFrame, DataFrame], seed: int) -> tuple[tuple[DataFrame, DataFrame], float]:
+        parts = _exchanges(own, parts, passes, seed, trace)
+        parts = _merged_blocks(own, parts, seed=seed, stop=stop, refine=refine, merge=merge)
+        trace.append(("merge", 0, _total(own, parts)))
+        if refine:
+            parts = _exchanges(own, parts, passes, seed, trace)
+        return parts, trace[-1][2]
+
+    parts, cost = descended(parts, seed)
+    strength = 1
+    for k in range(restarts):
+        other, then = descended(_disturbed(parts, strength, seed + k + 1), seed + k + 1)
+        better = then < cost - 1e-6
+        parts, cost, strength = (other, then, 1) if better else (parts, cost, strength + 1)
+        trace.append(("restart", k + 1, cost))
     null = criterion.null_model(own)
     null_cost = _total(own, null)
-    if stop == "to_null" and null_cost < trace[-1][2]:
+    if stop == "to_null" and null_cost < cost:
         parts = null
         trace.append(("null", 0, null_cost))
     frame = own.traversal.sparkSession.createDataFrame(trace, "step string, round long, cost double")
     return CoClustering(own, *_named(parts), frame.select("step", "round", *[F.lit(None).cast(_TRACE[c]).alias(c) for c in ("side", "a", "b", "delta")], "cost", F.lit(None).cast("long").alias("pairs")))
 
 
+def _exchanges(graph: BipartiteGraph, parts: tuple[DataFrame, DataFrame], passes: int, seed: int, trace: list[tuple[str, int, float]]) -> tuple[DataFrame, DataFrame]:
+    for step in range(passes):
+        parts, value, better = exchange_pass(graph, parts, seed=seed + step)
+        trace.append(("exchange", step + 1, value))
+        if not better:
+            break
+    return parts
+
+
+def _merged_blocks(graph: BipartiteGraph, parts: tuple[DataFrame, DataFrame], **options) -> tuple[DataFrame, DataFrame]:
+    """Partitions after the merges of their blocks: a block is one edge between clusters, and merging those is merging clusters."""
+    block = mutual.crossed(graph, *parts).select(F.col("ct").alias("t"), F.col("cs").alias("s"), F.col("m").alias("n"))
+    rows, columns, _ = _unpacked(_solve(block, restarts=0, **options))
+    rows = parts[0].join(rows.select(F.col("t").alias("ct"), F.col("ct").alias("to")), "ct").select("t", F.col("to").alias("ct"))
+    columns = parts[1].join(columns.select(F.col("s").alias("cs"), F.col("cs").alias("to")), "cs").select("s", F.col("to").alias("cs"))
+    return materialise(rows, "cocluster-rows"), materialise(columns, "cocluster-columns")
+
+
+def _bounded(parts: tuple[DataFrame, DataFrame]) -> tuple[DataFrame, DataFrame]:
+    """At most ``LOCAL_START`` clusters a side: merges end above it where clusters share nothing, and hashes go on."""
+    out = []
+    for part, v, c in zip(parts, ("t", "s"), ("ct", "cs")):
+        many = part.select(c).distinct().count() > LOCAL_START
+        out.append(materialise(part.withColumn(c, F.pmod(F.xxhash64(c), F.lit(LOCAL_START))), "cocluster-start") if many else part)
+    return out[0], out[1]
+
+
+def _disturbed(parts: tuple[DataFrame, DataFrame], strength: int, seed: int) -> tuple[DataFrame, DataFrame]:
+    """A hashed share of either side's vertices, growing with ``strength``, in random clusters, some of them new."""
+    out = []
+    for part, v, c in zip(parts, ("t", "s"), ("ct", "cs")):
+        names = part.select(c).distinct()
+        ranked = names.withColumn("i", F.row_number().over(Window.orderBy(c)) - 1)
+        k = min(names.count() + 1 + strength, LOCAL_START)
+        some = F.pmod(F.xxhash64(v, F.lit(seed)), F.lit(100)) < min(100, 15 * strength)
+        # Clusters are at most LOCAL_START here.
+        moved = part.join(F.broadcast(ranked), c).select(v, F.when(some, F.pmod(F.xxhash64(v, F.lit(seed + 7919)), F.lit(k))).otherwise(F.col("i").cast("long")).alias(c))
+        out.append(materialise(moved, "cocluster-disturbed"))
+    return out[0], out[1]
+
+
 def _total(graph: BipartiteGraph, parts: tuple[DataFrame, DataFrame]) -> float:
     return criterion.cost(graph, *parts).first()["total"]
 
@@ -187,29 +231,37 @@ def exchange_pass(graph: BipartiteGraph, parts: tuple[DataFrame, DataFrame], *,
 
 
 def _exchanged(graph: BipartiteGraph, parts: tuple[DataFrame, DataFrame], side: str, half: int, seed: int) -> DataFrame:
-    """A side's partition with the vertices of one half at their best cluster, others held still."""
+    """A side's partition with the vertices of one half at their best cluster, others held still.
+
+    A vertex is one row with its visits by cluster of the other side; the blocks,
+    bounded by the number of start clusters squared, go to every task as a matrix.
+    """
     v, c, u, d = ("t", "ct", "s", "cs") if side == "t" else ("s", "cs", "t", "ct")
     own, other = (parts[0], parts[1]) if side == "t" else (parts[1], parts[0])
-    edges = graph.traversal.select("t", "s", "n")
-    block = mutual.crossed(graph, *parts).select(F.col(c).alias("to"), d, "m")
-    margin = graph.traversal.groupBy(v).agg(F.sum("n").alias("deg")).join(own, v)
-    sums = margin.groupBy(F.col(c).alias("to")).agg(F.count(F.lit(1)).alias("size"), F.sum("deg").alias("mass"))
-    mine = edges.join(other, u).groupBy(v, d).agg(F.sum("n").alias("n")).join(margin, v)
-    mine = mine.where(F.pmod(F.xxhash64(v, F.lit(seed)), F.lit(2)) == half)
-    # Blocks and clusters are bounded by the number of start clusters squared.
-    met = mine.join(F.broadcast(block), d)
-    kept = F.col("m") - F.when(F.col("to") == F.col(c), F.col("n")).otherwise(0)
-    touched = met.groupBy(v, "to").agg(F.sum(log_factorial(kept) - log_factorial(kept + F.col("n"))).alias("blocks"), F.sum(log_factorial(F.col("n"))).alias("back"), F.first(c).alias("own"), F.first("deg").alias("deg"))
-    # Columns in which the cluster has nothing cost the visits' own factorial.
-    alone = mine.groupBy(v).agg(F.sum(log_factorial(F.col("n"))).alias("alone"))
-    options = touched.join(alone, v).join(F.broadcast(sums), "to")
-    stays = (F.col("to") == F.col("own")).cast("long")
-    size, mass = F.col("size") - stays, F.col("mass") - stays * F.col("deg")
-    margin_cost = lambda size, mass: log_factorial(mass + size - 1) - log_factorial(size - 1)
-    before = F.when(size > 0, margin_cost(size, mass)).otherwise(0.0)
-    delta = F.col("blocks") - (F.col("alone") - F.col("back")) + margin_cost(size + 1, mass + F.col("deg")) - before
-    best = options.groupBy(v).agg(F.min(F.struct(F.round(delta, 9).alias("delta"), (1 - stays).alias("moves"), "to")).alias("best"))
-    return materialise(own.join(best, v, "left").select(v, F.coalesce("best.to", c).alias(c)), "cocluster-exchange")
+    block = mutual.crossed(graph, *parts).select(F.col(c).alias("c"), F.col(d).alias("d"), "m").toPandas()
+    names, line = np.unique(block["c"].to_numpy(), return_inverse=True)
+    others, cell = np.unique(block["d"].to_numpy(), return_inverse=True)
+    matrix = np.zeros((len(names), len(others)), dtype=np.int64)
+    matrix[line, cell] = block["m"].to_numpy()
+    counted = own.groupBy(c).agg(F.count(F.lit(1)).alias("size")).toPandas().set_index(c)["size"]
+    size = counted.reindex(names).to_numpy(np.int64)
+    shared = graph.traversal.sparkSession.sparkContext.broadcast((names, others, matrix, size, matrix.sum(axis=1)))
+    met = graph.traversal.where(F.pmod(F.xxhash64(v, F.lit(seed)), F.lit(2)) == half).join(other, u)
+    mine = met.groupBy(v, d).agg(F.sum("n").alias("n")).groupBy(v).agg(F.collect_list(F.struct(F.col(d).alias("d"), "n")).alias("cells")).join(own, v)
+
+    def run(frames: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names, others, matrix, size, mass = shared.value
+        for batch in frames:
+            cells = batch.column("cells")
+            flat, edge = cells.flatten(), np.concatenate([[0], np.cumsum(pc.list_value_length(cells).to_numpy())])
+            at, n = np.searchsorted(others, flat.field("d").to_numpy()), flat.field("n").to_numpy()
+            lines = np.searchsorted(names, batch.column("c").to_numpy())
+            rows = [(int(k), at[i:j], n[i:j]) for k, i, j in zip(lines, edge[:-1], edge[1:])]
+            best = kernel.best_clusters(matrix, size, mass, rows)
+            yield pa.RecordBatch.from_arrays([batch.column("v"), pa.array(names[best] if best else names[:0], pa.int64())], names=["v", "to"])
+
+    best = mine.select(F.col(v).cast("long").alias("v"), F.col(c).cast("long").alias("c"), "cells").mapInArrow(run, "v long, to long")
+    return materialise(own.join(best.withColumnRenamed("v", v), v, "left").select(v, F.coalesce("to", c).alias(c)), "cocluster-exchange")
 
 
 def coarsen(model: CoClustering, k_t: int, k_s: int) -> DataFrame:

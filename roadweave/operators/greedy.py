@@ -69,3 +69,20 @@ def merge(graph: BipartiteGraph, start: tuple[DataFrame, DataFrame], *, batch: s
         if not gained:
             break
     return *parts, graph.traversal.sparkSession.createDataFrame(trace, "round long, step string, cost double")
+
+
+def reduced(graph: BipartiteGraph, parts: tuple[DataFrame, DataFrame], until: int) -> tuple[DataFrame, DataFrame]:
+    """Merges of all pairs that are each other's best, rises too, until either side has at most ``until`` clusters or no pair is left."""
+    open_sides = {"t", "s"}
+    while open_sides:
+        for side in sorted(open_sides):
+            v, c = ("t", "ct") if side == "t" else ("s", "cs")
+            part = parts[0] if side == "t" else parts[1]
+            k = part.select(c).distinct().count()
+            merges = materialise(choose(candidates(graph, parts, side), "matched"), "greedy-merges") if k > until else None
+            if merges is None or merges.isEmpty():
+                open_sides.discard(side)
+                continue
+            new = _applied(part, merges, v, c)
+            parts = (new, parts[1]) if side == "t" else (parts[0], new)
+    return parts

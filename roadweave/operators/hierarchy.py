@@ -6,8 +6,8 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
-from ..scratch import materialise
-from .modularity import LOCAL_EDGES, _matrix, communities, dense_communities, dense_score
+from ..scratch import materialise, new_path
+from .modularity import LOCAL_EDGES, LOCAL_VERTICES, _matrix, communities, dense_communities, dense_score
 
 
 def _random_gain(a: np.ndarray, rng: np.random.Generator, resolution: float, times: int = 3) -> float:
@@ -36,11 +36,11 @@ def _split(frame: pd.DataFrame, gate: str, min_size: int, resolution: float) ->
     return pd.DataFrame({"v": vertices, "cluster": first[label]})
 
 
-def nested(edges: DataFrame, *, max_depth: int = 2, min_size: int = 3, gate: str = "gain", resolution: float = 1.0, local_edges: int = LOCAL_EDGES) -> DataFrame:
+def nested(edges: DataFrame, *, max_depth: int = 2, min_size: int = 3, gate: str = "gain", resolution: float = 1.0, local_edges: int = LOCAL_EDGES, local_vertices: int = LOCAL_VERTICES) -> DataFrame:
     """``(v, level, cluster, parent)`` for levels 1 to ``max_depth``; a cluster is named by its least vertex.
 
     All parents of a level are refined in one job, each by one task; a parent
-    with more than ``local_edges`` edges goes through the joins of its own.
+    with more edges or vertices than a task takes goes through joins of its own.
     """
     own = materialise(edges.select("a", "b", "omega"), "nested-edges")
     level = communities(own, resolution=resolution).select("v", F.col("c").alias("cluster"))
@@ -50,13 +50,18 @@ def nested(edges: DataFrame, *, max_depth: int = 2, min_size: int = 3, gate: str
         of = level.select("v", F.col("cluster").alias("parent"))
         inner = own.join(of.select(F.col("v").alias("a"), "parent"), "a").join(of.select(F.col("v").alias("b"), F.col("parent").alias("other")), "b").where("parent = other")
         inner = materialise(inner.select("parent", "a", "b", "omega"), "nested-inner")
-        sizes = inner.groupBy("parent").count()
-        wide = [r["parent"] for r in sizes.where(F.col("count") > local_edges).limit(1000).collect()]
-        small = inner.where(~F.col("parent").isin(wide)) if wide else inner
-        # A community has at most local_edges edges here.
+        ends = inner.select("parent", F.col("a").alias("v")).unionByName(inner.select("parent", F.col("b").alias("v"))).distinct()
+        sizes = inner.groupBy("parent").agg(F.count(F.lit(1)).alias("edges")).join(ends.groupBy("parent").agg(F.count(F.lit(1)).alias("vertices")), "parent")
+        wide = materialise(sizes.where((F.col("edges") > local_edges) | (F.col("vertices") > local_vertices)).select("parent"), "nested-wide")
+        # What is left in a group fits a task by the counts above.
+        small = inner.join(wide, "parent", "left_anti")
         found = small.groupBy("parent").applyInPandas(lambda f: _split(f, gate, min_size, resolution), "v long, cluster long")
-        for parent in wide:
-            found = found.unionByName(communities(inner.where(F.col("parent") == parent), resolution=resolution).select("v", F.col("c").alias("cluster")))
+        own_path = new_path(own.sparkSession, "nested-wide-parts")
+        for row in wide.toLocalIterator():
+            part = communities(inner.where(F.col("parent") == row["parent"]), resolution=resolution, local_edges=local_edges, local_vertices=local_vertices)
+            part.select("v", F.col("c").alias("cluster")).write.mode("append").parquet(own_path)
+        if not wide.isEmpty():
+            found = found.unionByName(own.sparkSession.read.schema("v long, cluster long").parquet(own_path))
         level = of.join(found, "v", "left").select("v", F.lit(depth).alias("level"), F.coalesce("cluster", F.when(F.col("v").isNotNull(), F.col("parent"))).alias("cluster"), "parent")
         level = materialise(level, "nested-level")
         out = out.unionByName(level)

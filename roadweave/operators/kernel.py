@@ -25,6 +25,39 @@ class LogFactorials:
         return self.table[n]
 
 
+_SMALL = np.concatenate([[0.0], np.cumsum(np.log(np.arange(1, 256)))])
+
+
+def log_factorials(n: np.ndarray) -> np.ndarray:
+    """ln n! of any counts, by table and by Stirling's series beyond it."""
+    x = np.maximum(n, 2).astype(np.float64)
+    series = x * np.log(x) - x + 0.5 * np.log(2 * math.pi * x) + 1 / (12 * x) - 1 / (360 * x**3)
+    return np.where(n < len(_SMALL), _SMALL[np.minimum(n, len(_SMALL) - 1)], series)
+
+
+def best_clusters(block: np.ndarray, size: np.ndarray, mass: np.ndarray, rows: list[tuple[int, np.ndarray, np.ndarray]]) -> list[int]:
+    """For each vertex ``(its cluster, cells, visits in them)`` the cluster of least cost, all others held still.
+
+    ``block`` has a line for every cluster of the vertices' side. Of equal costs
+    the own cluster is taken, then the first.
+    """
+    f = log_factorials(block)
+    margin = lambda size, mass: log_factorials(mass + size - 1) - log_factorials(np.maximum(size - 1, 0))
+    alone = np.where(size > 0, margin(size, mass), 0.0)
+    out = []
+    for c, cells, n in rows:
+        degree = int(n.sum())
+        near, then = block[:, cells], f[:, cells]
+        delta = (then - log_factorials(near + n)).sum(axis=1) + margin(size + 1, mass + degree) - alone
+        kept = near[c] - n
+        left = margin(size[c] - 1, mass[c] - degree) if size[c] > 1 else 0.0
+        delta[c] = (log_factorials(kept) - then[c]).sum() + margin(size[c], mass[c]) - left
+        delta = np.round(delta, 9)
+        to = int(delta.argmin())
+        out.append(c if delta[c] <= delta[to] else to)
+    return out
+
+
 def _choose(n: float, k: float) -> float:
     return math.lgamma(n + 1) - math.lgamma(k + 1) - math.lgamma(n - k + 1)
 

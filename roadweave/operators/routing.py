@@ -5,7 +5,9 @@ from __future__ import annotations
 import heapq
 from collections import defaultdict
 from collections.abc import Iterator
+from functools import cached_property
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
@@ -15,20 +17,38 @@ from ..scratch import materialise
 NETWORK_ROWS = 2_000_000
 
 
-def _tree(out: dict[int, list[tuple[int, int, int]]], src: int, targets: set[int]) -> tuple[dict[int, int], dict[int, tuple[int, int]]]:
-    """Distances from a vertex, and the last vertex and segment of a best path; equal paths prefer smaller vertices."""
+class Network:
+    """A network's segments, and what leaves each vertex; a worker builds the latter once, for all its tasks."""
+
+    def __init__(self, rows: np.ndarray):
+        self.rows = rows
+
+    @cached_property
+    def out(self) -> dict[int, list[tuple[int, int, int]]]:
+        own: dict[int, list[tuple[int, int, int]]] = defaultdict(list)
+        for a, b, s, w in self.rows.tolist():
+            own[a].append((b, s, w))
+        return own
+
+    def __getstate__(self) -> dict:
+        return {"rows": self.rows}
+
+
+def _tree(out: dict[int, list[tuple[int, int, int]]], src: int, targets: set[int] | None) -> tuple[dict[int, int], dict[int, tuple[int, int]]]:
+    """Distances from a vertex, and the last vertex and segment of a best path, to all vertices or until ``targets`` are reached; equal paths prefer smaller vertices."""
     done: dict[int, int] = {}
     last: dict[int, tuple[int, int]] = {}
     best = {src: 0}
     heap = [(0, src)]
-    left = set(targets)
-    while heap and left:
+    left = None if targets is None else set(targets)
+    while heap and (left is None or left):
         d, v = heapq.heappop(heap)
         if v in done:
             continue
         done[v] = d
-        left.discard(v)
-        for u, s, w in out[v]:
+        if left is not None:
+            left.discard(v)
+        for u, s, w in out.get(v, ()):
             new = d + w
             if u not in done and (u not in best or new < best[u] or (new == best[u] and (v, s) < last[u])):
                 best[u], last[u] = new, (v, s)
@@ -44,16 +64,18 @@ def shortest(segments: DataFrame, pairs: DataFrame, *, weight: str = "travel_tim
     """
     if segments.limit(NETWORK_ROWS + 1).count() > NETWORK_ROWS:
         return by_joins(segments, pairs, weight=weight)
-    own = segments.select("src", "dst", "s", F.col(weight).alias("w")).toPandas()
-    shared = pairs.sparkSession.sparkContext.broadcast(own)
+    own = segments.select("src", "dst", "s", F.col(weight).cast("long").alias("w")).toPandas()
+    shared = pairs.sparkSession.sparkContext.broadcast(Network(own.to_numpy(np.int64)))
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        out: dict[int, list[tuple[int, int, int]]] = defaultdict(list)
-        for a, b, s, w in shared.value.itertuples(index=False):
-            out[a].append((b, s, w))
+        out, before, last, whole = shared.value.out, None, {}, False
         for frame in frames:
             for src, group in frame.groupby("src"):
-                _, last = _tree(out, int(src), set(group["dst"].tolist()))
+                # A source whose pairs go on in a further batch gets its whole tree, once.
+                again = src == before
+                if not (again and whole):
+                    _, last = _tree(out, int(src), None if again else set(group["dst"].tolist()))
+                before, whole = src, again
                 t, pos, s = [], [], []
                 for trip, dst in zip(group["t"].tolist(), group["dst"].tolist()):
                     path, v = [], dst

@@ -239,6 +239,12 @@ def cocluster_g8(spark, d):
     return _fitted(cocluster.fit(tables.flows(spark, d)))
 
 
+@add(_one_block_fit(G3))
+def null_control_g3(spark, d):
+    """Baskets without structure: one block too."""
+    return _fitted(cocluster.fit(tables.baskets(spark, d), restarts=1))
+
+
 # blocks of the planted classes
 
 

@@ -212,14 +212,18 @@ def _report(labels: DataFrame, part: DataFrame, **more) -> DataFrame:
     return rounded(out.withColumns({k: F.lit(v) for k, v in more.items()}), "ari", "purity")
 
 
-def _both_routes(spark, d, **options) -> DataFrame:
+def _compared(graph: BipartiteGraph, labels: DataFrame, edges: DataFrame, **more) -> DataFrame:
     """Agreement of either route with the classes, of the first at both levels."""
-    graph, labels, edges = _side(spark, d, **options)
     membership = hierarchy.nested(edges)
-    out = _report(labels, hierarchy.cut(membership, level=1), route="modularity 1")
-    out = out.unionByName(_report(labels, hierarchy.cut(membership, level=2), route="modularity 2"))
+    out = _report(labels, hierarchy.cut(membership, level=1), route="modularity 1", **more)
+    out = out.unionByName(_report(labels, hierarchy.cut(membership, level=2), route="modularity 2", **more))
     model = cocluster.fit(graph, restarts=2)
-    return out.unionByName(_report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c")), route="co-clustering"))
+    return out.unionByName(_report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c")), route="co-clustering", **more))
+
+
+def _both_routes(spark, d, **options) -> DataFrame:
+    graph, labels, edges = _side(spark, d, **options)
+    return _compared(graph, labels, edges)
 
 
 @add()
@@ -312,12 +316,60 @@ def interactions_g1(spark, d):
 
 @add()
 def noise_curve_g1(spark, d):
-    """Agreement of co-clustering as more trajectories end at random places."""
+    """Agreement of both routes as more trajectories end at random places."""
     out = None
     for percent in (0, 10, 30):
-        graph, labels, _ = planted_graph(spark, d, noise=percent)
-        model = cocluster.fit(graph, restarts=0)
-        one = _report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c")), noise=percent)
+        graph, labels, edges = _side(spark, d, noise=percent)
+        one = _compared(graph, labels, edges, noise=percent)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _page_links(spark, d) -> tuple[BipartiteGraph, DataFrame, DataFrame]:
+    """Pages by what they link to, the language in their URL, and the projection."""
+    graph = BipartiteGraph(materialise(tables.links(spark, d).traversal, "links"))
+    labels = table(spark, d, "pages").select(F.col("page_id").alias("v"), F.regexp_extract("url", "^[a-z]+://[^/]+/([a-z]{2})/", 1).alias("klass"))
+    return graph, labels, materialise(similarity.project(graph, side="t"), "projected")
+
+
+@add()
+def ari_both_routes_g6(spark, d):
+    """Pages against the language of their URL."""
+    return _compared(*_page_links(spark, d))
+
+
+@add()
+def ari_both_routes_g7(spark, d):
+    """Control: vectors whose labels can't be told apart by their dimensions."""
+    graph = BipartiteGraph(materialise(tables.vectors(spark, d).traversal, "vectors"))
+    labels = table(spark, d, "embeddings").select(F.col("vec_id").alias("v"), F.col("label").cast("string").alias("klass"))
+    return _compared(graph, labels, materialise(similarity.project(graph, side="t"), "projected"))
+
+
+@add()
+def crossed_g6(spark, d):
+    """Clusters of pages and of link targets, found apart and read together."""
+    graph, _, edges = _page_links(spark, d)
+    rows = modularity.communities(edges).select(F.col("v").alias("t"), F.col("c").alias("ct"))
+    columns = modularity.communities(similarity.project(graph, side="s")).select(F.col("v").alias("s"), F.col("c").alias("cs"))
+    return mutual.contributions(mutual.crossed(graph, rows, columns))
+
+
+@add()
+def cut_k_g1(spark, d):
+    """The finest level with at most eight clusters."""
+    _, labels, edges = _side(spark, d)
+    return _report(labels, hierarchy.cut(hierarchy.nested(edges, max_depth=3), k=8))
+
+
+@add()
+def scaling_curve_g1(spark, d):
+    """Work of either route as the routes spread over more segments: edges, pairs of the projection, merges and pairs of clusters looked at."""
+    out = None
+    for span in (2, 4, 8):
+        graph, _, edges = _side(spark, d, span=span)
+        trace = cocluster.fit(graph, restarts=0).trace.where("step = 'merge'").agg(F.count(F.lit(1)).alias("merges"), F.sum("pairs").alias("pairs_evaluated"))
+        one = graph.stats().crossJoin(edges.agg(F.count(F.lit(1)).alias("projection_pairs"))).crossJoin(trace).withColumn("span", F.lit(span))
         out = one if out is None else out.unionByName(one)
     return out
 
@@ -361,7 +413,7 @@ def trajectory_only_g6(spark, d):
     """Pages by what they link to, against the language in their URL."""
     graph = tables.links(spark, d)
     labels = table(spark, d, "pages").select(F.col("page_id").alias("v"), F.regexp_extract("url", "^[a-z]+://[^/]+/([a-z]{2})/", 1).alias("klass"))
-    return _report(labels, modularity.communities(similarity.project(graph, side="t", top_k=20)))
+    return _report(labels, modularity.communities(similarity.project(graph, side="t")))
 
 
 @add()
@@ -369,7 +421,7 @@ def negative_control_g7(spark, d):
     """Vectors without structure: agreement with their labels is about none."""
     graph = tables.vectors(spark, d)
     labels = table(spark, d, "embeddings").select(F.col("vec_id").alias("v"), F.col("label").cast("string").alias("klass"))
-    return _report(labels, modularity.communities(similarity.project(graph, side="t", top_k=10)))
+    return _report(labels, modularity.communities(similarity.project(graph, side="t")))
 
 
 # route B
@@ -432,23 +484,16 @@ def distributed_fit_g1(spark, d):
 def cocluster_g2(spark, d):
     """Documents by their words against their language, through the route for large graphs."""
     graph = BipartiteGraph.of(tables.word_rows(spark, d), t="doc_id", s=F.xxhash64("word"), length=None)
-    model = cocluster.fit(graph, restarts=0, passes=1, start=60, refine=False)
+    model = cocluster.fit(graph, restarts=0)
     labels = table(spark, d, "documents").select(F.col("doc_id").alias("v"), F.col("lang").alias("klass"))
     return _report(labels, model.row_part.select(F.col("t").alias("v"), F.col("ct").alias("c"))).crossJoin(model.compression())
 
 
 
-@add()
-def null_control_g3(spark, d):
-    """Baskets without structure: one block."""
-    model = cocluster.fit(tables.baskets(spark, d), restarts=0, refine=False)
-    return model.row_part.agg(F.count_distinct("ct").alias("rows")).crossJoin(model.col_part.agg(F.count_distinct("cs").alias("columns")))
-
-
 @add()
 def alternate_g8(spark, d):
     graph = tables.flows(spark, d)
-    rows, columns = cocluster.alternate(graph, 3, 3, rounds=2)
+    rows, columns = cocluster.alternate(graph, 3, 3)
     return mutual.contributions(mutual.crossed(graph, rows, columns))
 
 
