@@ -303,6 +303,17 @@ def ari_both_routes_span16(spark, d):
     return _both_routes(spark, d, span=16)
 
 
+@add()
+def ari_vertex_ties_g1(spark, d):
+    """Both routes by span where equally fast routes go by smaller vertices: what the rule for ties changes."""
+    out = None
+    for span in (2, 4, 8, 16):
+        graph, labels, edges = _side(spark, d, span=span, ties="vertex")
+        one = _compared(graph, labels, edges, span=span)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @add()
 def interactions_g1(spark, d):
     """Two classes under each kind of interaction: how well the first level tells them apart."""

@@ -22,11 +22,16 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return own.withColumn("ts", F.col("ts").cast("timestamp")).withColumn("k", F.get_json_object("props", "$.k").cast("int"))
 
 
-def planted(spark: SparkSession, sf_dir: str, *, span: int = 2, classes=network.CLASSES, noise: int = 0) -> tuple[BipartiteGraph, DataFrame, DataFrame]:
-    """The planted routes: graph, labels ``(v, klass)`` and paths ``(t, pos, s)``."""
+def planted(spark: SparkSession, sf_dir: str, *, span: int = 2, classes=network.CLASSES, noise: int = 0, ties: str = "arterial") -> tuple[BipartiteGraph, DataFrame, DataFrame]:
+    """The planted routes: graph, labels ``(v, klass)`` and paths ``(t, pos, s)``.
+
+    Of equally fast routes ``ties="arterial"`` takes the one by the first arterial
+    alone, ``"vertex"`` the one by smaller vertices, which may mix arterials.
+    """
     pairs = network.planted_pairs(table(spark, sf_dir, "orders"), table(spark, sf_dir, "customer"), classes=classes, span=span)
     roads = network.segments(spark)
-    paths = routing.shortest(network.first_arterials(roads), network.noisy_labels(pairs, noise) if noise else pairs, weight="ranked")
+    weight = {"arterial": "ranked", "vertex": "travel_time"}[ties]
+    paths = routing.shortest(network.first_arterials(roads), network.noisy_labels(pairs, noise) if noise else pairs, weight=weight)
     graph = BipartiteGraph.of(to_traversals(paths, roads))
     return graph, pairs.select(F.col("t").alias("v"), "klass"), paths
 
