@@ -1,13 +1,15 @@
+import math
 import random
 from collections import Counter, defaultdict
 
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 from roadweave.components import components
 from roadweave.functions import udfs
 from roadweave.model import BipartiteGraph
-from roadweave.operators import cocluster, criterion, greedy, mutual, network, rivals, similarity, weights
+from roadweave.operators import cocluster, criterion, greedy, hierarchy, kernel, mutual, network, rivals, similarity, weights
 from roadweave.sources import tables
 from roadweave.streaming import flows
 
@@ -188,3 +190,45 @@ def test_noise_moves_ends_and_drops_segments(spark):
     assert 0 < moved < 60
     seq = spark.createDataFrame([(1, i, i) for i in range(1000)], "t long, pos int, s long")
     assert 700 < network.noisy_paths(seq, 20).count() < 900
+
+
+def test_best_cluster_of_a_vertex_is_that_of_least_cost():
+    rng = np.random.default_rng(8)
+    t, s = np.repeat(np.arange(12), 9), np.tile(np.arange(9), 12)
+    n = rng.integers(0, 4, len(t)) + (t % 3 == s % 3) * rng.integers(200, 400, len(t))
+    t, s, n = t[n > 0], s[n > 0], n[n > 0]
+    rows, columns = np.arange(12) // 4, np.arange(9) // 3
+    model = kernel.Model(t, s, n, rows, columns)
+    for v in range(12):
+        at = t == v
+        cells, where = np.unique(columns[s[at]], return_inverse=True)
+        visits = np.bincount(where, weights=n[at]).astype(np.int64)
+        costs = [kernel.Model(t, s, n, np.where(np.arange(12) == v, c, rows), columns).cost() for c in range(3)]
+        best = kernel.best_clusters(model.block, model.rows.size, model.rows.mass, [(int(rows[v]), cells, visits)])
+        assert abs(costs[best[0]] - min(costs)) < 1e-6
+    x = np.array([0, 1, 2, 20, 254, 255, 256, 257, 10**6, 10**9])
+    assert np.allclose(kernel.log_factorials(x), [math.lgamma(i + 1) for i in x.tolist()], rtol=1e-12)
+
+
+def test_parents_that_fit_no_task_are_refined_by_joins(spark):
+    edges = similarity.project(planted_graph(spark, rows=20), side="t")
+    for limits in ({"local_vertices": 4}, {"local_edges": 5}):
+        rows = [r.asDict() for r in hierarchy.nested(edges, max_depth=2, **limits).collect()]
+        first = {r["v"]: r["cluster"] for r in rows if r["level"] == 1}
+        second = {r["v"]: r for r in rows if r["level"] == 2}
+        assert set(first) == set(second) and len(rows) == 2 * len(first)
+        assert all(r["parent"] == first[v] for v, r in second.items())
+        of = {}
+        assert all(of.setdefault(r["cluster"], r["parent"]) == r["parent"] for r in second.values())
+
+
+def test_fine_starts_are_merged_by_joins_and_restarts_never_cost_more(spark, monkeypatch):
+    monkeypatch.setattr(cocluster, "LOCAL_START", 5)
+    graph = planted_graph(spark, rows=20)
+    null = criterion.cost(graph, *criterion.null_model(graph)).first()["total"]
+    costs = []
+    for restarts in (0, 1):
+        model = cocluster.fit(graph, local_cells=10, start=12, passes=2, restarts=restarts)
+        costs.append(model.cost().first()["total"])
+        assert model.row_part.count() == graph.traversal.select("t").distinct().count()
+    assert costs[1] <= costs[0] + 1e-6 and costs[0] <= null + 1e-6
