@@ -691,7 +691,15 @@ def _points(spark, d) -> tuple[DataFrame, DataFrame]:
     return points, streets.select("s", (F.col("src") % 10).cast("double").alias("x1"), F.floor(F.col("src") / 10).cast("double").alias("y1"), (F.col("dst") % 10).cast("double").alias("x2"), F.floor(F.col("dst") / 10).cast("double").alias("y2"))
 
 
-@add()
+@add(
+    _TRIPS
+    + """, p AS (SELECT user_id * 1000000 + trip AS t, event_id::INT AS pos, k % 10 + ((event_id * 7919) % 100 - 50) / 200.0::DOUBLE AS x, k // 10 + ((event_id * 104729) % 100 - 50) / 200.0::DOUBLE AS y FROM x),
+i AS (SELECT unnest(range(90)) AS i), half AS (SELECT i AS s, i % 9 AS x1, i // 9 AS y1, i % 9 + 1 AS x2, i // 9 AS y2 FROM i UNION ALL SELECT 180 + (i // 9) * 18 + i % 9, i // 9, i % 9, i // 9, i % 9 + 1 FROM i),
+roads AS (SELECT * FROM half UNION ALL SELECT CASE WHEN s < 180 THEN s + 90 ELSE s + 9 END, x2, y2, x1, y1 FROM half),
+near AS (SELECT t, pos, s, greatest(0.0, least(1.0, (x - x1) * (x2 - x1) + (y - y1) * (y2 - y1))) AS share, x - x1 AS ox, y - y1 AS oy, x2 - x1 AS dx, y2 - y1 AS dy FROM p JOIN roads ON abs(x - (x1 + x2) / 2.0) <= 1.1 AND abs(y - (y1 + y2) / 2.0) <= 1.1),
+far AS (SELECT t, pos, s, sqrt(pow(ox - share * dx, 2) + pow(oy - share * dy, 2)) AS distance FROM near)
+SELECT t, pos, min(struct_pack(d := round(distance, 9), s := s)).s AS s FROM far WHERE distance <= 0.5 GROUP BY t, pos"""
+)
 def match_snap(spark, d):
     points, streets = _points(spark, d)
     return ingest.match_points(points, streets, radius=0.5)

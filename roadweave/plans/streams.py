@@ -35,10 +35,14 @@ def stream_session(spark, d):
     return own.withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
-@add()
+@add(
+    "WITH w AS (SELECT time_bucket(INTERVAL 1 HOUR, ts, TIMESTAMP '1970-01-01') AS start, count(*) AS n, round(sum(value), 4) AS value FROM events GROUP BY 1) "
+    "SELECT * FROM w WHERE start + INTERVAL 1 HOUR <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)"
+)
 def stream_watermark_late_drop(spark, d):
     """Windows that the watermark has closed; what comes after it is dropped."""
-    return flows.run(flows.tumbling(flows.events(spark, d).withWatermark("ts", "1 hour"), "1 hour"), "late")
+    own = flows.run(flows.tumbling(flows.events(spark, d).withWatermark("ts", "1 hour"), "1 hour"), "late")
+    return own.withColumn("start", F.col("start").cast("timestamp_ntz"))
 
 
 @add("SELECT event_id, user_id FROM events")
@@ -69,7 +73,11 @@ def stream_mi_monitor(spark, d):
     return flows.monitored(block).select("ct", "cs", F.round("mi", 6).alias("mi"))
 
 
-@add()
+@add(
+    "WITH g AS (SELECT user_id, event_id, ts, CASE WHEN lag(ts) OVER w IS NULL OR ts - lag(ts) OVER w > INTERVAL 24 HOUR THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)), x AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS trip FROM g), "
+    "trips AS (SELECT user_id, trip, epoch(min(ts)) AS first, epoch(max(ts)) AS last, count(*) AS n, lead(trip) OVER (PARTITION BY user_id ORDER BY trip) AS next FROM x GROUP BY user_id, trip) "
+    "SELECT user_id, first, last, n FROM trips WHERE next IS NOT NULL OR last + 86400 <= (SELECT epoch(max(ts)) - 3600 FROM events)"
+)
 def stream_trip_state(spark, d):
     """Trips that state of our own has closed."""
     return flows.run(flows.trip_states(flows.events(spark, d)), "trips")
