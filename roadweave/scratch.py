@@ -26,7 +26,11 @@ def shared_folder(spark: SparkSession) -> str:
     named = spark.conf.get("spark.checkpoint.dir", "") or ""
     if not named and not re.match(r"local($|\[)", spark.sparkContext.master):
         raise ValueError("spark.checkpoint.dir must name a folder that the driver and all executors share")
-    return (named or LOCAL_DEFAULT).rstrip("/")
+    jvm = spark.sparkContext._jvm
+    folder = jvm.org.apache.hadoop.fs.Path((named or LOCAL_DEFAULT).rstrip("/"))
+    # With its scheme, as workers open files there by themselves.
+    whole = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).makeQualified(folder).toString()
+    return re.sub(r"^file:/(?!/)", "file:///", whole)
 
 
 def new_path(spark: SparkSession, name: str) -> str:
