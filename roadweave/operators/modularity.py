@@ -15,7 +15,7 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, functions as F
 
-from ..scratch import materialise
+from ..scratch import discard, materialise
 from .similarity import symmetric
 
 #: Edges that one task takes at most, and vertices of its dense kernel.
@@ -161,10 +161,10 @@ def _sweep(ends: DataFrame, strength: DataFrame, part: DataFrame, total: float,
 
 
 def spread(edges: DataFrame, *, resolution: float = 1.0, max_sweeps: int = 8, tol: float = 1e-4) -> tuple[DataFrame, float]:
-    """One level of moves by joins: the partition and its modularity, from single vertices."""
-    edges = materialise(edges, "modularity-edges")
+    """One level of moves by joins: the partition and its modularity, from single vertices. ``edges`` is read in every sweep, so it is a stored table."""
     both = symmetric(edges.select("a", "b", "omega").withColumn("common", F.lit(0)))
-    ends = materialise(both.where("a <> b").select("a", "b", "omega"), "modularity-ends")
+    # Both directions are made anew where they are read; stored, they would take twice the edges.
+    ends = both.where("a <> b").select("a", "b", "omega")
     strength = materialise(both.groupBy(F.col("a").alias("v")).agg(F.sum("omega").alias("k")), "modularity-strength")
     total = edges.agg(F.sum("omega")).first()[0] or 0.0
     part = strength.select("v", F.col("v").alias("c"))
@@ -201,7 +201,8 @@ def communities(edges: DataFrame, *, resolution: float = 1.0, local_edges: int =
         level, _ = spread(graph, resolution=resolution)
         part = level if part is None else part.join(level.select(F.col("v").alias("c"), F.col("c").alias("up")), "c").select("v", F.col("up").alias("c"))
         part = materialise(part, "modularity-level")
-        graph = materialise(contract(graph, level), "modularity-graph")
+        finer, graph = graph, materialise(contract(graph, level), "modularity-graph")
+        discard(finer)
         if fits(graph) or level.where("v <> c").isEmpty():
             break
     if fits(graph):
