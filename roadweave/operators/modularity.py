@@ -57,23 +57,33 @@ def dense_communities(a: np.ndarray, *, resolution: float = 1.0) -> np.ndarray:
     gain = 2 * (b - resolution * np.outer(k, k))
     joined = b > 0
     np.fill_diagonal(joined, False)
-    alive = np.ones(n, dtype=bool)
     label = np.arange(n)
     best, now, most = label.copy(), 0.0, 0.0
+    # The first of the best partners of each vertex, kept up to date, so that a merge looks at few rows again.
+    open_ = np.where(joined, gain, -np.inf)
+    partner = open_.argmax(axis=1)
+    value = open_[np.arange(n), partner]
     for _ in range(n - 1):
-        open_ = np.where(joined, gain, -np.inf)
-        at = int(open_.argmax())
-        i, j = sorted(divmod(at, n))
+        i = int(value.argmax())
+        i, j = sorted((i, int(partner[i])))
         if not np.isfinite(open_[i, j]):
             break
         now += gain[i, j]
         gain[i] += gain[j]
         gain[:, i] = gain[i]
         joined[i] |= joined[j]
-        joined[i, i] = False
+        joined[i, [i, j]] = False
+        open_[i] = open_[:, i] = np.where(joined[i], gain[i], -np.inf)
         joined[:, i] = joined[i]
         joined[j] = joined[:, j] = False
-        alive[j] = False
+        open_[j] = open_[:, j] = -np.inf
+        better = (open_[:, i] > value) | ((open_[:, i] == value) & (i < partner))
+        stale = (partner == i) | (partner == j)
+        stale[[i, j]] = True
+        partner[better], value[better] = i, open_[better, i]
+        again = np.flatnonzero(stale)
+        partner[again] = open_[again].argmax(axis=1)
+        value[again] = open_[again, partner[again]]
         label[label == j] = i
         if now > most + 1e-12:
             best, most = label.copy(), now
@@ -84,26 +94,25 @@ def _moved(b: np.ndarray, k: np.ndarray, label: np.ndarray, resolution: float, s
     """Single moves, in the order of the vertices, until none pays."""
     n = len(b)
     own = b - np.diag(np.diag(b))
-    onto = np.zeros((n, n))
-    onto[np.arange(n), label] = 1
-    strength = k @ onto
+    size = np.bincount(label, minlength=n)
+    strength = np.bincount(label, weights=k, minlength=n)
     for _ in range(sweeps):
         still = True
         for v in range(n):
             c = label[v]
             strength[c] -= k[v]
-            onto[v, c] = 0
-            gain = own[v] @ onto - resolution * k[v] * strength
-            empty = int(np.flatnonzero(onto.sum(axis=0) == 0)[0])
-            reach = (own[v] @ onto > 0) | (np.arange(n) == c) | (np.arange(n) == empty)
-            gain = np.where(reach, gain, -np.inf)
+            size[c] -= 1
+            toward = np.bincount(label, weights=own[v], minlength=n)
+            reach = toward > 0
+            reach[[c, int((size == 0).argmax())]] = True
+            gain = np.where(reach, toward - resolution * k[v] * strength, -np.inf)
             to = int(gain.argmax())
             if gain[to] <= gain[c] + 1e-12:
                 to = c
             still &= to == c
             label[v] = to
             strength[to] += k[v]
-            onto[v, to] = 1
+            size[to] += 1
         if still:
             break
     return np.unique(label, return_inverse=True)[1]
