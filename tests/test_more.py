@@ -232,3 +232,16 @@ def test_fine_starts_are_merged_by_joins_and_restarts_never_cost_more(spark, mon
         costs.append(model.cost().first()["total"])
         assert model.row_part.count() == graph.traversal.select("t").distinct().count()
     assert costs[1] <= costs[0] + 1e-6 and costs[0] <= null + 1e-6
+
+
+def test_all_pairs_of_a_bucket_are_candidates(spark):
+    """Four equal sets share every bucket, so all six pairs are candidates, and with several tiles each once."""
+    rows = [(v, f, 1, 1.0) for v in range(4) for f in range(20)] + [(v, f, 1, 1.0) for v in range(10, 40) for f in range(v * 7, v * 7 + 21)]
+    graph = BipartiteGraph.of(spark.createDataFrame(rows, SCHEMA))
+    least = lambda k: F.min(F.xxhash64("s", F.lit(k)))
+    signs = graph.traversal.groupBy("t").agg(*[least(k).alias(f"h{k}") for k in range(6)]).collect()
+    expected = sorted((a["t"], b["t"]) for a in signs for b in signs if a["t"] < b["t"] and any(a[k] == b[k] for k in range(1, 7)))
+    assert {(1, 3), (0, 1), (0, 2), (0, 3), (1, 2), (2, 3)} < set(expected)
+    for tiles in ({}, {"tile": 3}, {"tile": 9}):
+        got = similarity.minhash_candidates(graph, bands=6, rows=1, **tiles)
+        assert sorted(tuple(r) for r in got.collect()) == expected
