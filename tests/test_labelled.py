@@ -120,3 +120,51 @@ def test_no_pair_of_clusters_is_joined(spark, graph, monkeypatch):
     monkeypatch.setattr(labelled, "LABELS", 0)
     joined = cocluster.fit(graph, restarts=0, local_cells=1, start=12, passes=1, refine=False)
     assert math.isclose(joined.cost().first()["total"], joined.trace.where("step != 'exchange'").collect()[-1]["cost"], rel_tol=1e-9)
+
+
+class Counted:
+    """A table that counts what is looked up in it."""
+
+    def __init__(self, table):
+        self.table, self.n = table, 0
+
+    def __len__(self):
+        return len(self.table)
+
+    def take(self, at):
+        self.n += np.size(at)
+        return self.table.take(at)
+
+
+def test_merges_are_products_of_matrices(monkeypatch):
+    """Changes by all merges, against sums cell by cell; only few cells are looked up pair by pair."""
+    rng = np.random.default_rng(5)
+    f = kernel.log_factorials
+    for mean, most in ((0.05, 1), (1, 1), (6, 90), (150, 1), (150, 3_000), (400, 1)):
+        left, right = (rng.poisson(mean, (n, 120)) for n in (40, 30))
+        left[3, 5] *= most
+        right[:2, 7:9] *= most
+        table = Counted(kernel.SMALL)
+        monkeypatch.setattr(labelled, "SMALL", table)
+        got = labelled.merged_terms(left, right)
+        x, y = left[:, None, :], right[None, :, :]
+        expected = np.where(((x > 0) & (y > 0)).any(axis=2), (f(x) + f(y) - f(x + y)).sum(axis=2), np.inf)
+        assert np.isfinite(got).tolist() == np.isfinite(expected).tolist()
+        assert np.allclose(got[np.isfinite(got)], expected[np.isfinite(got)], rtol=0, atol=1e-7)
+        assert mean > 256 or table.n < 0.1 * left.size * len(right)
+
+
+def test_many_vertices_move_as_each_alone():
+    """Moves by products of matrices and by look-ups are those of each vertex by itself."""
+    rng = np.random.default_rng(6)
+    for k, wide, each, top in ((30, 25, 12, 3), (30, 25, 1, 1), (12, 40, 9, 500)):
+        vertices = 300
+        cell = np.concatenate([np.sort(rng.choice(wide, each, replace=False)) for _ in range(vertices)])
+        n = rng.choice([1, 1, 1, 2, top], len(cell))
+        begin, own = np.arange(vertices) * each, rng.integers(1, k, vertices)
+        block = rng.poisson(3, (k, wide))
+        block[0] = 0
+        np.add.at(block, (np.repeat(own, each), cell), n)
+        size = np.bincount(own, minlength=k)
+        rows = [(int(own[v]), cell[b : b + each], n[b : b + each]) for v, b in enumerate(begin)]
+        assert kernel.best_moves(block, size, block.sum(axis=1), own, begin, cell, n).tolist() == kernel.best_clusters(block, size, block.sum(axis=1), rows)
