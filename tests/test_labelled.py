@@ -168,3 +168,14 @@ def test_many_vertices_move_as_each_alone():
         size = np.bincount(own, minlength=k)
         rows = [(int(own[v]), cell[b : b + each], n[b : b + each]) for v, b in enumerate(begin)]
         assert kernel.best_moves(block, size, block.sum(axis=1), own, begin, cell, n).tolist() == kernel.best_clusters(block, size, block.sum(axis=1), rows)
+
+
+def test_all_clusters_find_a_partner():
+    """Where all lines name the same column, a pair of tiles still matches every line, the least changes first."""
+    weight = np.arange(1.0, 9.0)
+    delta = -weight[:, None] * weight
+    assert set(delta.argmin(axis=1)) == {7}
+    i, j = labelled.matching(delta)
+    assert list(zip(i.tolist(), j.tolist())) == [(k, k) for k in range(7, -1, -1)]
+    i, j = labelled.matching(np.array([[3.0, 1.0], [np.inf, 2.0]]))
+    assert list(zip(i.tolist(), j.tolist())) == [(0, 1)]
